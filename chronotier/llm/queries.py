@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from chronotier.llm import line_spread, mixing, simhash_bktree, toxicity_cnn
+from chronotier.llm import line_spread, mixing, prefix_free, simhash_bktree, spaced_seeds, toxicity_cnn
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -23,6 +23,10 @@ def op5_toxicity_cnn(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", held_out.alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"), (F.col("score") >= cut).alias("rejected"))
 
 
+def op9_prefix_free(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return prefix_free.remove_repeats(table(spark, sf_dir, "documents"))
+
+
 def op10_simhash_bktree(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = simhash_bktree.group_near_duplicates(table(spark, sf_dir, "documents"))
     return found.select("doc_id", "fingerprint", "component_id")
@@ -33,6 +37,10 @@ def op2_line_spread(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_lines", "n_removed", "text")
 
 
+def op3_spaced_seeds(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return spaced_seeds.overlaps(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op4_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = mixing.mix_plan(table(spark, sf_dir, "documents"))
     return found.select("doc_id", "size", "source_size", "target", "taken")
@@ -40,12 +48,15 @@ def op4_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_line_spread": op2_line_spread,
+    "op3_spaced_seeds": op3_spaced_seeds,
     "op4_mixing": op4_mixing,
     "op5_toxicity_cnn": op5_toxicity_cnn,
+    "op9_prefix_free": op9_prefix_free,
     "op10_simhash_bktree": op10_simhash_bktree,
 }
 
 SQL: dict[str, str] = {
     "op2_line_spread": line_spread.ORACLE,
+    "op3_spaced_seeds": spaced_seeds.ORACLE,
     "op4_mixing": mixing.ORACLE,
 }
