@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from chronotier.llm import line_spread, mixing, prefix_free, simhash_bktree, spaced_seeds, toxicity_cnn
+from chronotier.llm import cover_tree, feistel_pii, license_scan, line_spread, mixing, prefix_free, secret_crf, simhash_bktree, spaced_seeds, toxicity_cnn
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -23,6 +23,26 @@ def op5_toxicity_cnn(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", held_out.alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"), (F.col("score") >= cut).alias("rejected"))
 
 
+def op6_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """documents has no paths; a folder tree by source and id stands in for one, in
+    which one file in 16 is a licence file."""
+    docs = table(spark, sf_dir, "documents")
+    n = F.col("doc_id")
+    name = F.when(n % 16 == 0, F.lit("LICENSE")).otherwise(F.concat(F.lit("f"), n.cast("string"), F.lit(".txt")))
+    path = F.concat_ws("/", "source", F.floor(n / 4096).cast("string"), F.floor(n / 256).cast("string"), name)
+    return license_scan.scan(docs, path)
+
+
+def op7_secret_crf(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    return secret_crf.scan(docs, secret_crf.fit(docs))
+
+
+def op8_feistel_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = feistel_pii.pseudonymise(table(spark, sf_dir, "documents"), key="key of the sample data")
+    return found.select("doc_id", "n_found", "kinds", "text")
+
+
 def op9_prefix_free(spark: SparkSession, sf_dir: str) -> DataFrame:
     return prefix_free.remove_repeats(table(spark, sf_dir, "documents"))
 
@@ -32,6 +52,10 @@ def op10_simhash_bktree(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "fingerprint", "component_id")
 
 
+def op1_cover_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return cover_tree.near_duplicates(table(spark, sf_dir, "embeddings"))
+
+
 def op2_line_spread(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = line_spread.drop_boilerplate(table(spark, sf_dir, "documents"))
     return found.select("doc_id", "n_lines", "n_removed", "text")
@@ -47,10 +71,14 @@ def op4_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_cover_tree": op1_cover_tree,
     "op2_line_spread": op2_line_spread,
     "op3_spaced_seeds": op3_spaced_seeds,
     "op4_mixing": op4_mixing,
     "op5_toxicity_cnn": op5_toxicity_cnn,
+    "op6_license_scan": op6_license_scan,
+    "op7_secret_crf": op7_secret_crf,
+    "op8_feistel_pii": op8_feistel_pii,
     "op9_prefix_free": op9_prefix_free,
     "op10_simhash_bktree": op10_simhash_bktree,
 }

@@ -1,10 +1,33 @@
-"""The corpus pipeline: stages over documents, each a training-data operator."""
+"""The corpus pipeline: stages over documents, each a training-data operator.
+
+A stage takes (spark, docs, sf_dir) and returns what it keeps; it is written as
+Parquet and read again as the next stage's docs. All but the last return the columns
+of documents.
+"""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from chronotier.llm import line_spread, mixing, simhash_bktree, spaced_seeds, toxicity_cnn
+from chronotier.llm.common import stage_table
+
+
+def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+
+
+def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents whose score reaches their language's threshold go."""
+    return toxicity_cnn.reject(docs, _table(spark, sf_dir, "labels"))
 
-from chronotier.llm import simhash_bktree
+
+def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Boilerplate lines go, but for the first occurrence; no document goes."""
+    out = line_spread.drop_boilerplate(docs)
+    n = F.when(F.col("n_removed") > 0, F.length("text").cast("long")).otherwise(F.col("n_chars"))
+    return out.withColumn("n_chars", n).select(*docs.columns)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -12,18 +35,31 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
     return simhash_bktree.keep_one(docs)
 
 
+def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that overlap with a benchmark item go."""
+    return spaced_seeds.drop_contaminated(docs, _table(spark, sf_dir, "benchmark"))
+
+
+def mixing_weights(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Each document as often as the mix takes it, numbered in the column copy."""
+    return mixing.mix(docs)
+
+
 STAGES = [
+    ("toxicity", toxicity),
+    ("line_dedup", line_dedup),
     ("near_duplicates", near_duplicates),
+    ("decontamination", decontamination),
+    ("mixing", mixing_weights),
 ]
 
+#: The classifier and the fingerprints are beyond SQL; tests/llm has the brute force.
 ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The stages applied to documents, each written and read by the next."""
-    from chronotier.llm.common import stage_table
-
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    docs = _table(spark, sf_dir, "documents")
     for i, (name, stage) in enumerate(STAGES):
         docs = stage(spark, docs, sf_dir)
         if i + 1 < len(STAGES):
