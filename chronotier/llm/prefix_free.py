@@ -96,7 +96,7 @@ def _least(x, width: int):
     return np.minimum(back[:n], ahead[width - 1 : width - 1 + n])
 
 
-def phrases(data: bytes, row: int) -> Iterator[tuple]:
+def phrases(data: bytes) -> Iterator[tuple]:
     """Arrays (at, lo, hi, core, s1, s2) of the phrases of a text, segment by
     segment: the trigger's place, the first and last start of its windows, the hash
     of the trigger and two of all bytes that any window of this trigger can cover."""
@@ -117,26 +117,27 @@ def phrases(data: bytes, row: int) -> Iterator[tuple]:
         cut = np.flatnonzero(np.concatenate(([True], at[1:] != at[:-1])))
         at, lo = at[cut], first + cut
         hi = np.append(lo[1:], last) - 1
-        a, b = at - span, at + LENGTH
-        inside = (a >= 0) & (b <= roll.n) & (a + base >= 0)
-        ca, cb = np.where(inside, a, 0), np.where(inside, b, 0)
-        core = gram[at - (first - base)]
-        # Where the text ends first there is no such string; nothing else equals it.
-        s1 = np.where(inside, roll.of(ca, cb), _mix(np.uint64(row) ^ (at + base).astype(np.uint64)))
-        s2 = np.where(inside, roll.of(ca, cb, 1), _mix((at + base).astype(np.uint64) + np.uint64(row)))
-        found = [at + base, lo, hi, core, s1, s2]
+        found = [at + base, lo, hi, gram[at - (first - base)]]
         if held is not None:  # a trigger may serve windows of two segments
             if held[0][-1] == found[0][0]:
                 found[1][0] = held[1][-1]
                 held = [x[:-1] for x in held]
-            yield tuple(held)
+            yield from _whole(data, held)
         held = found
     if held is not None:
-        yield tuple(held)
+        yield from _whole(data, held)
+
+
+def _whole(data: bytes, found: list) -> Iterator[tuple]:
+    """Adds the two hashes of all bytes of each phrase's windows."""
+    for roll, base, mine in _segments(data, found[0]):
+        at, lo, hi, core = (x[mine] for x in found)
+        a, b = lo - base, hi + LENGTH - base
+        yield at, lo, hi, core, roll.of(a, b), roll.of(a, b, 1)
 
 
 def blocks(data: bytes, at, lo, hi) -> Iterator[tuple]:
-    """Arrays (item, at, lo, hi, core, s1, s2) of the blocks of BLOCK windows, by
+    """Arrays (at, lo, hi, core, s1, s2) of the blocks of BLOCK windows, by
     their distance before the trigger, that phrases at, lo, hi consist of."""
     import numpy as np
 
@@ -148,11 +149,9 @@ def blocks(data: bytes, at, lo, hi) -> Iterator[tuple]:
         block = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n) + near[item]
         top, low = a[item] - block * BLOCK, a[item] - block * BLOCK - BLOCK + 1
         core = roll.of(top - base, low + LENGTH - base) ^ _mix(block.astype(np.uint64) + np.uint64(77))
-        inside = (low - base >= 0) & (top + LENGTH - base <= roll.n)
-        x, y = np.where(inside, low - base, 0), np.where(inside, top + LENGTH - base, 0)
-        own = _mix(np.uint64(hash_of(data)) + top.astype(np.uint64))
-        s1, s2 = np.where(inside, roll.of(x, y), own), np.where(inside, roll.of(x, y, 1), _mix(own + np.uint64(1)))
-        yield item + mine[0], a[item], np.maximum(low, l[item]), np.minimum(top, h[item]), core, s1, s2
+        low, top = np.maximum(low, l[item]), np.minimum(top, h[item])
+        x, y = low - base, top + LENGTH - base
+        yield a[item], low, top, core, roll.of(x, y), roll.of(x, y, 1)
 
 
 def windows(data: bytes, at, lo, hi) -> Iterator[tuple]:
@@ -179,9 +178,10 @@ def _segments(data: bytes, at):
 
 
 def hash_of(data: bytes) -> int:
+    """What Spark's xxhash64 gives, unsigned."""
     from xxhash import xxh64_intdigest
 
-    return xxh64_intdigest(data, 9)
+    return xxh64_intdigest(data, 42)
 
 
 def _signed(x):
@@ -218,14 +218,14 @@ ITEM = ["doc_id", "row", "at", "lo", "hi", "core", "s1", "s2"]
 def _classify(items: DataFrame, name: str) -> DataFrame:
     """Items with a core that others share: + full (the same string occurs twice) and
     refine (some of its windows may equal some of another string's)."""
-    crowd = items.groupBy("core").count().where("count > 1").select("core")
+    crowd = stage_table(items.groupBy("core").count().where("count > 1").select("core"), name + "-shared")
     cand = stage_table(items.join(crowd, "core"), name)
     mark = F.struct("doc_id", "row", "at", "lo")
     per = cand.groupBy("core", "s1", "s2").agg(F.count("*").alias("n"), F.min(mark).alias("first"))
     per = stage_table(per, name + "-dictionary")
-    kinds = per.groupBy("core").agg(F.count("*").alias("kinds"))
-    met = cand.join(per.join(kinds, "core"), ["core", "s1", "s2"])
-    refine = (F.col("kinds") > 1) & ((F.col("n") == 1) | mark.eqNullSafe(F.col("first")))
+    many = stage_table(per.groupBy("core").count().where("count > 1").select("core", F.lit(True).alias("many")), name + "-many")
+    met = cand.join(per.join(many, "core", "left").where("many or n > 1"), ["core", "s1", "s2"])
+    refine = F.coalesce("many", F.lit(False)) & ((F.col("n") == 1) | mark.eqNullSafe(F.col("first")))
     out = stage_table(met.select("doc_id", "row", "at", "lo", "hi", (F.col("n") > 1).alias("full"), refine.alias("refine")).where("full or refine"), name + "-classes")
     drop_staged(cand)
     return out
@@ -282,7 +282,7 @@ def remove_repeats(docs: DataFrame, doc: str = "doc_id", text: str = "text", kee
             for i, t in zip(ids, texts, strict=True):
                 data = t.as_py()
                 row = hash_of(data)
-                for out in phrases(data, row):
+                for out in phrases(data):
                     yield [i.as_py(), np.uint64(row), *out]
 
         for b in batches:
@@ -302,13 +302,16 @@ def remove_repeats(docs: DataFrame, doc: str = "doc_id", text: str = "text", kee
     _release(spark)
 
     seen = stage_table(top.select("doc_id", "row").distinct(), "seen")
-    hashed = raw.mapInArrow(_with_row, "doc_id long, row long, data binary")
+    hashed = raw.select("doc_id", F.xxhash64("data").alias("row"), "data")
     texts = stage_table(_met(hashed, seen), "texts")
     _release(spark)
-    middle = _classify(_refined(texts, top.where("refine"), lambda d, *x: (o[1:] for o in blocks(d, *x)), ITEM), "blocks")
+    finer = stage_table(_refined(texts, top.where("refine"), blocks, ITEM), "finer")
+    _release(spark)
+    middle = _classify(finer, "blocks")
+    drop_staged(finer)
     _release(spark)
     single = stage_table(_refined(texts, middle.where("refine"), windows, ["doc_id", "row", "at", "lo", "s1", "s2"]), "windows")
-    twice = single.groupBy("s1", "s2").count().where("count > 1").select("s1", "s2")
+    twice = stage_table(single.groupBy("s1", "s2").count().where("count > 1").select("s1", "s2"), "twice")
     single = single.join(twice, ["s1", "s2"]).select("doc_id", "row", "lo", F.col("lo").alias("hi"))
     full = [x.where("full").select("doc_id", "row", "lo", "hi") for x in (top, middle)]
     spans = full[0].union(full[1]).union(single).groupBy("doc_id", "row").agg(F.array_sort(F.collect_set(F.struct("lo", "hi"))).alias("spans"))
@@ -346,10 +349,3 @@ def remove_repeats(docs: DataFrame, doc: str = "doc_id", text: str = "text", kee
     hashed = hashed.dropDuplicates(["doc_id", "row"])
     return changed.unionByName(_met(hashed.select("doc_id", "row", F.col("data").alias("kept")), rest).select(*changed.columns))
 
-
-def _with_row(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    import numpy as np
-
-    for b in batches:
-        rows = _signed(np.array([hash_of(t.as_py()) for t in b.column(1)], np.uint64))
-        yield pa.RecordBatch.from_arrays([b.column(0), rows, b.column(1)], names=["doc_id", "row", "data"])
