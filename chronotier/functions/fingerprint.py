@@ -25,14 +25,14 @@ def _rewritten(full: bool, form: str | None):
     import pandas as pd
     from pyspark.sql.functions import pandas_udf
 
-    @pandas_udf("string")
-    def rewrite(s: pd.Series) -> pd.Series:
+    def rewrite(s):
         import unicodedata
 
         s = s.map(lambda x: x if x is None else unicodedata.normalize(form, x)) if form else s
         return s.str.casefold() if full else s
 
-    return rewrite
+    rewrite.__annotations__ = {"s": pd.Series, "return": pd.Series}
+    return pandas_udf(rewrite, "string")
 
 
 def content_key(body: Column, bits: int = 256, **how) -> Column:

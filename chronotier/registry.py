@@ -624,3 +624,64 @@ def conversation_turns(spark, sf):
     k = load(spark, sf, "conversations").select("conv_id", "turn", fingerprint.content_key(F.col("text")).alias("content_key"))
     copies = k.groupBy("content_key").agg(F.count("*").alias("copies"))
     return k.join(copies, "content_key").select("conv_id", "turn", "content_key", "copies")
+
+
+# Vector indexes: a stated query set (every 20th vector) against all rows
+
+
+def _vectors(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame]:
+    v = load(spark, sf, "embeddings").select("vec_id", "embedding")
+    return v.where("vec_id % 20 = 0").withColumnRenamed("vec_id", "qid"), v
+
+
+@query("""WITH q AS (SELECT vec_id AS qid, embedding AS a FROM embeddings WHERE vec_id % 20 = 0),
+s AS (SELECT qid, vec_id, round(list_sum(list_transform(list_zip(CAST(a AS DOUBLE[]), CAST(embedding AS DOUBLE[])), lambda p: p[1] * p[2]))
+  / (sqrt(list_sum(list_transform(CAST(a AS DOUBLE[]), lambda p: p * p))) * sqrt(list_sum(list_transform(CAST(embedding AS DOUBLE[]), lambda p: p * p)))), 6) AS score FROM q, embeddings)
+SELECT qid, row_number() OVER (PARTITION BY qid ORDER BY score DESC, vec_id) AS rank, vec_id, score FROM s QUALIFY rank <= 10""")
+def vector_search_exact(spark, sf):
+    from chronotier.operators.ann import index
+
+    return index.exact(*_vectors(spark, sf))
+
+
+@query()
+def search_live_cells(spark, sf):
+    from chronotier.operators.ann import index
+
+    q, v = _vectors(spark, sf)
+    return index.Cells(v).search(q, nprobe=16)
+
+
+@query()
+def search_live_planes(spark, sf):
+    from chronotier.operators.ann import index
+
+    q, v = _vectors(spark, sf)
+    return index.Planes(v).search(q)
+
+
+@query()
+def search_live_graph(spark, sf):
+    from chronotier.operators.ann import index
+
+    q, v = _vectors(spark, sf)
+    return index.Graph(v).search(q)
+
+
+@query()
+def ann_recall(spark, sf):
+    from chronotier.operators.ann import index
+
+    q, v = _vectors(spark, sf)
+    exact = index.exact_blocks(q, v)
+    return metrics.recall_at_k(index.Graph(v).search(q), exact).withColumn("method", F.lit("graph"))
+
+
+@query()
+def encode_missing_hash(spark, sf):
+    """Dense vectors of the keys that the last revision brings, and only of these."""
+    changes = _changes(spark, sf)
+    known = changes.where("needs_encoding and revision < 5").select("content_key").distinct()
+    bodies = _segments(spark, sf).where("revision = 5").select("doc_id", "ordinal", "body")
+    new = changes.where("revision = 5").join(bodies, ["doc_id", "ordinal"])
+    return encode.encode_missing(new, known, encode.HashEncoder()).select("content_key", "dim", "encoder")
