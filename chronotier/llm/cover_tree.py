@@ -31,7 +31,8 @@ from chronotier.llm.common import Forest, connected_components, group_bounds, so
 CELL, BLOCK, LEAF = 1024, 1024, 12
 PIVOTS = 20_000
 SLACK = 1e-6
-CHUNK = 16_384  # node pairs whose distances are taken at a time
+CHUNK = 16_384  # pairs of leaves held at a time
+ROWS = 512  # nodes of one side whose distances are taken at a time
 
 
 class CoverTree:
@@ -48,21 +49,23 @@ class CoverTree:
                 continue
             while net >= self.radius[me]:
                 net /= 2
-            # A net of this radius over the members; the node's own centre is in it.
-            left, first = np.ones(len(members), bool), int(np.flatnonzero(members == self.centre[me])[0])
-            while True:
-                d = np.full(len(members), np.inf)
-                rest = np.flatnonzero(left)
-                d[rest] = far[rest] if first is not None and members[first] == self.centre[me] else np.linalg.norm(x[members[rest]] - x[members[first]], axis=1)
-                mine = np.flatnonzero(left & (d <= net))
-                left[mine] = False
-                node = self._node(int(members[first]), members[mine], d[mine], net)
-                self.kids[me].append(node[0])
-                todo.append(node)
-                rest = np.flatnonzero(left)
-                if not len(rest):
-                    break
-                first = int(rest[0])
+            # A net of this radius over the members; the node's own centre comes first.
+            own = members == self.centre[me]
+            order = np.concatenate((np.flatnonzero(own), np.flatnonzero(~own)))
+            left = np.ones(len(members), bool)
+            while len(order):
+                some = order[:64]  # their distances at once, then one after another
+                d = np.sqrt(np.maximum(0, 2 - 2 * x[members[some]] @ x[members].T))
+                for k, first in enumerate(some):
+                    if left[first]:
+                        mine = np.flatnonzero(left & (d[k] <= net))
+                        left[mine] = left[first] = False
+                        mine = mine if (mine == first).any() else np.append(mine, first)
+                        node = self._node(int(members[first]), members[mine], d[k][mine], net)
+                        self.kids[me].append(node[0])
+                        todo.append(node)
+                order = order[64:]
+                order = order[left[order]]
         self.radius = np.array(self.radius)
         self.centre = np.array(self.centre)
 
@@ -79,43 +82,50 @@ def dual(a: CoverTree, b: CoverTree, threshold: float, whole, pair) -> None:
     node pairs that are linked throughout, pair(p, q) arrays of candidate points."""
     import numpy as np
 
-    eps, same = float(np.sqrt(2 - 2 * threshold)), a is b
-    todo, leaves = [(0, 0)], []
+    eps, same, leaves = float(np.sqrt(2 - 2 * threshold)), a is b, []
+
+    def compare() -> None:
+        for at in range(0, len(leaves), 256):
+            ps, qs = [], []
+            for i, j in leaves[at : at + 256]:
+                m, n = a.members[i], b.members[j]
+                if same and i == j:
+                    u, v = np.triu_indices(len(m), 1)
+                    ps.append(m[u])
+                    qs.append(m[v])
+                else:
+                    ps.append(np.repeat(m, len(n)))
+                    qs.append(np.tile(n, len(m)))
+            pair(np.concatenate(ps), np.concatenate(qs))
+        leaves.clear()
+
+    todo = [(np.array([0]), np.array([0]), same)]
     while todo:
-        part, todo = todo[-CHUNK:], todo[:-CHUNK]
-        p, q = np.array(part).T
-        d = np.linalg.norm(a.x[a.centre[p]] - b.x[b.centre[q]], axis=1)
-        reach = a.radius[p] + b.radius[q]
-        for k in np.flatnonzero(d <= reach + eps + SLACK):
-            i, j = part[k]
+        p, q, twin = todo.pop()  # all nodes of p with all of q; twin: p is q, each pair once
+        if len(p) > ROWS:
+            todo += [(p[k : k + ROWS], q[k:] if twin else q, "edge" if twin else False) for k in range(0, len(p), ROWS)]
+            continue
+        d = np.sqrt(np.maximum(0, 2 - 2 * a.x[a.centre[p]] @ b.x[b.centre[q]].T))
+        reach = a.radius[p][:, None] + b.radius[q][None, :]
+        near = d <= reach + eps + SLACK
+        if twin:  # of the rows' own square only the upper half
+            near[np.tril_indices(len(p), -1)] = False
+        for k, m in np.argwhere(near):
+            i, j = int(p[k]), int(q[m])
             if same and i == j:
-                if not a.kids[i]:
-                    leaves.append((i, j))
+                if a.kids[i]:
+                    todo.append((np.array(a.kids[i]), np.array(a.kids[i]), True))
                 else:
-                    todo += [(s, t) for n, s in enumerate(a.kids[i]) for t in a.kids[i][n:]]
-            elif d[k] + reach[k] <= eps - SLACK:
+                    leaves.append((i, i))
+            elif d[k, m] + reach[k, m] <= eps - SLACK:
                 whole(a.members[i], b.members[j])
-            elif not a.kids[i] and not b.kids[j]:
-                leaves.append((i, j))
-            elif b.kids[j] and (not a.kids[i] or b.radius[j] > a.radius[i]):
-                todo += [(i, t) for t in b.kids[j]]
+            elif a.kids[i] or b.kids[j]:
+                todo.append((np.array(a.kids[i] or [i]), np.array(b.kids[j] or [j]), False))
             else:
-                todo += [(s, j) for s in a.kids[i]]
-        if len(leaves) >= CHUNK or not todo:
-            for at in range(0, len(leaves), 256):
-                ps, qs = [], []
-                for i, j in leaves[at : at + 256]:
-                    m, n = a.members[i], b.members[j]
-                    if same and i == j:
-                        u, v = np.triu_indices(len(m), 1)
-                        ps.append(m[u])
-                        qs.append(m[v])
-                    else:
-                        ps.append(np.repeat(m, len(n)))
-                        qs.append(np.tile(n, len(m)))
-                if ps:
-                    pair(np.concatenate(ps), np.concatenate(qs))
-            leaves = []
+                leaves.append((i, j))
+        if len(leaves) >= CHUNK:
+            compare()
+    compare()
 
 
 def _task(table: pa.Table, threshold: float):
