@@ -33,12 +33,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from chronotier.llm.common import drop_staged, stage_table
+from chronotier.llm.common import broadcast_if_small, drop_staged, stage_table
 
 LENGTH, GRAM, BLOCK = 400, 100, 20
 SEGMENT = 900_000  # bytes parsed at a time; with its margins under 2**20
 MARGIN = LENGTH + GRAM
 OUT = 100_000  # rows to a batch
+#: Documents with repeated triggers up to which their keys (16 bytes) are broadcast;
+#: beyond, their texts are shuffled once more.
+MAX_DOCS = 500_000
 _POWERS: dict = {}
 
 
@@ -303,7 +306,7 @@ def remove_repeats(docs: DataFrame, doc: str = "doc_id", text: str = "text", kee
 
     seen = stage_table(top.select("doc_id", "row").distinct(), "seen")
     hashed = raw.select("doc_id", F.xxhash64("data").alias("row"), "data")
-    texts = stage_table(_met(hashed, seen), "texts")
+    texts = stage_table(_met(hashed, broadcast_if_small(seen, MAX_DOCS)), "texts")
     _release(spark)
     finer = stage_table(_refined(texts, top.where("refine"), blocks, ITEM), "finer")
     _release(spark)
