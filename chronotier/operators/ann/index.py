@@ -71,14 +71,26 @@ class Cells:
         seen = vectors.where(F.pmod(F.xxhash64("vec_id"), F.lit(1 << 20)) < (1 << 20) * min(1.0, sample / max(1, n)))
         model = KMeans(k=n_cells, seed=seed, maxIter=10, featuresCol="f").fit(seen.select(array_to_vector("embedding").alias("f")))
         self.centres = [c.tolist() for c in model.clusterCenters()]
-        self.vectors = vectors.withColumn("cell", self._nearest(F.col("embedding"), 1)[0])
+        self.vectors = self._nearest(vectors, "vec_id", 1)
 
-    def _nearest(self, v, n: int):
-        near = F.array_sort(F.array(*[F.struct((-cosine(v, F.array(*map(F.lit, c)))).alias("d"), F.lit(i).alias("cell")) for i, c in enumerate(self.centres)]))
-        return F.transform(F.slice(near, 1, n), lambda x: x["cell"])
+    def _nearest(self, df: DataFrame, ident: str, n: int) -> DataFrame:
+        """(ident, embedding, cell) for the n nearest centres of each row."""
+        import numpy as np
+
+        c = np.array(self.centres)
+        c /= np.maximum(np.linalg.norm(c, axis=1), 1e-300)[:, None]
+
+        def run(frames: Iterator) -> Iterator:
+            for f in frames:
+                if len(f):
+                    near = np.argsort(-(np.stack(f["embedding"]) @ c.T), axis=1, kind="stable")[:, :n]
+                    out = f.loc[f.index.repeat(near.shape[1])]
+                    yield out.assign(cell=near.ravel())
+
+        return df.select(ident, "embedding").mapInPandas(run, f"{ident} long, embedding array<float>, cell long")
 
     def search(self, queries: DataFrame, k: int = 10, nprobe: int = 8) -> DataFrame:
-        q = queries.select("qid", F.col("embedding").alias("q"), F.explode(self._nearest(F.col("embedding"), nprobe)).alias("cell"))
+        q = self._nearest(queries, "qid", nprobe).withColumnRenamed("embedding", "q")
         met = self.vectors.join(F.broadcast(q), "cell")
         return _rank(met.select("qid", "vec_id", F.round(cosine(F.col("q"), F.col("embedding")), 6).alias("score")), k)
 
@@ -94,12 +106,21 @@ class Planes:
         self.coded = self._codes(vectors, "vec_id")
 
     def _codes(self, df: DataFrame, ident: str) -> DataFrame:
-        from chronotier.functions.score import dot
+        import numpy as np
+
+        planes = np.array(self.planes)
+        tables, bits, _ = planes.shape
+
+        def run(frames: Iterator) -> Iterator:
+            import pandas as pd
+
+            for f in frames:
+                if len(f):
+                    sign = np.einsum("nd,tbd->ntb", np.stack(f["embedding"]).astype(np.float64), planes) > 0
+                    code = (sign << np.arange(bits)).sum(2)
+                    yield pd.DataFrame({ident: np.repeat(f[ident].to_numpy(), tables), "tab": np.tile(np.arange(tables), len(f)), "code": code.ravel()})
 
-        v = F.col("embedding")
-        code = lambda t: sum((F.when(dot(v, F.array(*map(F.lit, p))) > 0, 1 << b).otherwise(0) for b, p in enumerate(t)), F.lit(0))
-        rows = F.explode(F.array(*[F.struct(F.lit(i).alias("tab"), code(t).alias("code")) for i, t in enumerate(self.planes)]))
-        return df.select(ident, rows.alias("c")).select(ident, "c.tab", "c.code")
+        return df.select(ident, "embedding").mapInPandas(run, f"{ident} long, tab long, code long")
 
     def search(self, queries: DataFrame, k: int = 10) -> DataFrame:
         pairs = self.coded.join(F.broadcast(self._codes(queries, "qid")), ["tab", "code"]).select("qid", "vec_id").distinct()

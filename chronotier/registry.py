@@ -65,6 +65,12 @@ def _history(spark: SparkSession, sf: str, profile: str = "structural") -> DataF
     return hist.stamp(_diffed(segs), segs)
 
 
+def _history_kept(spark: SparkSession, sf: str) -> DataFrame:
+    """The same, held for a query that reads it several times (in memory or on disk;
+    a lost executor's part is made again)."""
+    return _history(spark, sf).persist()
+
+
 def _live(spark: SparkSession, sf: str) -> DataFrame:
     return hist.snapshot_at(_history(spark, sf), None)
 
@@ -290,14 +296,14 @@ def snapshot_as_known(spark, sf):
 
 @query(f"{LIVE} SELECT doc_id, ordinal, content_key, effective_at, revision FROM live")
 def live_slots(spark, sf):
-    history = _history(spark, sf)
+    history = _history_kept(spark, sf)
     before = hist.snapshot_at(history, INSTANTS[4])
     return live.apply(before, history.where("revision = 5")).select("doc_id", "ordinal", "content_key", "effective_at", "revision")
 
 
 @query(f"{S} SELECT CAST(0 AS BIGINT) AS strays, count(*) AS slots FROM seg WHERE revision = 5")
 def live_equals_snapshot(spark, sf):
-    history = _history(spark, sf)
+    history = _history_kept(spark, sf)
     now = live.apply(hist.snapshot_at(history, INSTANTS[4]), history.where("revision = 5"))
     return live.strays(now, history).agg(F.count("*").alias("strays")).crossJoin(now.agg(F.count("*").alias("slots")))
 
@@ -357,7 +363,7 @@ def _side(t: int, s: str) -> str:
 @query(f"""{HI}, {_scored('spans', _BENCH)}, {_side(INSTANTS[2], 'f')}, {_side(NOW - 1, 't')}
 SELECT qid, doc_id, ordinal, rank_f AS rank_from, rank_t AS rank_to, score_f AS score_from, score_t AS score_to, CASE WHEN rank_f IS NULL THEN 'entered' WHEN rank_t IS NULL THEN 'left' WHEN key_f = key_t THEN 'stayed' ELSE 'reworded' END AS fate FROM f FULL JOIN t USING (qid, doc_id, ordinal)""")
 def search_between_sides(spark, sf):
-    return search.between(_benchmark(spark, sf), _history(spark, sf), INSTANTS[2], NOW)
+    return search.between(_benchmark(spark, sf), _history_kept(spark, sf), INSTANTS[2], NOW)
 
 
 @query(f"{HI}, part AS (SELECT * FROM spans WHERE effective_at < {INSTANTS[4]} AND (retired_at IS NULL OR retired_at > {INSTANTS[2]})), {_scored('part', _BENCH)}, {_TOP % 'part'} {_PICK % 'both'}")
@@ -469,7 +475,7 @@ _detection("structural")
 @query(f"""{HI} SELECT 'live' AS form, count(*) AS n_rows FROM spans WHERE retired_at IS NULL UNION ALL SELECT 'event_log', count(*) FROM history
 UNION ALL SELECT 'intervals', count(*) FROM spans UNION ALL SELECT 'full_copies', count(*) FROM seg""")
 def storage_rows(spark, sf):
-    history = _history(spark, sf)
+    history = _history_kept(spark, sf)
     return metrics.storage_rows(live.rebuild(history), history, hist.full_copies(_segments(spark, sf)))
 
 
@@ -497,10 +503,10 @@ _VARIANTS = (("snapshot_first", "true", True, False), ("unfiltered_live", "state
 
 @query(f"{HI}, {_ASKED}, {_scored('spans', 'asked')} " + " UNION ALL ".join(_variant(*v) for v in _VARIANTS))
 def leakage_by_variant(spark, sf):
-    history = _history(spark, sf)
+    history = _history_kept(spark, sf)
     spans = hist.intervals(history)
-    asked = _asked(history, spans)
-    scored = search.scored_keys(asked.select("qid", "text"), spans)
+    asked = _asked(history, spans).persist()
+    scored = search.scored_keys(asked.select("qid", "text"), spans).persist()
     met = scored.join(F.broadcast(asked.select("qid", "t")), "qid").join(spans.select("doc_id", "ordinal", "content_key", "effective_at", "retired_at", "revision"), "content_key")
     valid = (F.col("effective_at") <= F.col("t")) & (F.col("retired_at").isNull() | (F.col("retired_at") > F.col("t")))
     out = metrics.leakage(search.rank(met.withColumn("valid", valid).where("valid")), 100, 5, "snapshot_first")
@@ -515,7 +521,7 @@ hit AS (SELECT asked.qid, coalesce(max(CASE WHEN top.doc_id = before.doc_id AND
 SELECT count(*) AS queries, count(*) FILTER (found = 0 AND should = 0) + count(*) FILTER (found = 1 AND should = 1) AS agree, count(*) FILTER (found = 1 AND should = 0) AS leaked FROM hit""")
 def temporal_accuracy(spark, sf):
     """Is a slot's old text found exactly at the instants at which it was valid?"""
-    history = _history(spark, sf)
+    history = _history_kept(spark, sf)
     spans = hist.intervals(history)
     asked = _asked(history, spans)
     first = W.orderBy("doc_id", "ordinal", "effective_at")
@@ -549,7 +555,7 @@ def audit_lineage(spark, sf):
 @query(f"""{HI} SELECT revision, effective_at, {', '.join(f"count(*) FILTER (op = '{o}') AS {o}" for o in ('added', 'edited', 'moved', 'dropped', 'vacated'))},
 (SELECT count(*) FROM spans s WHERE s.effective_at <= h.effective_at AND (retired_at IS NULL OR retired_at > h.effective_at)) AS live_slots FROM history h GROUP BY revision, effective_at""")
 def audit_timeline(spark, sf):
-    return audit.timeline(_history(spark, sf))
+    return audit.timeline(_history_kept(spark, sf))
 
 
 @query(f"{CH} SELECT revision, doc_id, count(*) FILTER (needs_encoding) AS changed, count(*) FILTER (op NOT IN ('dropped', 'vacated')) AS total FROM changes WHERE NOT audit GROUP BY revision, doc_id")
