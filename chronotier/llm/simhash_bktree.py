@@ -13,6 +13,12 @@ their distance to the parent, and the other shard's fingerprints follow only
 edges within the radius. A task returns a spanning forest of its links, never all
 pairs. Shard trees travel by shuffle, not by way of the driver, since there are
 as many fingerprints as different texts.
+
+Texts that are similar, but not within a few bits, are linked by `group_similar`:
+at a Jaccard similarity of 0.8 of word shingles about ten of 64 bits differ, and a
+band of bits would hold random pairs as well. There the buckets are bands of
+min-hashes of the shingles, the BK-trees take a wide radius, and a sketch of
+minima by bin decides a link.
 """
 
 from __future__ import annotations
@@ -35,14 +41,11 @@ def words_of(text: str | None) -> list[bytes]:
     return text.encode().lower().split() if text else []
 
 
-def fingerprint(text: str | None, width: int = 3) -> int:
-    """The fingerprint as a signed 64-bit integer; zero for a text without words."""
+def shingle_hashes(words: list[bytes], width: int) -> Iterator:
+    """XXH64 of the shingles of one word at least, in arrays of CHUNK."""
     import numpy as np
     from xxhash import xxh64_intdigest
 
-    words = words_of(text)
-    if not words:
-        return 0
     line = b" ".join(words)
     ends, at = [], -1
     for w in words:
@@ -52,13 +55,34 @@ def fingerprint(text: str | None, width: int = 3) -> int:
         starts, ends = [0], [ends[-1]]
     else:
         starts, ends = [0, *(e + 1 for e in ends[: len(words) - width])], ends[width - 1 :]
-    n, bits = len(ends), np.zeros(64, np.int64)
-    for i in range(0, n, CHUNK):
-        h = np.array([xxh64_intdigest(line[a:b], 42) for a, b in zip(starts[i : i + CHUNK], ends[i : i + CHUNK], strict=True)], np.uint64)
-        bits += np.unpackbits(h.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
+    for i in range(0, len(ends), CHUNK):
+        yield np.array([xxh64_intdigest(line[a:b], 42) for a, b in zip(starts[i : i + CHUNK], ends[i : i + CHUNK], strict=True)], np.uint64)
+
+
+def _bit_counts(h):
+    """How many of the hashes have each of the 64 bits set."""
+    import numpy as np
+
+    return np.unpackbits(h.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
+
+
+def _packed(bits, n: int) -> int:
+    import numpy as np
+
     return int(np.packbits(2 * bits > n, bitorder="little").view(np.int64)[0])
 
 
+def fingerprint(text: str | None, width: int = 3) -> int:
+    """The fingerprint as a signed 64-bit integer; zero for a text without words."""
+    words = words_of(text)
+    if not words:
+        return 0
+    n = bits = 0
+    for h in shingle_hashes(words, width):
+        n, bits = n + len(h), bits + _bit_counts(h)
+    return _packed(bits, n)
+
+
 def fingerprints(docs: DataFrame, width: int = 3, doc: str = "doc_id", text: str = "text") -> DataFrame:
     """(doc_id BIGINT, fp BIGINT) per row of docs."""
 
@@ -173,3 +197,175 @@ def keep_one(docs: DataFrame, width: int = 3, radius: int = 2) -> DataFrame:
     groups = group_near_duplicates(docs, width, radius)
     gone = groups.where("doc_id <> component_id").select("doc_id").distinct()
     return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
+
+
+#: Bands of min-hashes and min-hashes in a band: of pairs at similarity 0.8, a
+#: share of 0.995 agree on a band; of those at 0.3, 0.08.
+BANDS, ROWS = 10, 4
+#: Bins of the sketch; its estimate has a standard deviation of 0.025 at 0.8.
+BINS = 256
+#: Bits between fingerprints that a BK-tree search follows: ten are expected at 0.8,
+#: and 20 are 3.5 standard deviations above.
+WIDE = 20
+
+
+def profile(text: str | None, width: int = 5) -> tuple[int, int, bytes, list[int]]:
+    """Fingerprint, hash of the words, sketch and bands of one text.
+
+    The sketch has one byte per bin of shingle hashes: 1 to 255 from the least hash
+    of the bin, 0 where no shingle falls. A text without words has no bands."""
+    import numpy as np
+    from xxhash import xxh64_intdigest
+
+    words = words_of(text)
+    key = xxh64_intdigest(b" ".join(words), 7)
+    key -= (key >> 63) << 64
+    if not words:
+        return 0, key, bytes(BINS), []
+    top = np.uint64(2**64 - 1)
+    n, bits, bins, mins = 0, 0, np.full(BINS, top), np.full(BANDS * ROWS, top)
+    factors = _odd_factors()
+    for h in shingle_hashes(words, width):
+        n, bits = n + len(h), bits + _bit_counts(h)
+        at = (h % np.uint64(BINS)).astype(np.int64)
+        np.minimum.at(bins, at, h // np.uint64(BINS))
+        for i, f in enumerate(factors):
+            mixed = h * f
+            mins[i] = min(mins[i], (mixed ^ (mixed >> np.uint64(32))).min())
+    sketch = np.where(bins == top, 0, bins % np.uint64(255) + np.uint64(1)).astype(np.uint8)
+    bands = [xxh64_intdigest(b.tobytes(), 42) for b in mins.reshape(BANDS, ROWS)]
+    return _packed(bits, n), key, sketch.tobytes(), [b - ((b >> 63) << 64) for b in bands]
+
+
+def _odd_factors():
+    """Multipliers of the min-hash functions, by a rule: hashes of 0, 1, 2, ..., made odd."""
+    import numpy as np
+    from xxhash import xxh64_intdigest
+
+    return [np.uint64(xxh64_intdigest(i.to_bytes(4, "little"), 42) | 1) for i in range(BANDS * ROWS)]
+
+
+def similarity(a, b) -> float:
+    """Estimated Jaccard similarity from two sketches (uint8 arrays): the share of
+    bins in use whose minima agree, less the agreement of one in 255 by chance."""
+    import numpy as np
+
+    used = np.count_nonzero(a | b)
+    if not used:
+        return 1.0
+    same = np.count_nonzero((a == b) & (a > 0)) / used
+    return (same - 1 / 255) / (1 - 1 / 255)
+
+
+def profiles(docs: DataFrame, width: int = 5) -> DataFrame:
+    """(doc_id, fp, words_key, sketch, bands) per row of docs."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            rows = [profile(t.as_py(), width) for t in b.column(1)]
+            fp, key, sketch, bands = zip(*rows, strict=True) if rows else ((),) * 4
+            cols = [b.column(0), pa.array(fp, pa.int64()), pa.array(key, pa.int64()), pa.array(sketch, pa.binary()), pa.array(bands, pa.list_(pa.int64()))]
+            yield pa.RecordBatch.from_arrays(cols, names=["doc_id", "fp", "words_key", "sketch", "bands"])
+
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, fp long, words_key long, sketch binary, bands array<long>")
+
+
+class ForestTree(BKTree):
+    """A BK-tree that joins similar texts into a forest. Once all nodes of a subtree
+    are in one component, a search from that component passes it by, so a large
+    group of near copies is not compared in pairs, and no link between components
+    is missed."""
+
+    __slots__ = ("rows", "forest", "alike", "radius", "whole")
+
+    def __init__(self, fps: list[int], rows: list[int], forest: Forest, alike, radius: int):
+        super().__init__(fps)
+        self.rows, self.forest, self.alike, self.radius = rows, forest, alike, radius
+        self.whole = [True] * len(rows)
+
+    def settle(self) -> Iterator[tuple[int, int]]:
+        """Links between parents and children; then marks subtrees of one component."""
+        for x, kids in enumerate(self.kids):
+            for d, c in kids.items():
+                if d <= self.radius and self.alike(self.rows[x], self.rows[c]) and self.forest.join(self.rows[x], self.rows[c]):
+                    yield self.rows[x], self.rows[c]
+        root = self.forest.root
+        for x in range(len(self.rows) - 1, -1, -1):
+            self.whole[x] = all(self.whole[c] and root(self.rows[c]) == root(self.rows[x]) for c in self.kids[x].values())
+
+    def search(self, fp: int, row: int) -> Iterator[tuple[int, int]]:
+        """Links that join row's component with others of the tree."""
+        todo, root, r = [0] if self.at else [], self.forest.root, self.radius
+        while todo:
+            x = todo.pop()
+            if self.whole[x] and root(self.rows[x]) == root(row):
+                continue
+            d = (self.at[x] ^ fp).bit_count()
+            if d <= r and root(self.rows[x]) != root(row) and self.alike(self.rows[x], row):
+                self.forest.join(self.rows[x], row)
+                yield self.rows[x], row
+            todo += [c for e, c in self.kids[x].items() if -r <= e - d <= r]
+
+
+def similar_links(nodes: DataFrame, least: float = 0.8, radius: int = WIDE, shard: int = 2048) -> DataFrame:
+    """Edges (a, b) that connect all nodes(rep, fp, words_key, sketch, bands) that
+    share a band, lie within the radius and have an estimated similarity of `least`.
+    The sketch travels only to buckets of two nodes and more."""
+    ids = ["fp", "words_key"]
+    spread = nodes.where("rep is not null").select(*ids, F.posexplode("bands").alias("band", "value"))
+    crowd = spread.groupBy("band", "value").count().where("count > 1")
+    crowd = crowd.select("band", "value", F.ceil(F.col("count") / shard).cast("int").alias("shards"))
+    own = F.pmod(F.xxhash64(*ids), F.col("shards")).cast("int")
+    met = spread.join(crowd, ["band", "value"]).withColumn("own", own)
+    met = met.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("shards") - 1)))
+    met = met.select(*ids, "band", "value", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), (F.col("own") <= F.col("other")).alias("tree"))
+    met = met.join(nodes.select(*ids, "rep", "sketch"), ids).drop("words_key")
+    block = ["band", "value", "i", "j"]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        import numpy as np
+
+        mask = (1 << 64) - 1
+        for table in sorted_groups(batches, block):
+            bounds = group_bounds(table, block).tolist()
+            fps, reps = [f & mask for f in table.column("fp").to_pylist()], table.column("rep").to_pylist()
+            tree, same = table.column("tree").to_pylist(), (table.column("i").to_numpy() == table.column("j").to_numpy()).tolist()
+            sketch = np.frombuffer(b"".join(table.column("sketch").to_pylist()), np.uint8).reshape(-1, BINS)
+            found = []
+            for lo, hi in zip(bounds, bounds[1:], strict=False):
+                rows = [x for x in range(hi - lo) if tree[lo + x]]
+                alike = lambda x, y, at=lo: similarity(sketch[at + x], sketch[at + y]) >= least
+                bk = ForestTree([fps[lo + x] for x in rows], rows, Forest(hi - lo), alike, radius)
+                found += [(lo + x, lo + y) for x, y in bk.settle()]
+                for q in rows if same[lo] else (x for x in range(hi - lo) if not tree[lo + x]):
+                    found += [(lo + x, lo + y) for x, y in bk.search(fps[lo + q], q)]
+            if found:
+                a, b = zip(*found, strict=True)
+                yield pa.RecordBatch.from_arrays([pa.array([reps[x] for x in e], pa.int64()) for e in (a, b)], names=["a", "b"])
+
+    return met.repartition(*block).sortWithinPartitions(*block).mapInArrow(run, "a long, b long")
+
+
+def group_similar(docs: DataFrame, width: int = 5, least: float = 0.8, radius: int = WIDE) -> DataFrame:
+    """(doc_id, component_id) per row of docs; component_id is the least doc_id that
+    links reach. Texts of the same words are linked, and those that similar_links
+    finds.
+
+    Null and empty texts are texts of no words, linked with each other only; a text
+    of fewer than `width` words is one shingle. Rows that share an id, null ids and
+    an empty table are treated as in group_near_duplicates."""
+    staged = stage_table(profiles(docs, width), "profiles")
+    ids = ["fp", "words_key"]
+    own = staged.select("doc_id", *ids)
+    nodes = stage_table(staged.groupBy(*ids).agg(F.min("doc_id").alias("rep"), F.any_value("sketch").alias("sketch"), F.any_value("bands").alias("bands")), "nodes")
+    comp = connected_components(similar_links(nodes, least, radius))
+    known = nodes.select(*ids, "rep").join(comp.withColumnRenamed("node", "rep"), "rep", "left")
+    known = known.select(*ids, F.coalesce("component", "rep").alias("component_id"))
+    return own.join(known, ids).select("doc_id", "component_id")
+
+
+def keep_one_similar(docs: DataFrame, width: int = 5, least: float = 0.8) -> DataFrame:
+    """The rows of docs whose doc_id is the least of its group by group_similar, or
+    null. Of rows that share an id, all stay or go together."""
+    gone = group_similar(docs, width, least).where("doc_id <> component_id").select("doc_id").distinct()
+    return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)

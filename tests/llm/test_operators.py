@@ -76,6 +76,51 @@ def test_simhash_fingerprint_and_odd_rows(spark):
     assert simhash_bktree.keep_one(odd(spark)).columns == odd(spark).columns
 
 
+@pytest.mark.parametrize("radius", [3, 8])
+def test_forest_tree_joins_all_components(radius):
+    rng = random.Random(radius)
+    fps = [rng.getrandbits(64) for _ in range(6)]
+    fps += [rng.choice(fps) ^ sum(1 << b for b in rng.sample(range(64), rng.randint(0, 5))) for _ in range(120)]
+    alike = lambda x, y: (fps[x] ^ fps[y]).bit_count() % 4 != 3
+    brute = common.Forest(len(fps))
+    for x in range(len(fps)):
+        for y in range(x):
+            if (fps[x] ^ fps[y]).bit_count() <= radius and alike(x, y):
+                brute.join(x, y)
+    rows, forest = list(range(0, len(fps), 2)), common.Forest(len(fps))
+    for half in (rows, list(range(1, len(fps), 2))):  # each half with itself, then one with the other
+        tree = simhash_bktree.ForestTree([fps[x] for x in half], half, forest, alike, radius)
+        list(tree.settle())
+        for q in range(len(fps)):
+            list(tree.search(fps[q], q))
+    assert [forest.root(x) for x in range(len(fps))] == [brute.root(x) for x in range(len(fps))]
+
+
+def test_similar_texts(spark):
+    rng = random.Random(5)
+    base = [" ".join(f"w{rng.randrange(5000)}" for _ in range(n)) for n in (120, 400, 90)]
+    shingles = lambda t: set(zip(*[t.split()[i:] for i in range(5)]))
+    texts = {}
+    for i, t in enumerate(base):
+        words = t.split()
+        texts[10 * i] = t
+        texts[10 * i + 1] = " ".join(w if k != 30 else "other" for k, w in enumerate(words))  # five shingles differ
+        texts[10 * i + 2] = " ".join(w.upper() if k % 4 else w for k, w in enumerate(words))  # the same words
+        texts[10 * i + 3] = " ".join(w if k % 8 else "x" for k, w in enumerate(words))  # few shingles left
+    texts |= {100: "", 101: None, 102: "a b", 103: "A  b", 104: "a c"}
+    for a, b in ((0, 1), (10, 11), (20, 21)):
+        x, y = shingles(texts[a]), shingles(texts[b])
+        assert len(x & y) / len(x | y) >= 0.88
+    docs = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    got = dict(simhash_bktree.group_similar(docs).collect())
+    want = {i: i - i % 10 if i < 100 and i % 10 < 3 else i for i in texts} | {101: 100, 103: 102}
+    assert got == want
+    kept = {r.doc_id for r in simhash_bktree.keep_one_similar(docs).collect()}
+    assert kept == {i for i in want if want[i] == i}
+    assert simhash_bktree.keep_one_similar(odd(spark)).columns == odd(spark).columns
+    assert simhash_bktree.group_similar(docs.limit(0)).collect() == []
+
+
 def test_cover_tree_pairs(spark):
     import numpy as np
 
