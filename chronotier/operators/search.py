@@ -17,17 +17,28 @@ from chronotier.operators import encode, history as hist
 MAX_QUERIES = 100_000
 
 
-def scored_keys(queries: DataFrame, slots: DataFrame, dim: int = encode.DIM) -> DataFrame:
+def _with_norm(v: DataFrame, by: str) -> DataFrame:
+    return v.join(v.groupBy(by).agg(F.sum(F.col("w") * F.col("w")).alias(f"n_{by}")), by)
+
+
+def key_vectors(slots: DataFrame, dim: int = encode.DIM) -> DataFrame:
+    """(content_key, bucket, w, n_content_key): the sparse vectors of all keys with
+    their squared lengths, encoded once and kept, so that a search encodes its
+    queries only. Keys of several tiers or instants may share one table."""
+    keys = slots.where("content_key is not null").groupBy("content_key").agg(F.min("body").alias("body"))
+    return _with_norm(encode.sparse(keys, "content_key", "body", dim), "content_key")
+
+
+def scored_keys(queries: DataFrame, slots: DataFrame, dim: int = encode.DIM, vectors: DataFrame | None = None) -> DataFrame:
     """(qid, content_key, score) of keys that share a hashed term with the query.
-    queries(qid, text); slots need content_key and body."""
+    queries(qid, text); slots need content_key and body. vectors: key_vectors of these
+    and possibly further slots; the keys of others than slots are left out below the
+    scoring."""
     if queries.limit(MAX_QUERIES + 1).count() > MAX_QUERIES:
         raise ValueError(f"more than {MAX_QUERIES} queries in a batch; split it")
     q = encode.sparse(queries, "qid", "text", dim).withColumnRenamed("w", "qw")
-    keys = slots.where("content_key is not null").groupBy("content_key").agg(F.min("body").alias("body"))
-    v = encode.sparse(keys, "content_key", "body", dim)
-    square = lambda df, by, w: df.groupBy(by).agg(F.sum(F.col(w) * F.col(w)).alias(f"n_{by}"))
-    v = v.join(square(v, "content_key", "w"), "content_key")
-    q = q.join(square(q, "qid", "qw"), "qid")
+    v = key_vectors(slots, dim) if vectors is None else vectors.join(slots.select("content_key"), "content_key", "left_semi")
+    q = q.join(q.groupBy("qid").agg(F.sum(F.col("qw") * F.col("qw")).alias("n_qid")), "qid")
     met = v.join(F.broadcast(q), "bucket").groupBy("qid", "content_key", "n_qid", "n_content_key").agg(F.sum(F.col("w") * F.col("qw")).alias("dot"))
     score = F.col("dot") / F.sqrt((F.col("n_qid") * F.col("n_content_key")).cast("double"))
     return met.select("qid", "content_key", F.round(score, 6).alias("score"))
@@ -39,21 +50,21 @@ def rank(scored: DataFrame, k: int = 5) -> DataFrame:
     return scored.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)
 
 
-def _answer(queries: DataFrame, slots: DataFrame, k: int, tier: str) -> DataFrame:
-    met = scored_keys(queries, slots).join(slots.select("doc_id", "ordinal", "content_key", "effective_at", "revision"), "content_key")
+def _answer(queries: DataFrame, slots: DataFrame, k: int, tier: str, vectors: DataFrame | None = None) -> DataFrame:
+    met = scored_keys(queries, slots, vectors=vectors).join(slots.select("doc_id", "ordinal", "content_key", "effective_at", "revision"), "content_key")
     best = rank(met, k)
     return best.select("qid", "rank", "score", "doc_id", "ordinal", "content_key", "effective_at", "revision", F.lit(tier).alias("tier"))
 
 
-def live(queries: DataFrame, slots: DataFrame, k: int = 5, where=None) -> DataFrame:
+def live(queries: DataFrame, slots: DataFrame, k: int = 5, where=None, vectors: DataFrame | None = None) -> DataFrame:
     """Top-k of the live slots; where: a predicate on them, applied before ranking."""
-    return _answer(queries, slots if where is None else slots.where(where), k, "hot")
+    return _answer(queries, slots if where is None else slots.where(where), k, "hot", vectors)
 
 
-def at(queries: DataFrame, history: DataFrame, t: int, k: int = 5, as_known_at: int | None = None, where=None) -> DataFrame:
+def at(queries: DataFrame, history: DataFrame, t: int, k: int = 5, as_known_at: int | None = None, where=None, vectors: DataFrame | None = None) -> DataFrame:
     """Top-k of what was valid at t (and known by commit as_known_at)."""
     slots = hist.snapshot_at(history, t, as_known_at)
-    return _answer(queries, slots if where is None else slots.where(where), k, "cold")
+    return _answer(queries, slots if where is None else slots.where(where), k, "cold", vectors)
 
 
 def at_each(queries: DataFrame, spans: DataFrame, k: int = 5) -> DataFrame:
@@ -65,7 +76,7 @@ def at_each(queries: DataFrame, spans: DataFrame, k: int = 5) -> DataFrame:
     return rank(met, k).select("qid", "t", "rank", "score", "doc_id", "ordinal", "content_key", "effective_at", "revision")
 
 
-def between(queries: DataFrame, history: DataFrame, t1: int, t2: int, k: int = 5, mode: str = "side_by_side") -> DataFrame:
+def between(queries: DataFrame, history: DataFrame, t1: int, t2: int, k: int = 5, mode: str = "side_by_side", vectors: DataFrame | None = None) -> DataFrame:
     """Over [t1, t2): side_by_side compares the answers at both ends (fate: stayed,
     reworded, entered, left), any_time ranks what was valid at any moment, delta ranks
     the events of the range."""
@@ -73,15 +84,15 @@ def between(queries: DataFrame, history: DataFrame, t1: int, t2: int, k: int = 5
         raise ValueError("t1 is after t2")
     if mode == "side_by_side":
         cols = ["rank", "score", "content_key"]
-        a, b = (at(queries, history, t, k).select("qid", "doc_id", "ordinal", *[F.col(c).alias(f"{c}_{s}") for c in cols]) for t, s in ((t1, "from"), (max(t1, t2 - 1), "to")))
+        a, b = (at(queries, history, t, k, vectors=vectors).select("qid", "doc_id", "ordinal", *[F.col(c).alias(f"{c}_{s}") for c in cols]) for t, s in ((t1, "from"), (max(t1, t2 - 1), "to")))
         met = a.join(b, ["qid", "doc_id", "ordinal"], "full_outer")
         fate = F.when(F.col("rank_from").isNull(), "entered").when(F.col("rank_to").isNull(), "left").when(F.col("content_key_from") == F.col("content_key_to"), "stayed").otherwise("reworded")
         return met.select("qid", "doc_id", "ordinal", "rank_from", "rank_to", "score_from", "score_to", fate.alias("fate"))
     if mode == "any_time":
         slots = hist.valid_between(hist.intervals(history), t1, t2)
-        return _answer(queries, slots, k, "both")
+        return _answer(queries, slots, k, "both", vectors)
     events = history.where((F.col("effective_at") >= t1) & (F.col("effective_at") < t2) & F.col("content_key").isNotNull())
-    met = scored_keys(queries, events).join(events.select("doc_id", "ordinal", "content_key", "effective_at", "revision", "op", "prior_key"), "content_key")
+    met = scored_keys(queries, events, vectors=vectors).join(events.select("doc_id", "ordinal", "content_key", "effective_at", "revision", "op", "prior_key"), "content_key")
     return rank(met, k).select("qid", "rank", "score", "doc_id", "ordinal", "effective_at", "op", "prior_key")
 
 

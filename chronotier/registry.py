@@ -15,7 +15,8 @@ from pyspark.sql import functions as F
 from chronotier.functions import fingerprint, route, segment
 from chronotier.operators import audit, baselines, diff, encode, history as hist, ledger, live, metrics, search
 from chronotier.plans.guard import assert_guard
-from chronotier.sources import workload
+from chronotier.plans import surface
+from chronotier.sources import scratch, workload
 from chronotier.sources import workload_sql as sql
 from chronotier.sources.tables import load
 from chronotier.sources.workload import INSTANTS
@@ -655,7 +656,7 @@ def search_live_cells(spark, sf):
     from chronotier.operators.ann import index
 
     q, v = _vectors(spark, sf)
-    return index.Cells(v).search(q, nprobe=16)
+    return index.Cells(v).search(q, nprobe=24)
 
 
 @query()
@@ -663,7 +664,7 @@ def search_live_planes(spark, sf):
     from chronotier.operators.ann import index
 
     q, v = _vectors(spark, sf)
-    return index.Planes(v).search(q)
+    return index.Planes(v, tables=24).search(q)
 
 
 @query()
@@ -691,3 +692,150 @@ def encode_missing_hash(spark, sf):
     bodies = _segments(spark, sf).where("revision = 5").select("doc_id", "ordinal", "body")
     new = changes.where("revision = 5").join(bodies, ["doc_id", "ordinal"])
     return encode.encode_missing(new, known, encode.HashEncoder()).select("content_key", "dim", "encoder")
+
+
+@query()
+def ann_recall_cells(spark, sf):
+    from chronotier.operators.ann import index
+
+    q, v = _vectors(spark, sf)
+    return metrics.recall_at_k(index.Cells(v).search(q, nprobe=24), index.exact_blocks(q, v)).withColumn("method", F.lit("cells"))
+
+
+@query()
+def ann_recall_planes(spark, sf):
+    from chronotier.operators.ann import index
+
+    q, v = _vectors(spark, sf)
+    return metrics.recall_at_k(index.Planes(v, tables=24).search(q), index.exact_blocks(q, v)).withColumn("method", F.lit("planes"))
+
+
+# Known-item search: a benchmark passage asked, the live slots that hold it wanted
+
+_WANTED = "bench AS (SELECT item_id AS qid, text FROM benchmark), wanted AS (SELECT qid, doc_id, ordinal FROM bench JOIN live ON contains(body, text))"
+
+
+@query(f"""{LIVE}, {_scored('live', _BENCH)}, {_TOP % 'live'}, {_WANTED},
+best AS (SELECT qid, sum(1 / log2(i + 1.0)) AS ideal FROM (SELECT qid, row_number() OVER (PARTITION BY qid ORDER BY doc_id, ordinal) AS i FROM wanted) WHERE i <= 5 GROUP BY qid),
+hits AS (SELECT qid, sum(1 / log2(rank + 1.0)) AS dcg, min(rank) AS first FROM ranked JOIN wanted USING (qid, doc_id, ordinal) WHERE rank <= 5 GROUP BY qid)
+SELECT count(*) AS queries, round(avg(coalesce(dcg / ideal, 0)), 6) AS ndcg, round(avg(coalesce(1.0 / first, 0)), 6) AS mrr FROM best LEFT JOIN hits USING (qid)""")
+def ann_ndcg(spark, sf):
+    history = _history_kept(spark, sf)
+    now, bench = hist.snapshot_at(history, None), _benchmark(spark, sf)
+    item = F.concat_ws(":", "doc_id", "ordinal").alias("item")
+    wanted = now.join(F.broadcast(bench), F.expr("contains(body, text)")).select("qid", item, F.lit(1).alias("rel"))
+    return metrics.ndcg_at_k(search.live(bench, now).select("qid", "rank", item), wanted, 5)
+
+
+# Models of cost
+
+_RATE = 0.1
+
+
+@query(f"WITH {sql.BASE}, n AS (SELECT count(*) AS c FROM base GROUP BY doc_id) SELECT round(sum(c * (1 - pow({1 - _RATE}, c))) / sum(c), 6) AS upsert, CAST({_RATE} AS DOUBLE) AS sync, round(sum(c * (1 - pow({1 - _RATE}, c))) / sum(c) / {_RATE}, 4) AS speedup FROM n")
+def work_model(spark, sf):
+    """Shares that upsert and chunk sync should reprocess if a tenth of the lines change."""
+    n = workload.base_lines(load(spark, sf, "documents")).groupBy("doc_id").agg(F.count("*").alias("c"))
+    share = F.sum(F.col("c") * (1 - F.pow(F.lit(1 - _RATE), F.col("c")))) / F.sum("c")
+    return n.agg(F.round(share, 6).alias("upsert"), F.lit(_RATE).alias("sync"), F.round(share / _RATE, 4).alias("speedup"))
+
+
+@query(f"WITH {sql.BASE} SELECT count(DISTINCT {sql.key('body')}) AS keys, round(2 * log2(count(DISTINCT {sql.key('body')})) - 257, 4) AS log2_bound FROM base")
+def collision_bound(spark, sf):
+    """Binary logarithm of the chance that any two of the corpus' keys collide."""
+    keys = workload.base_lines(load(spark, sf, "documents")).agg(F.count_distinct(fingerprint.content_key(F.col("body"))).alias("keys"))
+    return keys.select("keys", F.round(2 * F.log2("keys") - 257, 4).alias("log2_bound"))
+
+
+# SQL surface, streaming state, drills and timings
+
+
+@query(f"{HI}, {sql.snapshot(T3)} SELECT doc_id, ordinal, content_key, body, effective_at, revision FROM snap")
+def sql_snapshot(spark, sf):
+    surface.register(spark, _history(spark, sf))
+    return spark.sql(f"SELECT * FROM snapshot_at({T3})")
+
+
+@query(f"{HI} SELECT doc_id, ordinal, op, content_key, prior_key, effective_at, revision FROM history WHERE effective_at >= {INSTANTS[2]} AND effective_at < {INSTANTS[4]}")
+def sql_changes_between(spark, sf):
+    surface.register(spark, _history(spark, sf))
+    return spark.sql("SELECT * FROM changes_between(:a, :b)", args={"a": INSTANTS[2], "b": INSTANTS[4]})
+
+
+@query(_LINES % "string_split(text, chr(10))")
+def sql_split_document(spark, sf):
+    surface.register(spark, _history(spark, sf))
+    load(spark, sf, "documents").createOrReplaceTempView("split_input")
+    return spark.sql("SELECT doc_id, s.ordinal, s.body FROM split_input, LATERAL split_document(text) s")
+
+
+@query(f"{CH} SELECT doc_id, revision, ordinal, op, content_key, prior_key FROM changes WHERE op <> 'kept' AND NOT audit")
+def stream_ledger(spark, sf):
+    """All revisions as a stream, the ledger in streaming state; equals the batch diff."""
+    from chronotier.streaming import stream
+
+    rows = F.array_sort(F.collect_list(F.struct("ordinal", "content_key")))
+    made = _segments(spark, sf).groupBy("doc_id", "revision").agg(F.transform(rows, lambda x: x["content_key"]).alias("keys"))
+    every = made.select("doc_id").distinct().withColumn("revision", F.explode(F.sequence(F.lit(1).cast("long"), F.lit(5).cast("long"))))
+    every = every.join(made, ["doc_id", "revision"], "left").select("doc_id", "revision", workload.instant(F.col("revision")).alias("effective_at"), "keys")
+    at = scratch.folder(spark, "stream")
+    every.write.parquet(f"{at}/in")
+    source = spark.readStream.schema(every.schema).parquet(f"{at}/in")
+    stream.changes_to(source, f"{at}/out", f"{at}/checkpoint")
+    return spark.read.schema(stream.LEDGER_CHANGES).parquet(f"{at}/out").drop("effective_at")
+
+
+@query()
+def commit_faults(spark, sf):
+    """The protocol broken at each of its points, then reconciled and delivered again:
+    (point, lost, strays) with the rows that the history lacks and tiers disagree on."""
+    from chronotier.operators.commit import POINTS, Fault, Store
+
+    events, rows = _history_kept(spark, sf), []
+    key = ["doc_id", "ordinal", "revision"]
+    for point in POINTS:
+        store = Store(spark, scratch.folder(spark, "store"))
+        for revision in (1, 2):
+            batch = events.where(F.col("revision") == revision)
+            store.fault = point if revision == 2 else None
+            try:
+                store.publish(batch, f"r{revision}")
+            except Fault:
+                store.reconcile("forward")
+                store.publish(batch, f"r{revision}")
+        kept = store.history()
+        rows.append((point, events.where("revision <= 2").join(kept.select(*key), key, "left_anti").count(), live.strays(store.live(), kept).count()))
+    return spark.createDataFrame(rows, "point string, lost long, strays long")
+
+
+@query()
+def query_latency(spark, sf):
+    """Milliseconds by route: the benchmark texts asked of the live tier, of an instant
+    and of a range, each five times; tiers and the keys' vectors are
+    stored tables. p50, p95 and p99."""
+    at, q = scratch.folder(spark, "tiers"), _benchmark(spark, sf)
+
+    def stored(df: DataFrame, name: str) -> DataFrame:
+        df.write.parquet(f"{at}/{name}")
+        return spark.read.schema(df.schema).parquet(f"{at}/{name}")
+
+    history = stored(_history(spark, sf), "history")
+    now, vectors = stored(hist.snapshot_at(history, None), "live"), stored(search.key_vectors(history), "vectors")
+    save = lambda df: df.write.format("noop").mode("overwrite").save()
+    routes = {"live": lambda: save(search.live(q, now, vectors=vectors)), "historical": lambda: save(search.at(q, history, T3, vectors=vectors)), "comparative": lambda: save(search.between(q, history, INSTANTS[2], NOW, vectors=vectors))}
+    return spark.createDataFrame([(name, *(float(x) for x in metrics.timed(fn, 5).values())) for name, fn in routes.items()], "route string, p50 double, p95 double, p99 double")
+
+
+@query()
+def update_latency(spark, sf):
+    """Milliseconds to encode what each strategy sends at the last revision: chunk sync,
+    upsert of changed documents, full; with the rows sent."""
+    segs = _segments(spark, sf, "steady").persist()
+    bodies = segs.where("revision = 5").select("doc_id", "revision", "ordinal", "body", "content_key")
+    sync = baselines.chunk_sync(segs).where("revision = 5").select("doc_id", "revision", "ordinal")
+    sent = {"sync": bodies.join(sync, ["doc_id", "revision", "ordinal"], "left_semi"), "upsert": baselines.document_upsert(segs).where("revision = 5"), "full": bodies}
+    rows = []
+    for name, df in sent.items():
+        took = metrics.timed(lambda df=df: encode.HashEncoder().encode(df).write.format("noop").mode("overwrite").save(), 3)
+        rows.append((name, df.count(), float(took["p50"])))
+    return spark.createDataFrame(rows, "strategy string, n_rows long, ms double")

@@ -90,6 +90,7 @@ def revisions(spark: SparkSession, sf_dir: str, profile: str = "steady", edits:
 
 def segments(spark: SparkSession, sf_dir: str, profile: str = "steady", edits: int = 100) -> DataFrame:
     """The revisions cut into lines, with keys: what the engine sees. The lines are
-    taken as they were generated, which equals splitting `revisions` again."""
+    taken as they were generated; splitting `revisions` again gives the same but for
+    appended passages that hold a line end, which are one line here."""
     made = lines(spark, sf_dir, profile, edits).withColumn("kind", F.lit("line"))
     return fingerprint.with_keys(made).select("doc_id", "revision", "effective_at", "ordinal", "kind", "body", "content_key", "origin")

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -79,3 +81,60 @@ def matched_queries(queries: DataFrame, updates: DataFrame, within: str = "1 hou
 
 def replayed(history: DataFrame) -> DataFrame:
     return hist.snapshot_at(history, None)
+
+
+def keyed(versions: DataFrame) -> DataFrame:
+    """Versions with the ordered keys of their lines in place of the text: (doc_id,
+    revision, effective_at, keys), keys null for a withdrawn document. Narrow, so it
+    serves streams as well."""
+    lines = F.filter(F.split("text", "\n"), lambda x: F.length(F.regexp_replace(x, segment.BLANK, "")) > 0)
+    keys = F.transform(lines, lambda x: fingerprint.content_key(x))
+    return versions.select("doc_id", "revision", "effective_at", F.when(~F.coalesce("gone", F.lit(False)), F.coalesce(keys, F.array().cast("array<string>"))).alias("keys"))
+
+
+def slot_changes(was: list[str], now: list[str]) -> Iterator[tuple[int, str, str | None, str | None]]:
+    """(ordinal, op, content_key, prior_key) of the slots that are not kept, as
+    diff.combined has them, from two lists of keys."""
+    old, new = set(was), set(now)
+    for i in range(max(len(was), len(now))):
+        a, b = was[i] if i < len(was) else None, now[i] if i < len(now) else None
+        if b is not None and a != b:
+            op = "moved" if b in old else "edited" if a is not None and a not in new else "added"
+            yield i, op, b, a if op == "edited" else None
+        elif b is None:
+            yield i, "vacated" if a in new else "dropped", None, a
+
+
+LEDGER_STATE = "revision long, effective_at long, keys array<string>"
+LEDGER_CHANGES = "doc_id long, revision long, effective_at long, ordinal long, op string, content_key string, prior_key string"
+
+
+def ledger_stream(versions: DataFrame) -> DataFrame:
+    """A stream of versions (see keyed) turned into a stream of changes, with the ledger
+    as keyed state: a document's last keys stay with the task that owns the document,
+    so no batch reads the live tier. State holds 64 characters per live slot. Versions
+    of one batch are taken in order of time; a version that is not later than the
+    document's last is a redelivery or late, and gives nothing here (late_policy)."""
+
+    def step(key, frames, state):
+        import pandas as pd
+
+        got = pd.concat(list(frames)).sort_values(["effective_at", "revision"], kind="stable")
+        seen = state.get if state.exists else None
+        last, was = (seen[1], seen[0]) if seen else (-(2**63), 0), list(seen[2]) if seen else []
+        out = []
+        for revision, at, keys in zip(got["revision"], got["effective_at"], got["keys"], strict=True):
+            if (at, revision) <= last:
+                continue
+            now = [] if keys is None else list(keys)
+            out += [(key[0], revision, at, *change) for change in slot_changes(was, now)]
+            last, was = (at, revision), now
+        state.update((int(last[1]), int(last[0]), was))
+        yield pd.DataFrame(out, columns=["doc_id", "revision", "effective_at", "ordinal", "op", "content_key", "prior_key"])
+
+    return versions.groupBy("doc_id").applyInPandasWithState(step, LEDGER_CHANGES, LEDGER_STATE, "append", "NoTimeout")
+
+
+def changes_to(versions: DataFrame, path: str, checkpoint: str) -> None:
+    """Run ledger_stream over what is there, appending the changes as Parquet."""
+    ledger_stream(versions).writeStream.format("parquet").option("checkpointLocation", checkpoint).trigger(availableNow=True).start(path).awaitTermination()

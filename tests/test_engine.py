@@ -112,3 +112,20 @@ def test_work_model():
     m = metrics.work_model(0.1, [18] * 10)
     assert abs(m["upsert"] - 0.85) < 0.01 and m["sync"] == 0.1
     assert metrics.collision_bound(2) == -255
+
+
+def test_sql_surface(spark):
+    from chronotier.plans import surface
+
+    surface.register(spark, events(spark))
+    for t in (99, 150, 200):
+        want = {(r["doc_id"], r["content_key"]) for r in hist.snapshot_at(events(spark), t).collect()}
+        assert {(r[0], r[1]) for r in spark.sql(f"SELECT doc_id, content_key FROM snapshot_at({t})").collect()} == want
+    lines = spark.sql("SELECT s.* FROM VALUES ('a\\n \\t\\nb') v(x), LATERAL split_document(x) s").collect()
+    assert [tuple(r) for r in lines] == [(0, "a"), (1, "b")]
+
+
+def test_kept_vectors_score_the_same(spark):
+    q = spark.createDataFrame([(1, "old text"), (2, "")], "qid long, text string")
+    h = events(spark)
+    assert search.at(q, h, 150).collect() == search.at(q, h, 150, vectors=search.key_vectors(h)).collect()
