@@ -828,8 +828,8 @@ def query_latency(spark, sf):
 
 @query()
 def update_latency(spark, sf):
-    """Milliseconds to encode what each strategy sends at the last revision: chunk sync,
-    upsert of changed documents, full; with the rows sent."""
+    """Milliseconds to find and encode what each strategy sends at the last revision:
+    chunk sync, upsert of changed documents, full; with the rows sent."""
     segs = _segments(spark, sf, "steady").persist()
     bodies = segs.where("revision = 5").select("doc_id", "revision", "ordinal", "body", "content_key")
     sync = baselines.chunk_sync(segs).where("revision = 5").select("doc_id", "revision", "ordinal")
