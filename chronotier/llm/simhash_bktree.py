@@ -17,20 +17,23 @@ as many fingerprints as different texts.
 Texts that are similar, but not within a few bits, are linked by `group_similar`:
 at a Jaccard similarity of 0.8 of word shingles about ten of 64 bits differ, and a
 band of bits would hold random pairs as well. There the buckets are bands of
-min-hashes of the shingles, the BK-trees take a wide radius, and a sketch of
-minima by bin decides a link.
+min-hashes of the shingles, and the BK-trees take a wide radius. A sketch of minima
+by bin passes over pairs that are far from similar; the Jaccard similarity of the
+two sets of shingles decides a link. The sets travel only for texts that share a
+bucket with another.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import cache
 from itertools import combinations
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from chronotier.llm.common import Forest, connected_components, group_bounds, sorted_groups, stage_table
+from chronotier.llm.common import Forest, broadcast_if_small, connected_components, group_bounds, sorted_groups, stage_table
 
 #: Shingles hashed at a time, which bounds memory for a very long text.
 CHUNK = 1 << 16
@@ -200,17 +203,40 @@ def keep_one(docs: DataFrame, width: int = 3, radius: int = 2) -> DataFrame:
 
 
 #: Bands of min-hashes and min-hashes in a band: of pairs at similarity 0.8, a
-#: share of 0.995 agree on a band; of those at 0.3, 0.08.
-BANDS, ROWS = 10, 4
+#: share of 0.99997 agree on a band; of those at 0.3, 0.15.
+BANDS, ROWS = 20, 4
 #: Bins of the sketch; its estimate has a standard deviation of 0.025 at 0.8.
 BINS = 256
+#: Pairs whose sketches agree on a lesser share than this of the bins in use are passed
+#: over, where FEW bins or more are in use: six standard deviations at 0.8 and FEW bins.
+LOOSE, FEW = 0.5, 64
+#: Shingles in a shard of a bucket, which bounds the memory of a task.
+SHARD_SHINGLES = 2_000_000
+#: Texts that share a bucket, up to which their keys are broadcast.
+MAX_SHARED = 500_000
 #: Bits between fingerprints that a BK-tree search follows: ten are expected at 0.8,
 #: and 20 are 3.5 standard deviations above.
 WIDE = 20
 
 
-def profile(text: str | None, width: int = 5) -> tuple[int, int, bytes, list[int]]:
-    """Fingerprint, hash of the words, sketch and bands of one text.
+def shingle_set(words: list[bytes], width: int):
+    """The hashes of the different shingles, in order."""
+    import numpy as np
+
+    return np.unique(np.concatenate([*shingle_hashes(words, width)])) if words else np.empty(0, np.uint64)
+
+
+def words_key(words: list[bytes]) -> int:
+    """A signed 64-bit hash of the words."""
+    from xxhash import xxh64_intdigest
+
+    key = xxh64_intdigest(b" ".join(words), 7)
+    return key - ((key >> 63) << 64)
+
+
+def profile(text: str | None, width: int = 5) -> tuple[int, int, int, bytes, list[int]]:
+    """Fingerprint, hash of the words, number of different shingles, sketch and bands
+    of one text.
 
     The sketch has one byte per bin of shingle hashes: 1 to 255 from the least hash
     of the bin, 0 where no shingle falls. A text without words has no bands."""
@@ -218,56 +244,74 @@ def profile(text: str | None, width: int = 5) -> tuple[int, int, bytes, list[int
     from xxhash import xxh64_intdigest
 
     words = words_of(text)
-    key = xxh64_intdigest(b" ".join(words), 7)
-    key -= (key >> 63) << 64
+    key = words_key(words)
     if not words:
-        return 0, key, bytes(BINS), []
+        return 0, key, 0, bytes(BINS), []
     top = np.uint64(2**64 - 1)
     n, bits, bins, mins = 0, 0, np.full(BINS, top), np.full(BANDS * ROWS, top)
-    factors = _odd_factors()
     for h in shingle_hashes(words, width):
         n, bits = n + len(h), bits + _bit_counts(h)
-        at = (h % np.uint64(BINS)).astype(np.int64)
-        np.minimum.at(bins, at, h // np.uint64(BINS))
-        for i, f in enumerate(factors):
-            mixed = h * f
-            mins[i] = min(mins[i], (mixed ^ (mixed >> np.uint64(32))).min())
+    own, factors = shingle_set(words, width), _odd_factors()[:, None]
+    np.minimum.at(bins, (own % np.uint64(BINS)).astype(np.int64), own // np.uint64(BINS))
+    for i in range(0, len(own), 1 << 12):
+        mixed = own[i : i + (1 << 12)] * factors
+        mins = np.minimum(mins, (mixed ^ (mixed >> np.uint64(32))).min(1))
     sketch = np.where(bins == top, 0, bins % np.uint64(255) + np.uint64(1)).astype(np.uint8)
     bands = [xxh64_intdigest(b.tobytes(), 42) for b in mins.reshape(BANDS, ROWS)]
-    return _packed(bits, n), key, sketch.tobytes(), [b - ((b >> 63) << 64) for b in bands]
+    return _packed(bits, n), key, len(own), sketch.tobytes(), [b - ((b >> 63) << 64) for b in bands]
 
 
+@cache
 def _odd_factors():
     """Multipliers of the min-hash functions, by a rule: hashes of 0, 1, 2, ..., made odd."""
     import numpy as np
     from xxhash import xxh64_intdigest
 
-    return [np.uint64(xxh64_intdigest(i.to_bytes(4, "little"), 42) | 1) for i in range(BANDS * ROWS)]
+    return np.array([xxh64_intdigest(i.to_bytes(4, "little"), 42) | 1 for i in range(BANDS * ROWS)], np.uint64)
+
+
+def jaccard(a, b) -> float:
+    """Jaccard similarity of two sets of shingle hashes in order."""
+    import numpy as np
+
+    both = len(np.intersect1d(a, b, assume_unique=True))
+    return both / (len(a) + len(b) - both)
 
 
-def similarity(a, b) -> float:
-    """Estimated Jaccard similarity from two sketches (uint8 arrays): the share of
-    bins in use whose minima agree, less the agreement of one in 255 by chance."""
+def maybe(sketches, sizes, x, y, least: float):
+    """Whether texts x (positions) may be similar to y: by the numbers of shingles,
+    which loses nothing, and by the sketches."""
     import numpy as np
 
-    used = np.count_nonzero(a | b)
-    if not used:
-        return 1.0
-    same = np.count_nonzero((a == b) & (a > 0)) / used
-    return (same - 1 / 255) / (1 - 1 / 255)
+    a, b = sketches[x], sketches[y]
+    used, same = np.count_nonzero(a | b, -1), np.count_nonzero((a == b) & (a > 0), -1)
+    low, high = np.minimum(sizes[x], sizes[y]), np.maximum(sizes[x], sizes[y])
+    return (low / high >= least) & ((used < FEW) | (same >= LOOSE * used))
 
 
 def profiles(docs: DataFrame, width: int = 5) -> DataFrame:
-    """(doc_id, fp, words_key, sketch, bands) per row of docs."""
+    """(doc_id, fp, words_key, n, sketch, bands) per row of docs."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             rows = [profile(t.as_py(), width) for t in b.column(1)]
-            fp, key, sketch, bands = zip(*rows, strict=True) if rows else ((),) * 4
-            cols = [b.column(0), pa.array(fp, pa.int64()), pa.array(key, pa.int64()), pa.array(sketch, pa.binary()), pa.array(bands, pa.list_(pa.int64()))]
-            yield pa.RecordBatch.from_arrays(cols, names=["doc_id", "fp", "words_key", "sketch", "bands"])
+            fp, key, n, sketch, bands = zip(*rows, strict=True) if rows else ((),) * 5
+            cols = [b.column(0), pa.array(fp, pa.int64()), pa.array(key, pa.int64()), pa.array(n, pa.int64()), pa.array(sketch, pa.binary()), pa.array(bands, pa.list_(pa.int64()))]
+            yield pa.RecordBatch.from_arrays(cols, names=["doc_id", "fp", "words_key", "n", "sketch", "bands"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, fp long, words_key long, sketch binary, bands array<long>")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, fp long, words_key long, n long, sketch binary, bands array<long>")
+
+
+def shingle_sets(docs: DataFrame, width: int) -> DataFrame:
+    """(rep, words_key, shingles) per row of docs: its id, and its shingle hashes as bytes."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            words = [words_of(t.as_py()) for t in b.column(1)]
+            cols = [b.column(0), pa.array([words_key(w) for w in words], pa.int64()), pa.array([shingle_set(w, width).tobytes() for w in words], pa.binary())]
+            yield pa.RecordBatch.from_arrays(cols, names=["rep", "words_key", "shingles"])
+
+    return docs.select("rep", "text").mapInArrow(run, "rep long, words_key long, shingles binary")
 
 
 class ForestTree(BKTree):
@@ -307,19 +351,27 @@ class ForestTree(BKTree):
             todo += [c for e, c in self.kids[x].items() if -r <= e - d <= r]
 
 
-def similar_links(nodes: DataFrame, least: float = 0.8, radius: int = WIDE, shard: int = 2048) -> DataFrame:
-    """Edges (a, b) that connect all nodes(rep, fp, words_key, sketch, bands) that
-    share a band, lie within the radius and have an estimated similarity of `least`.
-    The sketch travels only to buckets of two nodes and more."""
+def shared_buckets(nodes: DataFrame, shard: int = 2048) -> DataFrame:
+    """(fp, words_key, rep, band, value, i, j, tree) of nodes(fp, words_key, rep, n,
+    bands) that share a band with another, per pair of shards i and j of the bucket.
+    Of buckets that hold the same nodes, one stays."""
     ids = ["fp", "words_key"]
-    spread = nodes.where("rep is not null").select(*ids, F.posexplode("bands").alias("band", "value"))
-    crowd = spread.groupBy("band", "value").count().where("count > 1")
-    crowd = crowd.select("band", "value", F.ceil(F.col("count") / shard).cast("int").alias("shards"))
-    own = F.pmod(F.xxhash64(*ids), F.col("shards")).cast("int")
-    met = spread.join(crowd, ["band", "value"]).withColumn("own", own)
+    spread = nodes.where("rep is not null").select(*ids, "rep", "n", F.posexplode("bands").alias("band", "value"))
+    marks = [F.bit_xor(F.xxhash64(F.lit(k), *ids)).alias(f"x{k}") for k in (0, 1)]
+    crowd = spread.groupBy("band", "value").agg(F.count("*").alias("count"), F.sum("n").alias("n"), *marks).where("count > 1")
+    crowd = crowd.groupBy("count", "n", "x0", "x1").agg(F.min(F.struct("band", "value")).alias("k"))
+    shards = F.ceil(F.greatest(F.col("count") / shard, F.col("n") / SHARD_SHINGLES)).cast("int")
+    met = spread.drop("n").join(crowd.select("k.band", "k.value", shards.alias("shards")), ["band", "value"])
+    met = met.withColumn("own", F.pmod(F.xxhash64(*ids), F.col("shards")).cast("int"))
     met = met.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("shards") - 1)))
-    met = met.select(*ids, "band", "value", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), (F.col("own") <= F.col("other")).alias("tree"))
-    met = met.join(nodes.select(*ids, "rep", "sketch"), ids).drop("words_key")
+    return met.select(*ids, "rep", "band", "value", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), (F.col("own") <= F.col("other")).alias("tree"))
+
+
+def similar_links(met: DataFrame, sets: DataFrame, least: float = 0.8, radius: int = WIDE) -> DataFrame:
+    """Edges (a, b) that connect all rows of shared_buckets that share a bucket, lie
+    within the radius and have a Jaccard similarity of `least` or more; sets has
+    (rep, words_key, sketch, shingles)."""
+    met = met.join(sets, ["rep", "words_key"]).drop("words_key")
     block = ["band", "value", "i", "j"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -331,10 +383,12 @@ def similar_links(nodes: DataFrame, least: float = 0.8, radius: int = WIDE, shar
             fps, reps = [f & mask for f in table.column("fp").to_pylist()], table.column("rep").to_pylist()
             tree, same = table.column("tree").to_pylist(), (table.column("i").to_numpy() == table.column("j").to_numpy()).tolist()
             sketch = np.frombuffer(b"".join(table.column("sketch").to_pylist()), np.uint8).reshape(-1, BINS)
+            sets = [np.frombuffer(x.as_buffer(), np.uint64) for x in table.column("shingles")]
+            sizes = np.array([len(x) for x in sets])
             found = []
             for lo, hi in zip(bounds, bounds[1:], strict=False):
                 rows = [x for x in range(hi - lo) if tree[lo + x]]
-                alike = lambda x, y, at=lo: similarity(sketch[at + x], sketch[at + y]) >= least
+                alike = lambda x, y, at=lo: maybe(sketch, sizes, at + x, at + y, least) and jaccard(sets[at + x], sets[at + y]) >= least
                 bk = ForestTree([fps[lo + x] for x in rows], rows, Forest(hi - lo), alike, radius)
                 found += [(lo + x, lo + y) for x, y in bk.settle()]
                 for q in rows if same[lo] else (x for x in range(hi - lo) if not tree[lo + x]):
@@ -357,8 +411,13 @@ def group_similar(docs: DataFrame, width: int = 5, least: float = 0.8, radius: i
     staged = stage_table(profiles(docs, width), "profiles")
     ids = ["fp", "words_key"]
     own = staged.select("doc_id", *ids)
-    nodes = stage_table(staged.groupBy(*ids).agg(F.min("doc_id").alias("rep"), F.any_value("sketch").alias("sketch"), F.any_value("bands").alias("bands")), "nodes")
-    comp = connected_components(similar_links(nodes, least, radius))
+    nodes = stage_table(staged.groupBy(*ids).agg(F.min("doc_id").alias("rep"), *[F.any_value(c).alias(c) for c in ("n", "sketch", "bands")]), "nodes")
+    met = stage_table(shared_buckets(nodes), "buckets")
+    few = broadcast_if_small(stage_table(met.select("rep", "words_key").distinct(), "shared"), MAX_SHARED)
+    texts = docs.select(F.col("doc_id").cast("long").alias("rep"), "text").join(few.select("rep"), "rep", "left_semi")
+    sets = shingle_sets(texts, width).join(few, ["rep", "words_key"], "left_semi").dropDuplicates(["rep", "words_key"])
+    sets = stage_table(sets.join(nodes.select("rep", "words_key", "sketch"), ["rep", "words_key"]), "sets")
+    comp = connected_components(similar_links(met, sets, least, radius))
     known = nodes.select(*ids, "rep").join(comp.withColumnRenamed("node", "rep"), "rep", "left")
     known = known.select(*ids, F.coalesce("component", "rep").alias("component_id"))
     return own.join(known, ids).select("doc_id", "component_id")

@@ -293,3 +293,19 @@ def test_licences(spark):
     assert got == {1: ("Apache-2.0", "Apache-2.0", None), 2: (None, "MIT", "a/b"), 3: ("MIT", "MIT", None), 4: (None, None, None), 5: (None, "Apache-2.0", "a")}
     assert license_scan.scan(none(spark), F.lit("a/b")).count() == 0
     assert license_scan.scan(odd(spark), F.lit("a/b")).count() == 9
+
+
+def test_similar_texts_by_exact_jaccard(spark):
+    """The set similarity decides on either side of 0.8, in short and in long texts."""
+    texts, want = {}, {}
+    for k in range(60):
+        mark = lambda t, k=k: " ".join(f"{k}{w}" for w in t.split())
+        n = 13 + k % 3 if k < 30 else 300 + k
+        words = [f"w{i}" for i in range(n)]
+        s = n - 4  # shingles; a cut tail of c words leaves s - c of s
+        cut = s // 5 + (k % 2)
+        texts[2 * k], texts[2 * k + 1] = mark(" ".join(words)), mark(" ".join(words[: n - cut]))
+        want[2 * k], want[2 * k + 1] = 2 * k, 2 * k if (s - cut) / s >= 0.8 else 2 * k + 1
+    assert {want[2 * k + 1] == 2 * k for k in range(60)} == {True, False}
+    docs = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    assert dict(simhash_bktree.group_similar(docs).collect()) == want
