@@ -17,10 +17,11 @@ as many fingerprints as different texts.
 Texts that are similar, but not within a few bits, are linked by `group_similar`:
 at a Jaccard similarity of 0.8 of word shingles about ten of 64 bits differ, and a
 band of bits would hold random pairs as well. There the buckets are bands of
-min-hashes of the shingles, and the BK-trees take a wide radius. A sketch of minima
-by bin passes over pairs that are far from similar; the Jaccard similarity of the
-two sets of shingles decides a link. The sets travel only for texts that share a
-bucket with another.
+min-hashes of the shingles, and the BK-trees take a wide radius; they join most of
+a bucket, and pairs of it that are still apart are then met whatever their distance. A
+sketch of minima by bin passes over pairs that are far from similar; the Jaccard
+similarity of the two sets of shingles decides a link. The sets travel only for texts
+that share a bucket with another.
 """
 
 from __future__ import annotations
@@ -214,8 +215,8 @@ LOOSE, FEW = 0.5, 64
 SHARD_SHINGLES = 2_000_000
 #: Texts that share a bucket, up to which their keys are broadcast.
 MAX_SHARED = 500_000
-#: Bits between fingerprints that a BK-tree search follows: ten are expected at 0.8,
-#: and 20 are 3.5 standard deviations above.
+#: Bits between fingerprints that a BK-tree search follows: ten are expected at 0.8.
+#: It finds most links early; those beyond it are found by `rest`.
 WIDE = 20
 
 
@@ -236,7 +237,7 @@ def words_key(words: list[bytes]) -> int:
 
 def profile(text: str | None, width: int = 5) -> tuple[int, int, int, bytes, list[int]]:
     """Fingerprint, hash of the words, number of different shingles, sketch and bands
-    of one text.
+    of one text. This fingerprint counts each different shingle once.
 
     The sketch has one byte per bin of shingle hashes: 1 to 255 from the least hash
     of the bin, 0 where no shingle falls. A text without words has no bands."""
@@ -248,17 +249,17 @@ def profile(text: str | None, width: int = 5) -> tuple[int, int, int, bytes, lis
     if not words:
         return 0, key, 0, bytes(BINS), []
     top = np.uint64(2**64 - 1)
-    n, bits, bins, mins = 0, 0, np.full(BINS, top), np.full(BANDS * ROWS, top)
-    for h in shingle_hashes(words, width):
-        n, bits = n + len(h), bits + _bit_counts(h)
+    bits, bins, mins = 0, np.full(BINS, top), np.full(BANDS * ROWS, top)
     own, factors = shingle_set(words, width), _odd_factors()[:, None]
+    for i in range(0, len(own), CHUNK):
+        bits = bits + _bit_counts(own[i : i + CHUNK])
     np.minimum.at(bins, (own % np.uint64(BINS)).astype(np.int64), own // np.uint64(BINS))
     for i in range(0, len(own), 1 << 12):
         mixed = own[i : i + (1 << 12)] * factors
         mins = np.minimum(mins, (mixed ^ (mixed >> np.uint64(32))).min(1))
     sketch = np.where(bins == top, 0, bins % np.uint64(255) + np.uint64(1)).astype(np.uint8)
     bands = [xxh64_intdigest(b.tobytes(), 42) for b in mins.reshape(BANDS, ROWS)]
-    return _packed(bits, n), key, len(own), sketch.tobytes(), [b - ((b >> 63) << 64) for b in bands]
+    return _packed(bits, len(own)), key, len(own), sketch.tobytes(), [b - ((b >> 63) << 64) for b in bands]
 
 
 @cache
@@ -367,9 +368,25 @@ def shared_buckets(nodes: DataFrame, shard: int = 2048) -> DataFrame:
     return met.select(*ids, "rep", "band", "value", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), (F.col("own") <= F.col("other")).alias("tree"))
 
 
+def rest(bk: ForestTree, queries: list[int], close) -> Iterator[tuple[int, int]]:
+    """Links of queries with the tree's rows in other components, at any distance of
+    fingerprints; close(rows, row) marks the rows that are worth a comparison."""
+    import numpy as np
+
+    root, join = bk.forest.root, bk.forest.join
+    if len({root(x) for x in bk.rows} | {root(q) for q in queries}) == 1:
+        return
+    for q in queries:
+        apart = np.array([x for x in bk.rows if root(x) != root(q)], np.int64)
+        for x in apart[close(apart, q)].tolist() if len(apart) else ():
+            if root(x) != root(q) and bk.alike(x, q):
+                join(x, q)
+                yield x, q
+
+
 def similar_links(met: DataFrame, sets: DataFrame, least: float = 0.8, radius: int = WIDE) -> DataFrame:
-    """Edges (a, b) that connect all rows of shared_buckets that share a bucket, lie
-    within the radius and have a Jaccard similarity of `least` or more; sets has
+    """Edges (a, b) that connect all rows of shared_buckets that share a bucket and have
+    a Jaccard similarity of `least` or more, those within the radius first; sets has
     (rep, words_key, sketch, shingles)."""
     met = met.join(sets, ["rep", "words_key"]).drop("words_key")
     block = ["band", "value", "i", "j"]
@@ -391,8 +408,11 @@ def similar_links(met: DataFrame, sets: DataFrame, least: float = 0.8, radius: i
                 alike = lambda x, y, at=lo: maybe(sketch, sizes, at + x, at + y, least) and jaccard(sets[at + x], sets[at + y]) >= least
                 bk = ForestTree([fps[lo + x] for x in rows], rows, Forest(hi - lo), alike, radius)
                 found += [(lo + x, lo + y) for x, y in bk.settle()]
-                for q in rows if same[lo] else (x for x in range(hi - lo) if not tree[lo + x]):
+                queries = rows if same[lo] else [x for x in range(hi - lo) if not tree[lo + x]]
+                for q in queries:
                     found += [(lo + x, lo + y) for x, y in bk.search(fps[lo + q], q)]
+                close = lambda x, y, at=lo: maybe(sketch, sizes, at + x, at + y, least)
+                found += [(lo + x, lo + y) for x, y in rest(bk, queries, close)]
             if found:
                 a, b = zip(*found, strict=True)
                 yield pa.RecordBatch.from_arrays([pa.array([reps[x] for x in e], pa.int64()) for e in (a, b)], names=["a", "b"])

@@ -309,3 +309,18 @@ def test_similar_texts_by_exact_jaccard(spark):
     assert {want[2 * k + 1] == 2 * k for k in range(60)} == {True, False}
     docs = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
     assert dict(simhash_bktree.group_similar(docs).collect()) == want
+
+
+def test_similar_texts_with_repeated_lines(spark):
+    """A line repeated many times moves the counted fingerprint, not the set of shingles."""
+    texts = {}
+    for k in range(12):
+        words = [f"{k}w{i}" for i in range(200)]
+        line = [f"{k}line{i}" for i in range(8)]
+        texts[2 * k], texts[2 * k + 1] = " ".join(words), " ".join(words + line * 80)
+    docs = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    far = [(a.fp ^ b.fp) & (1 << 64) - 1 for a, b in zip(*[iter(simhash_bktree.profiles(docs).orderBy("doc_id").collect())] * 2, strict=True)]
+    assert max(x.bit_count() for x in far) <= simhash_bktree.WIDE
+    want = {i: i - i % 2 for i in texts}
+    assert dict(simhash_bktree.group_similar(docs).collect()) == want
+    assert dict(simhash_bktree.group_similar(docs, radius=0).collect()) == want  # nothing beyond the radius is lost
