@@ -7,6 +7,10 @@ some WINDOW aligned tokens differ in at most SUBSTITUTIONS. The masks were chose
 by exhaustive check so that any WINDOW tokens with so many substitutions, wherever
 they fall, keep at least one seed whole: the seeds lose no overlap of that kind.
 
+An item of fewer than WINDOW tokens is overlapped as a whole, with substitutions in
+proportion to its length. It is cut into one block more than it may have
+substitutions, so one block at least is whole, and the blocks are its seeds.
+
 The benchmark side is broadcast up to MAX_SEEDS rows and shuffled beyond. A text
 is cut into pieces of PIECE tokens with enough overlap, so a very long text is many
 small rows; hits are verified in the same stage, and only the distinct verified
@@ -33,43 +37,74 @@ def tokens(text: Column) -> Column:
     return F.filter(F.split(F.lower(text), r"[^\p{L}\p{N}]+"), lambda x: x != "")
 
 
-def _seeds(df: DataFrame, keep: list[str], hashes: str) -> DataFrame:
-    """keep + (at, mask, seed) for each position and mask of the array `hashes`."""
-    n = F.greatest(F.size(hashes) - (SPAN - 1), F.lit(0))
+def _allowed(n: int) -> int:
+    """Substitutions in an overlap of n tokens, WINDOW at most."""
+    return n * SUBSTITUTIONS // WINDOW
+
+
+def _block(n: int) -> int:
+    """Tokens of a block of an item of n tokens, fewer than WINDOW."""
+    return n // (_allowed(n) + 1)
+
+
+def _block_seed(width: int, tokens: list[Column]) -> Column:
+    return F.xxhash64(F.lit(len(MASKS) + width), *tokens)
+
+
+def _item_blocks(item: DataFrame, lengths: list[int]) -> DataFrame:
+    """(row, at, seed) for each block of the items of fewer than WINDOW tokens."""
+    seeds = [(n, at) for n in lengths for at in range(0, (_allowed(n) + 1) * _block(n), _block(n))]
+    found = [F.when(F.size("ih") == n, F.struct(F.lit(at).alias("at"), _block_seed(_block(n), [F.get("ih", F.lit(at + i)) for i in range(_block(n))]).alias("seed"))) for n, at in seeds]
+    return item.select("row", F.explode(F.array(*found)).alias("s")).where("s is not null").select("row", "s.at", "s.seed")
+
+
+def _seeds(df: DataFrame, keep: list[str], hashes: str, widths: list[int] = ()) -> DataFrame:
+    """keep + (at, seed) for each position and mask of the array `hashes`, and for each
+    block of one of `widths`."""
+    # With blocks, positions run to the end, and those beyond it are null.
+    n = F.size(hashes) if widths else F.greatest(F.size(hashes) - (SPAN - 1), F.lit(0))
     shifted = F.arrays_zip(*[F.slice(F.col(hashes), i + 1, n).alias(f"t{i}") for i in range(SPAN)])
     rows = df.select(*keep, F.posexplode(shifted).alias("at", "w"))
     seed = [F.xxhash64(F.lit(k), *[F.col(f"w.t{i}") for i in mask]) for k, mask in enumerate(MASKS)]
+    if widths:
+        seed = [F.when(F.col(f"w.t{SPAN - 1}").isNotNull(), s) for s in seed]
+        seed += [F.when(F.col(f"w.t{m - 1}").isNotNull(), _block_seed(m, [F.col(f"w.t{i}") for i in range(m)])) for m in widths]
     return rows.select(*keep, "at", F.explode(F.array(*seed)).alias("seed"))
 
 
 def overlaps(docs: DataFrame, bench: DataFrame) -> DataFrame:
     """(doc_id, item_id, matched) of the pairs that overlap; matched is the most
-    equal tokens among the WINDOW aligned ones.
+    equal tokens among the WINDOW aligned ones, or among all of a shorter item.
 
-    Items and texts with fewer than WINDOW tokens, nulls included, overlap with
-    nothing. Rows that share an id count as one document with several texts, and
+    Items and texts without tokens, nulls included, overlap with nothing. Rows that share an id count as one document with several texts, and
     repeated items are found each. An empty table gives an empty result."""
     item = bench.select("item_id", F.transform(tokens(F.col("text")), lambda x: F.xxhash64(x)).alias("ih"))
-    item = stage_table(item.where(F.size("ih") >= WINDOW).withColumn("row", F.monotonically_increasing_id()), "items")
-    seeds = stage_table(_seeds(item, ["row"], "ih").withColumnRenamed("at", "iat").distinct(), "seeds")
+    item = stage_table(item.where(F.size("ih") > 0).withColumn("row", F.monotonically_increasing_id()), "items")
+    lengths = sorted(r["n"] for r in item.select(F.size("ih").alias("n")).where(F.col("n") < WINDOW).distinct().collect())
+    widths = sorted({_block(n) for n in lengths})
+    seeds = _seeds(item.where(F.size("ih") >= WINDOW), ["row"], "ih")
+    seeds = seeds.union(_item_blocks(item, lengths)) if lengths else seeds
+    seeds = stage_table(seeds.withColumnRenamed("at", "iat").distinct(), "seeds")
     few = seeds.limit(MAX_SEEDS + 1).count() <= MAX_SEEDS
     hint = F.broadcast if few else (lambda x: x)
 
     side = WINDOW - 1  # tokens of context that verification may need at either end
-    part = docs.select("doc_id", F.transform(tokens(F.col("text")), lambda x: F.xxhash64(x)).alias("h")).where(F.size("h") >= WINDOW)
+    part = docs.select("doc_id", F.transform(tokens(F.col("text")), lambda x: F.xxhash64(x)).alias("h")).where(F.size("h") >= min([*lengths, WINDOW]))
     part = part.select("doc_id", "h", F.explode(F.sequence(F.lit(0), F.size("h") - 1, F.lit(PIECE))).alias("from"))
     lead = F.least(F.col("from"), F.lit(side))
     part = part.select("doc_id", F.slice("h", F.col("from") - lead + 1, F.lit(PIECE + 2 * side) + lead).alias("h"))
-    hit = _seeds(part, ["doc_id", "h"], "h").join(hint(seeds), "seed").join(hint(item), "row")
+    hit = _seeds(part, ["doc_id", "h"], "h", widths).join(hint(seeds), "seed").join(hint(item), "row")
     # Both sides around the hit, from the same distance before it to the same after.
     back = F.least("at", "iat", F.lit(side))
     long = F.least(F.size("h") - F.col("at"), F.size("ih") - F.col("iat"), F.lit(WINDOW)) + back
-    hit = hit.select("doc_id", "item_id", F.slice("h", F.col("at") - back + 1, long).alias("x"), F.slice("ih", F.col("iat") - back + 1, long).alias("y")).where(F.size("x") >= WINDOW)
+    need = F.least(F.size("ih"), F.lit(WINDOW))
+    hit = hit.select("doc_id", "item_id", need.alias("need"), F.slice("h", F.col("at") - back + 1, long).alias("x"), F.slice("ih", F.col("iat") - back + 1, long).alias("y")).where(F.size("x") >= F.col("need"))
     # Equal diagonals give equal pairs of slices again and again; count each once.
     same = F.zip_with("x", "y", lambda a, b: (a == b).cast("int"))
-    hit = hit.select("doc_id", "item_id", same.alias("same"))
-    sums = F.transform(F.sequence(F.lit(1), F.size("same") - (WINDOW - 1)), lambda k: F.aggregate(F.slice("same", k, WINDOW), F.lit(0), lambda a, b: a + b))
-    hit = hit.select("doc_id", "item_id", F.array_max(sums).alias("matched")).where(F.col("matched") >= WINDOW - SUBSTITUTIONS)
+    hit = hit.select("doc_id", "item_id", "need", same.alias("same"))
+    sums = F.transform(F.sequence(F.lit(1), F.size("same") - F.col("need") + 1), lambda k: F.aggregate(F.slice("same", k, F.col("need")), F.lit(0), lambda a, b: a + b))
+    allowed = F.floor(F.col("need") * SUBSTITUTIONS / WINDOW)
+    hit = hit.select("doc_id", "item_id", "need", F.array_max(sums).alias("matched")).where(F.col("matched") >= F.col("need") - allowed)
     return hit.groupBy("doc_id", "item_id").agg(F.max("matched").alias("matched"))
 
 

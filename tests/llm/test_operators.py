@@ -324,3 +324,22 @@ def test_similar_texts_with_repeated_lines(spark):
     want = {i: i - i % 2 for i in texts}
     assert dict(simhash_bktree.group_similar(docs).collect()) == want
     assert dict(simhash_bktree.group_similar(docs, radius=0).collect()) == want  # nothing beyond the radius is lost
+
+
+def test_seeds_find_short_items(spark):
+    """Items below WINDOW tokens, against brute force over whole alignments."""
+    rng = random.Random(9)
+    bench = {n: [f"i{n}x{k}" for k in range(n)] for n in range(1, 17)}
+    texts, want = [], {}
+    for n, item in bench.items():
+        for gone in range(5):
+            part = list(item)
+            for k in rng.sample(range(n), min(gone, n)):
+                part[k] = "sub"
+            lead, tail = rng.choice([(0, 0), (0, 3), (4, 0), (2045, 5), (2047, 2100)])
+            if gone <= n * 3 // 16:
+                want[len(texts), n] = n - gone
+            texts.append((len(texts), " ".join(["a"] * lead + part + ["b"] * tail)))
+    rows = [(n, " ".join(u)) for n, u in bench.items()] + [(90, ""), (91, None), (92, "?!")]
+    found = spaced_seeds.overlaps(docs(spark, texts), spark.createDataFrame(rows, "item_id long, text string")).collect()
+    assert {(r["doc_id"], r["item_id"]): r["matched"] for r in found} == want
