@@ -2,7 +2,7 @@
 and licence files to templates, then inheritance from the nearest ancestor folder.
 
 Document frequencies of the templates' terms are counted over all documents. A line
-(or a licence file as a whole) is compared with every template that shares a term
+(of a licence file also each run of two or three lines, and the whole) is compared with every template that shares a term
 with it, by one join on terms. Before that, a line must hold one of the templates'
 heaviest terms: terms outside that set have too little weight to reach the threshold
 even if they all matched, so the filter loses nothing. It leaves about one line in a
@@ -83,7 +83,8 @@ def _gate(vectors: dict[str, dict[str, float]], threshold: float) -> list[str]:
 
 def matches(docs: DataFrame, path: Column, templates: dict[str, str] | None = None, threshold: float = THRESHOLD) -> DataFrame:
     """Best template per (doc_id, path): license, score (rounded to 6 digits),
-    of the best line, or of the whole text of a licence file. Ties go to the name
+    of the best line; of a licence file, the best of its lines, of its runs of two or
+    three lines, which hold sentences that are broken, and of the whole text. Ties go to the name
     that comes first."""
     templates = templates or TEMPLATES
     spark = docs.sparkSession
@@ -94,7 +95,9 @@ def matches(docs: DataFrame, path: Column, templates: dict[str, str] | None = No
     gate = F.array(*map(F.lit, _gate(vectors, threshold)))
     files = docs.select("doc_id", path.alias("path"), "text").where("text is not null")
     whole = F.element_at(F.split("path", "/"), -1).rlike(LICENCE_FILES)
-    units = files.withColumn("unit", F.explode(F.when(whole, F.array("text")).otherwise(F.split("text", "\n")))).select("doc_id", "path", terms(F.col("unit")).alias("terms"))
+    lines = F.split("text", "\n")
+    run = lambda k: F.transform(lines, lambda _, i: F.array_join(F.slice(lines, i + 1, k), "\n"))
+    units = files.withColumn("unit", F.explode(F.when(whole, F.array_distinct(F.concat(lines, run(2), run(3), F.array("text")))).otherwise(lines))).select("doc_id", "path", terms(F.col("unit")).alias("terms"))
     units = units.where(F.arrays_overlap("terms", gate)).withColumn("id", F.struct(F.monotonically_increasing_id().alias("n")))
     units = stage_table(units.select("doc_id", "path", F.col("id.n").alias("unit"), "terms"), "units")
     tf = units.select("doc_id", "path", "unit", F.explode("terms").alias("term")).groupBy("doc_id", "path", "unit", "term").count()

@@ -343,3 +343,14 @@ def test_seeds_find_short_items(spark):
     rows = [(n, " ".join(u)) for n, u in bench.items()] + [(90, ""), (91, None), (92, "?!")]
     found = spaced_seeds.overlaps(docs(spark, texts), spark.createDataFrame(rows, "item_id long, text string")).collect()
     assert {(r["doc_id"], r["item_id"]): r["matched"] for r in found} == want
+
+
+def test_licence_files_by_line(spark):
+    """A licence file's lines count beside its whole text, also where they are broken."""
+    words = " ".join(f"foreign{i}" for i in range(90))
+    broken = "Redistribution and use in source\nand binary forms, with or without\nmodification, are permitted."
+    texts = [(1, f"{words}\nReleased under the MIT License.\n{words}"), (2, "nothing here"), (3, f"{words}\n{broken}\n{words}"), (4, "nor here"), (5, f"{words}\n{words}")]
+    paths = {1: "a/LICENSE", 2: "a/b/x.txt", 3: "c/COPYING", 4: "c/d/e/y.txt", 5: "f/LICENSE"}
+    path = F.element_at(F.create_map(*[F.lit(x) for p in paths.items() for x in p]), F.col("doc_id").cast("int"))
+    got = {r["doc_id"]: (r["own"], r["license"], r["from_folder"]) for r in license_scan.scan(docs(spark, texts), path).collect()}
+    assert got == {1: ("MIT", "MIT", None), 2: (None, "MIT", "a"), 3: ("BSD-3-Clause", "BSD-3-Clause", None), 4: (None, "BSD-3-Clause", "c"), 5: (None, None, None)}
