@@ -68,30 +68,51 @@ def combined(old: DataFrame, new: DataFrame, by: tuple[str, ...] = BY, withdrawn
     return met.select(*by, "ordinal", F.explode(rows).alias("x")).select(*by, "ordinal", "x.*")
 
 
-def aligned(old: DataFrame, new: DataFrame, by: tuple[str, ...] = BY, withdrawn: DataFrame | None = None, most: int = 4000) -> DataFrame:
+def _matcher(was: list[str], now: list[str]):
+    """difflib's matcher with the same longest runs, found by arrays: a line that is
+    repeated thousands of times costs one array operation per occurrence."""
+    import difflib
+
+    import numpy as np
+
+    class Matcher(difflib.SequenceMatcher):
+        def find_longest_match(self, alo=0, ahi=None, blo=0, bhi=None):
+            ahi, bhi = len(self.a) if ahi is None else ahi, len(self.b) if bhi is None else bhi
+            none, last, best = np.empty(0, np.int64), np.empty(0, np.int64), (alo, blo, 0)
+            for i in range(alo, ahi):
+                at = places.get(self.a[i], none)
+                at = at[np.searchsorted(at, blo) : np.searchsorted(at, bhi)] if len(at) else at
+                run = length[at] + 1  # length[j] is the run that ends at i - 1, j - 1
+                length[last + 1] = 0
+                length[at + 1] = run
+                last = at
+                if len(at) and run.max() > best[2]:
+                    x = run.argmax()
+                    best = (i - int(run[x]) + 1, int(at[x]) - int(run[x]) + 1, int(run[x]))
+            length[last + 1] = 0
+            return difflib.Match(*best)
+
+    found = Matcher(None, was, now, autojunk=False)
+    places, length = {k: np.array(v) for k, v in found.b2j.items()}, np.zeros(len(now) + 1, np.int64)
+    return found
+
+
+def aligned(old: DataFrame, new: DataFrame, by: tuple[str, ...] = BY, withdrawn: DataFrame | None = None) -> DataFrame:
     """Longest matching runs decide: added, dropped and edited lines by alignment, so a
-    line on top shifts nothing. Documents beyond `most` slots fall back to by_content's
-    view of the same rows (every key that is new is added, every lost one dropped)."""
+    line on top shifts nothing. Time grows with the number of equal pairs of slots."""
     old = _touched(old, new, by, withdrawn)
     lists = lambda df, c: df.groupBy(*by).agg(F.transform(F.array_sort(F.collect_list(F.struct("ordinal", "content_key"))), lambda x: x["content_key"]).alias(c))
     met = lists(old, "was").join(lists(new, "is"), list(by), "full_outer")
     schema = ", ".join(f"{c} long" for c in by) + ", ordinal long, op string, content_key string, prior_key string"
 
     def run(frames):
-        import difflib
-
         import pandas as pd
 
         for f in frames:
             out = []
             for row in f.itertuples(index=False):
                 ids, was, now = row[: len(by)], list(row[len(by)]) if row[len(by)] is not None else [], list(row[len(by) + 1]) if row[len(by) + 1] is not None else []
-                if len(was) + len(now) > most:
-                    a, b = set(was), set(now)
-                    out += [(*ids, i, "kept" if k in a else "added", k, None) for i, k in enumerate(now)]
-                    out += [(*ids, i, "dropped", None, k) for i, k in enumerate(was) if k not in b]
-                    continue
-                for tag, i, j, k, m in difflib.SequenceMatcher(None, was, now, autojunk=False).get_opcodes():
+                for tag, i, j, k, m in _matcher(was, now).get_opcodes():
                     both = min(j - i, m - k) if tag == "replace" else 0
                     out += [(*ids, x, "kept", now[x], None) for x in range(k, m) if tag == "equal"]
                     out += [(*ids, k + x, "edited", now[k + x], was[i + x]) for x in range(both)]

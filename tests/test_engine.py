@@ -129,3 +129,23 @@ def test_kept_vectors_score_the_same(spark):
     q = spark.createDataFrame([(1, "old text"), (2, "")], "qid long, text string")
     h = events(spark)
     assert search.at(q, h, 150).collect() == search.at(q, h, 150, vectors=search.key_vectors(h)).collect()
+
+
+def test_aligned_long_documents(spark):
+    """Edits keep their prior key and repeated lines are counted, whatever the length."""
+    was = [f"l{i}" if i % 3 else "same" for i in range(3000)]
+    now = ["top", *was]
+    now[1500] = "changed"  # was[1499]
+    del now[2701]  # a copy of "same", was[2700]
+    got = diff.aligned(keys(spark, {1: was}), keys(spark, {1: now})).where("op <> 'kept'").collect()
+    assert sorted((r["op"], r["ordinal"], r["content_key"], r["prior_key"]) for r in got) == [("added", 0, "top", None), ("dropped", 2700, None, "same"), ("edited", 1500, "changed", "l1499")]
+
+
+def test_aligned_matches_difflib():
+    import difflib
+    import random
+
+    rng = random.Random(3)
+    for n in range(200):
+        a, b = ([rng.choice("abcdefgh"[: 1 + n % 8]) for _ in range(rng.randrange(30))] for _ in range(2))
+        assert diff._matcher(a, b).get_opcodes() == difflib.SequenceMatcher(None, a, b, autojunk=False).get_opcodes()
