@@ -29,6 +29,14 @@ def _queries(queries: DataFrame) -> DataFrame:
     return F.broadcast(queries.select("qid", F.col("embedding").alias("q")))
 
 
+def _query_blocks(queries: DataFrame) -> list:
+    """All queries as broadcast lists of (qid, embedding), MAX_QUERIES in each at most."""
+    from itertools import batched
+
+    rows = ((r["qid"], r["embedding"]) for r in queries.select("qid", "embedding").toLocalIterator())
+    return [queries.sparkSession.sparkContext.broadcast(list(b)) for b in batched(rows, MAX_QUERIES)]
+
+
 def exact(queries: DataFrame, vectors: DataFrame, k: int = 10) -> DataFrame:
     """A stated query set against all rows: the oracle."""
     met = vectors.crossJoin(_queries(queries))
@@ -39,18 +47,17 @@ def exact_blocks(queries: DataFrame, vectors: DataFrame, k: int = 10) -> DataFra
     """The same by matrix products in Arrow batches; each keeps its k best only."""
     import numpy as np
 
-    rows = queries.select("qid", "embedding").limit(MAX_QUERIES).collect()
-    ids, q = [r["qid"] for r in rows], np.array([r["embedding"] for r in rows], np.float64)
-    q /= np.maximum(np.linalg.norm(q, axis=1), 1e-300)[:, None]
-    shared = vectors.sparkSession.sparkContext.broadcast((ids, q))
+    shared = _query_blocks(queries)
 
     def run(frames: Iterator) -> Iterator:
         import pandas as pd
 
-        ids, q = shared.value
-        for f in frames:
-            if not len(f):
-                continue
+        blocks = []
+        for b in shared:
+            ids, q = zip(*b.value, strict=True)
+            q = np.array(q, np.float64)
+            blocks.append((ids, q / np.maximum(np.linalg.norm(q, axis=1), 1e-300)[:, None]))
+        for f, (ids, q) in ((f, b) for f in frames if len(f) for b in blocks):
             x = np.stack(f["embedding"]).astype(np.float64)
             s = q @ (x / np.maximum(np.linalg.norm(x, axis=1), 1e-300)[:, None]).T
             best = np.argsort(-s, axis=1, kind="stable")[:, :k]
@@ -146,8 +153,7 @@ class Graph:
         self.graphs = rows.groupBy("shard").applyInPandas(build, "shard int, graph binary")
 
     def search(self, queries: DataFrame, k: int = 10, ef: int = 50) -> DataFrame:
-        rows = [(r["qid"], r["embedding"]) for r in queries.select("qid", "embedding").limit(MAX_QUERIES).collect()]
-        shared = queries.sparkSession.sparkContext.broadcast(rows)
+        shared = _query_blocks(queries)
 
         def run(frames: Iterator) -> Iterator:
             import pickle
@@ -157,7 +163,8 @@ class Graph:
             for f in frames:
                 for blob in f["graph"]:
                     g = pickle.loads(blob)
-                    out = [(q, i, s, g.visited) for q, v in shared.value for i, s in g.search(v, k, ef)]
-                    yield pd.DataFrame(out, columns=["qid", "vec_id", "score", "visited"])
+                    for b in shared:
+                        out = [(q, i, s, g.visited) for q, v in b.value for i, s in g.search(v, k, ef)]
+                        yield pd.DataFrame(out, columns=["qid", "vec_id", "score", "visited"])
 
         return _rank(self.graphs.mapInPandas(run, "qid long, vec_id long, score double, visited long"), k)

@@ -149,3 +149,19 @@ def test_aligned_matches_difflib():
     for n in range(200):
         a, b = ([rng.choice("abcdefgh"[: 1 + n % 8]) for _ in range(rng.randrange(30))] for _ in range(2))
         assert diff._matcher(a, b).get_opcodes() == difflib.SequenceMatcher(None, a, b, autojunk=False).get_opcodes()
+
+
+def test_query_blocks_answer_all(spark, monkeypatch):
+    """Queries beyond a block are answered like the others."""
+    import random
+
+    from chronotier.operators.ann import index
+
+    rng = random.Random(4)
+    rows = [(i, [rng.gauss(0, 1) for _ in range(8)]) for i in range(60)]
+    vectors = spark.createDataFrame(rows, "vec_id long, embedding array<float>")
+    queries = vectors.where("vec_id < 25").withColumnRenamed("vec_id", "qid")
+    want = {(r.qid, r["rank"], r.vec_id) for r in index.exact(queries, vectors, 3).collect()}
+    monkeypatch.setattr(index, "MAX_QUERIES", 10)
+    assert {(r.qid, r["rank"], r.vec_id) for r in index.exact_blocks(queries, vectors, 3).collect()} == want
+    assert {r.qid for r in index.Graph(vectors, 2).search(queries, 3).collect()} == set(range(25))
