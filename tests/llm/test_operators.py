@@ -220,6 +220,28 @@ def test_mixing(spark):
     assert all(r["taken"] in (r["size"] * k for k in range(4)) for r in plan)
     assert mixing.mix(d).count() == sum(r["copies"] for r in plan)
     assert mixing.mix_plan(odd(spark)).count() == 9 and mixing.mix_plan(none(spark)).count() == 0
+    again = mixing.mix(mixing.mix(d))  # its own column gives way
+    assert again.columns.count("copy") == 1 and set(again.columns) == {*d.columns, "copy"}
+
+
+def test_mixing_comes_near_targets(spark, monkeypatch):
+    """Heavy sizes, one source with most rows and one size that a third of them share;
+    few ranges, so that cuts fall inside them."""
+    rng = random.Random(11)
+    size = lambda i: 20 if i % 3 == 0 else int(min(3000, 5 * rng.paretovariate(0.9)))
+    texts = [(i, "w " * size(i)) for i in range(1500)]
+    d = docs(spark, texts, {i: "hot" if i % 5 else f"s{i % 4}" for i in range(1500)})
+    plans = []
+    for buckets in (4, mixing.BUCKETS):
+        monkeypatch.setattr(mixing, "BUCKETS", buckets)
+        plans.append(sorted(map(tuple, mixing.mix_plan(d).collect())))
+    assert plans[0] == plans[1]
+    by = {}
+    for _, source, n, _, target, k, taken in plans[0]:
+        assert taken == n * k and k <= 3
+        got = by.setdefault(source, [0, target])
+        got[0] += taken
+    assert all(abs(t - g) <= 0.01 * g + 30 for t, g in by.values()), by
 
 
 def test_toxicity_learns_stems():
