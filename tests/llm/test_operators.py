@@ -229,8 +229,8 @@ def test_mixing_comes_near_targets(spark, monkeypatch):
     few ranges, so that cuts fall inside them."""
     rng = random.Random(11)
     size = lambda i: 20 if i % 3 == 0 else int(min(3000, 5 * rng.paretovariate(0.9)))
-    texts = [(i, "w " * size(i)) for i in range(1500)]
-    d = docs(spark, texts, {i: "hot" if i % 5 else f"s{i % 4}" for i in range(1500)})
+    texts = [(i, "w " * size(i)) for i in range(100, 1600)]
+    d = docs(spark, texts, {i: "hot" if i % 5 else f"s{i % 4}" for i in range(100, 1600)})
     plans = []
     for buckets in (4, mixing.BUCKETS):
         monkeypatch.setattr(mixing, "BUCKETS", buckets)
