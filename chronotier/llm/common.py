@@ -3,6 +3,7 @@ broadcasts, streaming over sorted groups, and connected components."""
 
 from __future__ import annotations
 
+import contextlib
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -29,12 +30,26 @@ def shared_dir(spark: SparkSession) -> str:
     return f"{base.rstrip('/')}/staged-{spark.sparkContext.applicationId}"
 
 
+@contextlib.contextmanager
+def shuffle_files_dropped(spark: SparkSession):
+    """Within this, a query's shuffle files go when it ends, rather than when the driver
+    happens to collect its garbage. What a later query needs, it makes again."""
+    name = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+    before = spark.conf.get(name, None)
+    spark.conf.set(name, "true")
+    try:
+        yield
+    finally:
+        spark.conf.set(name, before) if before is not None else spark.conf.unset(name)
+
+
 def stage_table(df: DataFrame, name: str) -> DataFrame:
     """Write df as Parquet in the shared folder and read it back: the lineage is
     cut, sizes are known to the planner, and a lost executor loses nothing."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex[:12]}"
-    df.write.parquet(path)
+    with shuffle_files_dropped(spark):
+        df.write.parquet(path)
     staged = spark.read.schema(df.schema).parquet(path)
     staged._staged_path = path
     return staged

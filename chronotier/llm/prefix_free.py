@@ -4,20 +4,29 @@ A byte goes if it lies in a string of LENGTH bytes that also starts anywhere els
 the corpus. The windows of LENGTH bytes are parsed into phrases by rolling-hash
 triggers: a window's trigger is its least hash of GRAM bytes, so equal windows have
 their trigger at the same place, and consecutive windows that share a trigger make
-one phrase. Phrases are the parse; the different phrases around a trigger are the
-dictionary, and only they are looked into:
-
-* a trigger that occurs once in the corpus has no repeated window (most end here);
-* a phrase (all its windows' bytes) that occurs twice has only repeated windows;
-* otherwise one representative of each dictionary entry with the same trigger is
-  parsed finer, its windows in blocks of BLOCK, then one by one.
-
-Equality of phrases, blocks and windows is decided by two independent 64-bit rolling
-hashes. So the classes of the suffix order (which windows share LENGTH bytes) are
-found by grouping instead of by sorting suffixes: no shard has to hold a dictionary,
-a passage that a third of all documents share is one pre-aggregated row per task,
-and the rows per level are the triggers, about one in 150 bytes, then only those at
-the ends of repeated passages.
+one phrase, which holds all their bytes. The sequence of phrases is the parse, the
+different phrases are the dictionary, sharded by trigger.
+
+In corpus order (all suffixes sorted) a window is repeated if the suffix before or
+after it agrees in LENGTH bytes. That order has two parts:
+
+* the parse: suffixes that start at the same place of equal phrases are neighbours, so
+  a phrase that occurs twice in the parse has only repeated windows. Nothing further
+  of the parse is needed, as a phrase holds its windows whole;
+* the dictionary: suffixes of different phrases are neighbours in LENGTH bytes only if
+  the phrases have the trigger in common. So the suffixes of each shard's phrases are
+  sorted by their bytes, in a sparse suffix array: only of window starts, and only of
+  those whose rolling hash occurs twice in the shard, since others have no neighbour.
+  A trigger with one phrase has no shard, and most of a corpus ends there.
+
+A trigger with more than SHARD phrases (a passage in a third of all documents, each
+time between other words) would make a shard without bound. Its phrases are parsed
+finer, into blocks of BLOCK windows, which are classified like phrases; what still has
+more than SHARD different strings is compared window by window, by an aggregation of
+digests with partial sums.
+
+Phrases, blocks and such windows are equal if their 128-bit BLAKE2 digests are, and
+windows within a shard if their bytes are; triggers and rolling hashes only propose.
 
 Texts are shuffled once to meet their triggers; those without a repeated trigger
 stop there, with the digest that the first pass made.
@@ -25,20 +34,23 @@ stop there, with the digest that the first pass made.
 
 from __future__ import annotations
 
-import gc
 import hashlib
 from collections.abc import Iterator
+from functools import reduce
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from chronotier.llm.common import broadcast_if_small, drop_staged, stage_table
+from chronotier.llm.common import broadcast_if_small, drop_staged, sorted_groups, stage_table
 
 LENGTH, GRAM, BLOCK = 400, 100, 20
 SEGMENT = 900_000  # bytes parsed at a time; with its margins under 2**20
 MARGIN = LENGTH + GRAM
 OUT = 100_000  # rows to a batch
+#: Different phrases of a trigger whose suffixes one task sorts together; BYTES of
+#: phrases are sorted at a time.
+SHARD, BYTES = 400, 300_000
 #: Documents with repeated triggers up to which their keys (16 bytes) are broadcast;
 #: beyond, their texts are shuffled once more.
 MAX_DOCS = 500_000
@@ -46,17 +58,16 @@ _POWERS: dict = {}
 
 
 def _tables():
-    """Per byte value two random words; powers and inverse powers of two odd bases."""
+    """A random word per byte value; powers and inverse powers of an odd base."""
     import numpy as np
 
     if not _POWERS:
-        n, rng = 1 << 20, np.random.default_rng(400)
-        for k, base in enumerate((0x9E3779B97F4A7C15, 0xD6E8FEB86659FD93)):
-            _POWERS["byte", k] = rng.integers(0, 1 << 63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(k)
-            for name, x in (("up", base), ("down", pow(base, -1, 1 << 64))):
-                p = np.full(n, x, np.uint64)
-                p[0] = 1
-                _POWERS[name, k] = np.cumprod(p, dtype=np.uint64)
+        n, base = 1 << 20, 0x9E3779B97F4A7C15
+        _POWERS["byte"] = np.random.default_rng(400).integers(0, 1 << 63, 256, dtype=np.uint64) * np.uint64(2)
+        for name, x in (("up", base), ("down", pow(base, -1, 1 << 64))):
+            p = np.full(n, x, np.uint64)
+            p[0] = 1
+            _POWERS[name] = np.cumprod(p, dtype=np.uint64)
     return _POWERS
 
 
@@ -74,16 +85,21 @@ class Rolling:
     def __init__(self, data: bytes):
         import numpy as np
 
-        self.n, t, raw = len(data), _tables(), np.frombuffer(data, np.uint8)
-        self.sums = []
-        for k in (0, 1):
-            s = np.zeros(self.n + 1, np.uint64)
-            np.cumsum(t["byte", k][raw] * t["up", k][: self.n], out=s[1:])
-            self.sums.append(s)
+        t = _tables()
+        self.sums = np.zeros(len(data) + 1, np.uint64)
+        np.cumsum(t["byte"][np.frombuffer(data, np.uint8)] * t["up"][: len(data)], out=self.sums[1:])
+
+    def of(self, start, end):
+        return _mix((self.sums[end] - self.sums[start]) * _tables()["down"][start])
+
+
+def _digests(data: bytes, start, end):
+    """Two arrays with the 128-bit digests of these substrings."""
+    import numpy as np
 
-    def of(self, start, end, k: int = 0):
-        s = self.sums[k]
-        return _mix((s[end] - s[start]) * _tables()["down", k][start])
+    made = b"".join([hashlib.blake2b(data[a:b], digest_size=16).digest() for a, b in zip(start.tolist(), end.tolist(), strict=True)])
+    both = np.frombuffer(made, np.uint64).reshape(-1, 2)
+    return both[:, 0], both[:, 1]
 
 
 def _least(x, width: int):
@@ -102,7 +118,7 @@ def _least(x, width: int):
 def phrases(data: bytes) -> Iterator[tuple]:
     """Arrays (at, lo, hi, core, s1, s2) of the phrases of a text, segment by
     segment: the trigger's place, the first and last start of its windows, the hash
-    of the trigger and two of all bytes that any window of this trigger can cover."""
+    of the trigger and the digest of the phrase, all bytes of its windows."""
     import numpy as np
 
     span, held = LENGTH - GRAM, None
@@ -132,11 +148,11 @@ def phrases(data: bytes) -> Iterator[tuple]:
 
 
 def _whole(data: bytes, found: list) -> Iterator[tuple]:
-    """Adds the two hashes of all bytes of each phrase's windows."""
-    for roll, base, mine in _segments(data, found[0]):
-        at, lo, hi, core = (x[mine] for x in found)
-        a, b = lo - base, hi + LENGTH - base
-        yield at, lo, hi, core, roll.of(a, b), roll.of(a, b, 1)
+    """Adds the digests of the phrases."""
+    at, lo, hi, core = found
+    for i in range(0, len(at), OUT):
+        j = slice(i, i + OUT)
+        yield at[j], lo[j], hi[j], core[j], *_digests(data, lo[j], hi[j] + LENGTH)
 
 
 def blocks(data: bytes, at, lo, hi) -> Iterator[tuple]:
@@ -153,19 +169,37 @@ def blocks(data: bytes, at, lo, hi) -> Iterator[tuple]:
         top, low = a[item] - block * BLOCK, a[item] - block * BLOCK - BLOCK + 1
         core = roll.of(top - base, low + LENGTH - base) ^ _mix(block.astype(np.uint64) + np.uint64(77))
         low, top = np.maximum(low, l[item]), np.minimum(top, h[item])
-        x, y = low - base, top + LENGTH - base
-        yield a[item], low, top, core, roll.of(x, y), roll.of(x, y, 1)
+        yield a[item], low, top, core, *_digests(data, low, top + LENGTH)
 
 
 def windows(data: bytes, at, lo, hi) -> Iterator[tuple]:
     """Arrays (at, start, s1, s2) of the single windows of blocks at, lo, hi."""
     import numpy as np
 
-    for roll, base, mine in _segments(data, at):
-        n = hi[mine] - lo[mine] + 1
+    for i in range(0, len(at), OUT // BLOCK):
+        j = slice(i, i + OUT // BLOCK)
+        n = hi[j] - lo[j] + 1
         item = np.repeat(np.arange(len(n)), n)
-        start = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n) + lo[mine][item]
-        yield at[mine][item], start, roll.of(start - base, start + LENGTH - base), roll.of(start - base, start + LENGTH - base, 1)
+        start = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n) + lo[j][item]
+        yield at[j][item], start, *_digests(data, start, start + LENGTH)
+
+
+def repeated(strings: list[bytes]) -> list:
+    """For each string the starts of its windows that occur again in these strings, by
+    a sparse suffix array over all of them."""
+    import numpy as np
+
+    data, n = b"".join(strings), np.array([len(x) - LENGTH + 1 for x in strings])
+    ends = np.cumsum([len(x) for x in strings])
+    first = ends - [len(x) for x in strings]
+    start = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n) + np.repeat(first, n)
+    _, back, times = np.unique(Rolling(data).of(start, start + LENGTH), return_inverse=True, return_counts=True)
+    order = [(data[i : i + LENGTH], i) for i in start[times[back] > 1].tolist()]
+    order.sort()
+    found = [i for k, (x, i) in enumerate(order) if (k and order[k - 1][0] == x) or (k + 1 < len(order) and order[k + 1][0] == x)]
+    found = np.sort(np.array(found, np.int64))
+    cut = np.searchsorted(found, ends)
+    return [found[a:b] - f for a, b, f in zip(np.append(0, cut[:-1]), cut, first, strict=True)]
 
 
 def _segments(data: bytes, at):
@@ -219,27 +253,24 @@ ITEM = ["doc_id", "row", "at", "lo", "hi", "core", "s1", "s2"]
 
 
 def _classify(items: DataFrame, name: str) -> DataFrame:
-    """Items with a core that others share: + full (the same string occurs twice) and
-    refine (some of its windows may equal some of another string's)."""
+    """Items with a core that others share: + full (the same string occurs twice),
+    refine (it stands for its string among others of that core) and crowded (there are
+    more than SHARD of these)."""
     crowd = stage_table(items.groupBy("core").count().where("count > 1").select("core"), name + "-shared")
     cand = stage_table(items.join(crowd, "core"), name)
     mark = F.struct("doc_id", "row", "at", "lo")
     per = cand.groupBy("core", "s1", "s2").agg(F.count("*").alias("n"), F.min(mark).alias("first"))
     per = stage_table(per, name + "-dictionary")
-    many = stage_table(per.groupBy("core").count().where("count > 1").select("core", F.lit(True).alias("many")), name + "-many")
-    met = cand.join(per.join(many, "core", "left").where("many or n > 1"), ["core", "s1", "s2"])
-    refine = F.coalesce("many", F.lit(False)) & ((F.col("n") == 1) | mark.eqNullSafe(F.col("first")))
-    out = stage_table(met.select("doc_id", "row", "at", "lo", "hi", (F.col("n") > 1).alias("full"), refine.alias("refine")).where("full or refine"), name + "-classes")
-    drop_staged(cand)
+    many = stage_table(per.groupBy("core").count().where("count > 1").select("core", (F.col("count") > SHARD).alias("crowded")), name + "-many")
+    met = cand.join(per.join(many, "core", "left").where("crowded is not null or n > 1"), ["core", "s1", "s2"])
+    refine = F.col("crowded").isNotNull() & ((F.col("n") == 1) | mark.eqNullSafe(F.col("first")))
+    out = met.select("doc_id", "row", "at", "lo", "hi", "core", (F.col("n") > 1).alias("full"), refine.alias("refine"), F.coalesce("crowded", F.lit(False)).alias("crowded"))
+    out = stage_table(out.where("full or refine"), name + "-classes")
+    for x in (cand, crowd, per, many):
+        drop_staged(x)
     return out
 
 
-def _release(spark) -> None:
-    """Let Spark drop the shuffle files that nothing refers to any more."""
-    gc.collect()
-    spark._jvm.System.gc()
-
-
 def _met(texts: DataFrame, lists: DataFrame) -> DataFrame:
     """texts(doc_id, row, data) with the lists of the same row."""
     lists = lists.withColumnsRenamed({"doc_id": "of", "row": "of_row"})
@@ -248,6 +279,8 @@ def _met(texts: DataFrame, lists: DataFrame) -> DataFrame:
 
 def _refined(texts: DataFrame, items: DataFrame, step, names: list[str]) -> DataFrame:
     """What `step` makes of the items of each text."""
+    if items.isEmpty():
+        return items.sparkSession.createDataFrame([], ", ".join(f"{n} long" for n in names))
     lists = items.groupBy("doc_id", "row").agg(F.array_sort(F.collect_set(F.struct("at", "lo", "hi"))).alias("items"))
 
     def made(batches: Iterator[pa.RecordBatch]) -> Iterator[list]:
@@ -267,6 +300,57 @@ def _refined(texts: DataFrame, items: DataFrame, step, names: list[str]) -> Data
     return met.mapInArrow(run, ", ".join(f"{n} long" for n in names))
 
 
+def _sorted_shards(texts: DataFrame, items: DataFrame) -> DataFrame:
+    """(doc_id, row, lo, hi): the runs of windows of these items that the suffix arrays
+    of their shards find repeated. A shard is a core; SHARD items at most have it."""
+    lists = items.groupBy("doc_id", "row").agg(F.collect_set(F.struct("lo", "hi", "core")).alias("items"))
+    names = ["doc_id", "row", "lo", "core", "data"]
+
+    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        import numpy as np
+
+        for b in batches:
+            for doc, row, data, got in zip(*(b.column(i) for i in range(4)), strict=True):
+                doc, row, data, got = doc.as_py(), row.as_py(), data.as_py(), got.values
+                lo, hi, core = (got.field(i).to_numpy() for i in range(3))
+                for i in range(0, len(lo), OUT // 10):
+                    part = slice(i, i + OUT // 10)
+                    n = len(lo[part])
+                    strings = pa.array([data[x : y + LENGTH] for x, y in zip(lo[part].tolist(), hi[part].tolist(), strict=True)], pa.binary())
+                    yield pa.RecordBatch.from_arrays([pa.array([doc] * n, pa.int64()), pa.array(np.full(n, row)), pa.array(lo[part]), pa.array(core[part]), strings], names=names)
+
+    def order(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        import numpy as np
+
+        def settle(docs, rows, los, strings):
+            out = [[], [], [], []]
+            for doc, row, lo, at in zip(docs, rows, los, repeated(strings), strict=True):
+                if len(at):
+                    new = np.flatnonzero(np.diff(at) > 1)
+                    a, z = at[np.append(0, new + 1)] + lo, at[np.append(new, len(at) - 1)] + lo
+                    for col, x in zip(out, ([doc] * len(a), [row] * len(a), a.tolist(), z.tolist()), strict=True):
+                        col += x
+            return pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in out], names=["doc_id", "row", "lo", "hi"])
+
+        held, size = [[], [], [], []], 0
+        for table in sorted_groups(batches, ["core"]):
+            cores = table.column("core").to_numpy()
+            ends = np.append(np.flatnonzero(cores[1:] != cores[:-1]) + 1, len(cores))
+            cols, done = [table.column(c).to_pylist() for c in ("doc_id", "row", "lo", "data")], 0
+            for end in ends.tolist():  # whole shards only
+                for h, c in zip(held, cols, strict=True):
+                    h += c[done:end]
+                size, done = size + sum(map(len, cols[3][done:end])), end
+                if size >= BYTES:
+                    yield settle(*held)
+                    held, size = [[], [], [], []], 0
+        if size:
+            yield settle(*held)
+
+    strings = _met(texts, lists).select("doc_id", "row", "data", "items").mapInArrow(cut, "doc_id long, row long, lo long, core long, data binary")
+    return strings.repartition("core").sortWithinPartitions("core").mapInArrow(order, "doc_id long, row long, lo long, hi long")
+
+
 def remove_repeats(docs: DataFrame, doc: str = "doc_id", text: str = "text", keep_bytes: bool = False) -> DataFrame:
     """One row per row of docs: doc_id, n_bytes, n_removed, n_spans (BIGINT) and
     kept_sha256; with keep_bytes also kept BINARY, the bytes that stay.
@@ -302,24 +386,23 @@ def remove_repeats(docs: DataFrame, doc: str = "doc_id", text: str = "text", kee
     whole = stage_table(parsed.where("sha is not null").select("doc_id", "row", "n_bytes", "sha"), "whole")
     top = _classify(parsed.where("sha is null").select(*ITEM), "phrases")
     drop_staged(parsed)
-    _release(spark)
 
     seen = stage_table(top.select("doc_id", "row").distinct(), "seen")
     hashed = raw.select("doc_id", F.xxhash64("data").alias("row"), "data")
     texts = stage_table(_met(hashed, broadcast_if_small(seen, MAX_DOCS)), "texts")
-    _release(spark)
-    finer = stage_table(_refined(texts, top.where("refine"), blocks, ITEM), "finer")
-    _release(spark)
+    runs = [stage_table(_sorted_shards(texts, top.where("refine and not crowded")), "runs")]
+    finer = stage_table(_refined(texts, top.where("refine and crowded"), blocks, ITEM), "finer")
     middle = _classify(finer, "blocks")
     drop_staged(finer)
-    _release(spark)
-    single = stage_table(_refined(texts, middle.where("refine"), windows, ["doc_id", "row", "at", "lo", "s1", "s2"]), "windows")
+    runs.append(stage_table(_sorted_shards(texts, middle.where("refine and not crowded")), "runs"))
+    single = stage_table(_refined(texts, middle.where("refine and crowded"), windows, ["doc_id", "row", "at", "lo", "s1", "s2"]), "windows")
     twice = stage_table(single.groupBy("s1", "s2").count().where("count > 1").select("s1", "s2"), "twice")
-    single = single.join(twice, ["s1", "s2"]).select("doc_id", "row", "lo", F.col("lo").alias("hi"))
-    full = [x.where("full").select("doc_id", "row", "lo", "hi") for x in (top, middle)]
-    spans = full[0].union(full[1]).union(single).groupBy("doc_id", "row").agg(F.array_sort(F.collect_set(F.struct("lo", "hi"))).alias("spans"))
+    runs.append(single.join(twice, ["s1", "s2"]).select("doc_id", "row", "lo", F.col("lo").alias("hi")))
+    runs += [x.where("full").select("doc_id", "row", "lo", "hi") for x in (top, middle)]
+    spans = reduce(DataFrame.union, runs).groupBy("doc_id", "row").agg(F.array_sort(F.collect_set(F.struct("lo", "hi"))).alias("spans"))
     spans = stage_table(spans, "spans")
-    _release(spark)
+    for x in (top, seen, middle, single, twice, *runs[:2]):
+        drop_staged(x)
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import numpy as np

@@ -165,18 +165,49 @@ def brute_repeats(texts):
         yield len(d), len(d) - len(kept), len([x for x in bytes(mark).split(b"\0") if x]), hashlib.sha256(kept).hexdigest()
 
 
-def test_repeats(spark, monkeypatch):
-    rng = random.Random(5)
-    word = lambda n: "".join(rng.choice("abcdé ") for _ in range(n))
-    a, b, c = word(900), word(401), word(399)
-    texts = [a, word(50) + a[:500] + word(30), a[100:] + "!", word(200) + b + word(9) + b, b[:-1], b[1:], c + word(20), c, "z" * 1500, "z" * 399, "yx" * 400, None, "", a + word(3000) + a[300:720], word(100)]
-    for segment in (900_000, 700):
-        monkeypatch.setattr(prefix_free, "SEGMENT", segment)
-        got = {r["doc_id"]: tuple(r)[1:] for r in prefix_free.remove_repeats(docs(spark, list(enumerate(texts)))).collect()}
-        assert [got[i] for i in range(len(texts))] == list(brute_repeats(texts))
+REPEATS = random.Random(5)
+
+
+def letters(n):
+    return "".join(REPEATS.choice("abcdé ") for _ in range(n))
+
+
+@pytest.mark.parametrize("shard", [400, 2, 1])
+def test_repeats(spark, monkeypatch, shard):
+    """A small shard sends phrases to the blocks, and blocks to the windows."""
+    monkeypatch.setattr(prefix_free, "SHARD", shard)
+    a, b, c, d = letters(900), letters(401), letters(399), letters(430)
+    texts = [a, letters(50) + a[:500] + letters(30), a[100:] + "!", letters(200) + b + letters(9) + b, b[:-1], b[1:], c + letters(20), c, "z" * 1500, "z" * 399, "yx" * 400, None, "", a + letters(3000) + a[300:720], letters(100)]
+    texts += [letters(40) + d + letters(40) for _ in range(6)]
+    got = {r["doc_id"]: tuple(r)[1:] for r in prefix_free.remove_repeats(docs(spark, list(enumerate(texts)))).collect()}
+    assert [got[i] for i in range(len(texts))] == list(brute_repeats(texts))
+
+
+def test_repeats_odd_rows(spark):
+    a = letters(900)
     assert prefix_free.remove_repeats(none(spark)).count() == 0
-    twice = prefix_free.remove_repeats(docs(spark, [(1, a), (1, a)])).collect()
-    assert [r["n_removed"] for r in twice] == [len(a.encode())] * 2
+    twice = prefix_free.remove_repeats(docs(spark, [(1, a), (1, a), (99, a + "x"), (2, None)]), keep_bytes=True).collect()
+    assert sorted((r["doc_id"] or 0, r["n_removed"], bytes(r["kept"])) for r in twice) == [(0, len(a.encode()), b"x"), (1, len(a.encode()), b""), (1, len(a.encode()), b""), (2, 0, b"")]
+    got = prefix_free.remove_repeats(odd(spark)).collect()
+    assert len(got) == 9 and {r["doc_id"]: r["n_removed"] for r in got}[6] == 50_000
+
+
+def test_phrases_do_not_depend_on_segments(monkeypatch):
+    data = (letters(4000) + "z" * 1500 + letters(2500)).encode()
+    parse = lambda: [tuple(map(int, x)) for part in prefix_free.phrases(data) for x in zip(*part, strict=True)]
+    want = parse()
+    assert [x[1] for x in want] == [0, *(x[2] + 1 for x in want[:-1])] and want[-1][2] == len(data) - 400
+    for segment in (700, 1000, 4096):
+        monkeypatch.setattr(prefix_free, "SEGMENT", segment)
+        assert parse() == want
+
+
+def test_sparse_suffix_array():
+    a, b = letters(700).encode(), letters(450).encode()
+    strings = [a, a[100:600] + b"!", b, b"?" + b[:420], b"q" * 500]
+    n = Counter(s[i : i + 400] for s in strings for i in range(len(s) - 399))
+    want = [[i for i in range(len(s) - 399) if n[s[i : i + 400]] > 1] for s in strings]
+    assert [x.tolist() for x in prefix_free.repeated(strings)] == want
 
 
 def test_lines(spark):
