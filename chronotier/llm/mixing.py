@@ -40,7 +40,7 @@ from chronotier.llm.common import WORD, broadcast_if_small, stage_table
 #: join is a shuffle.
 MAX_SOURCES = 500_000
 #: Binary digits of a draw, and ranges that they are counted in.
-BITS, BUCKETS = 52, 1 << 14
+BITS, BUCKETS = 52, 1 << 8
 
 
 def word_count(text: Column) -> Column:
