@@ -30,32 +30,36 @@ def _start(x: Column) -> Column:
     return F.unix_timestamp(F.try_to_timestamp(F.when(iso, F.upper(F.replace(x, F.lit("t"), F.lit(" ")))).otherwise(named)))
 
 
-def _end(x: Column) -> Column:
-    """First moment after it."""
-    start = F.timestamp_seconds(_start(x))
+def _end(x: Column, start: Column) -> Column:
+    """First moment after it, from its first moment."""
     months = F.when(x.rlike("^q"), 3).when(x.rlike("^[0-9]{4}$"), 12).when(x.rlike("^[a-z]"), 1)
-    after = F.when(months.isNotNull(), F.add_months(start, months).cast("timestamp")).when(x.rlike(":[0-9]{2}:"), F.timestamp_seconds(_start(x) + 1)).when(x.rlike(":"), F.timestamp_seconds(_start(x) + 60)).otherwise(F.timestamp_seconds(_start(x) + 86400))
-    return F.unix_timestamp(after)
+    seconds = F.when(x.rlike(":[0-9]{2}:"), 1).when(x.rlike(":"), 60).otherwise(86400)
+    return F.when(months.isNotNull(), F.unix_timestamp(F.add_months(F.timestamp_seconds(start), months).cast("timestamp"))).otherwise(start + seconds)
 
 
 def classify(queries: DataFrame, now: int, text: str = "text") -> DataFrame:
-    """queries with kind, t_from, t_to (exclusive for ranges) and core_text."""
-    low = F.lower(text)
+    """queries with kind, t_from, t_to (exclusive for ranges) and core_text. Phrases,
+    moments and kinds are found in steps, each kept as columns, so that no pattern is
+    matched twice."""
     pair = rf"(?:between {X} and {X}|from {X} to {X})"
-    got = lambda p, i: F.nullif(F.regexp_extract(low, p, i), F.lit(""))
-    x, y = F.coalesce(got(pair, 1), got(pair, 3)), F.coalesce(got(pair, 2), got(pair, 4))
-    since, before = got(rf"since {X}", 1), got(rf"before {X}", 1)
-    on = F.coalesce(got(rf"(?:as of|back in|on|at|in|when\b.*?) {X}", 1), got(r"([0-9]{4}-[0-9]{2}-[0-9]{2})", 1))
-    kind = F.when(_start(x).isNotNull() & _start(y).isNotNull(), "comparative").when(_start(since).isNotNull() & (_start(since) <= now), "comparative")
-    kind = kind.when(_start(before).isNotNull() & (_start(before) - 1 <= now), "historical").when(_start(on).isNotNull() & (_end(on) - 1 <= now), "historical").otherwise("live")
-    ranged = _start(x).isNotNull() & _start(y).isNotNull()
-    t_from = F.when(ranged, _start(x)).when(_start(since).isNotNull() & (_start(since) <= now), _start(since)).when(_start(before).isNotNull(), _start(before) - 1).otherwise(_end(on) - 1)
-    t_to = F.when(ranged, _end(y)).otherwise(F.lit(now))
-    core = F.trim(F.regexp_replace(F.regexp_replace(low, rf"(?:{pair}|since {X}|before {X}|(?:as of|back in|on|at|in) {X})", " "), r"[ \t]+", " "))
-    out = queries.withColumn("kind", kind)
-    out = out.withColumn("t_from", F.when(F.col("kind") != "live", t_from).cast("long"))
-    out = out.withColumn("t_to", F.when(F.col("kind") == "comparative", t_to).cast("long"))
-    return out.withColumn("core_text", core)
+    got = lambda p, i: F.nullif(F.regexp_extract("__low", p, i), F.lit(""))
+    out = queries.withColumn("__low", F.lower(text))
+    phrases = {"x": F.coalesce(got(pair, 1), got(pair, 3)), "y": F.coalesce(got(pair, 2), got(pair, 4)), "since": got(rf"since {X}", 1), "before": got(rf"before {X}", 1)}
+    phrases["on"] = F.coalesce(got(rf"(?:as of|back in|on|at|in|when\b.*?) {X}", 1), got(r"([0-9]{4}-[0-9]{2}-[0-9]{2})", 1))
+    out = out.withColumns({f"__{k}": v for k, v in phrases.items()})
+    out = out.withColumns({f"__{k}_at": _start(F.col(f"__{k}")) for k in phrases})
+    out = out.withColumns({f"__{k}_end": _end(F.col(f"__{k}"), F.col(f"__{k}_at")) for k in ("y", "on")})
+    at = {k: F.col(f"__{k}_at") for k in phrases}
+    ranged, since = at["x"].isNotNull() & at["y"].isNotNull(), at["since"].isNotNull() & (at["since"] <= now)
+    before, on = at["before"].isNotNull() & (at["before"] - 1 <= now), at["on"].isNotNull() & (F.col("__on_end") - 1 <= now)
+    out = out.withColumn("__rule", F.when(ranged, 1).when(since, 2).when(before, 3).when(on, 4).otherwise(0))
+    rule = F.col("__rule")
+    kind = F.when(rule.isin(1, 2), "comparative").when(rule.isin(3, 4), "historical").otherwise("live")
+    t_from = F.when(rule == 1, at["x"]).when(rule == 2, at["since"]).when(rule == 3, at["before"] - 1).when(rule == 4, F.col("__on_end") - 1)
+    t_to = F.when(rule == 1, F.col("__y_end")).when(rule == 2, F.lit(now))
+    core = F.trim(F.regexp_replace(F.regexp_replace("__low", rf"(?:{pair}|since {X}|before {X}|(?:as of|back in|on|at|in) {X})", " "), r"[ \t]+", " "))
+    out = out.withColumns({"kind": kind, "t_from": t_from.cast("long"), "t_to": t_to.cast("long"), "core_text": core})
+    return out.drop("__low", "__rule", *[f"__{k}{s}" for k in phrases for s in ("", "_at", "_end")])
 
 
 def explicit(queries: DataFrame, at: int | None = None, between: tuple[int, int] | None = None) -> DataFrame:

@@ -48,15 +48,13 @@ def windowed_refresh(updates: DataFrame, by: list[str], ts: str = "ts", every: s
     return grouped.select(*by, F.unix_timestamp("w.start").alias("window_start"), "last_ts", "updates", (end - F.col("first_s")).alias("longest_wait"), (end * F.col("updates") - F.col("sum_s")).alias("total_wait"))
 
 
-def postfilter(queries: DataFrame, history: DataFrame, k: int = 5, index: str = "live", oversample: int = 1, validate: bool = True, scored: DataFrame | None = None) -> DataFrame:
+def postfilter(queries: DataFrame, spans: DataFrame, k: int = 5, index: str = "live", oversample: int = 1, validate: bool = True) -> DataFrame:
     """Rank first, filter later: the top k * oversample of an index that ignores the
     queries' instants t (live: today's slots; all: every slot that ever was; stale:
-    today's and the removed), then those valid at t, if validate."""
-    spans = hist.intervals(history)
+    today's and the removed), then those valid at t, if validate. spans: history with
+    ends."""
     rows = {"live": "state = 'live'", "all": "true", "stale": "state in ('live', 'removed')"}[index]
-    held = spans.where(rows).select("doc_id", "ordinal", "content_key", "effective_at", "retired_at", "revision")
-    scored = scored if scored is not None else search.scored_keys(queries.select("qid", "text"), spans)
-    best = search.rank(scored.join(held, "content_key"), k * oversample).join(F.broadcast(queries.select("qid", "t")), "qid")
+    best = search.best(queries.drop("t"), spans.where(rows), k * oversample, ("retired_at",)).join(F.broadcast(queries.select("qid", "t")), "qid")
     valid = (F.col("effective_at") <= F.col("t")) & (F.col("retired_at").isNull() | (F.col("retired_at") > F.col("t")))
     best = best.withColumn("valid", valid)
     if not validate:

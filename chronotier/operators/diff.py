@@ -9,6 +9,7 @@ on the document, so a ledger bucketed by doc_id is read without a shuffle.
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 BY = ("doc_id",)
@@ -28,10 +29,6 @@ def _slots(old: DataFrame, new: DataFrame, by: tuple[str, ...]) -> DataFrame:
     return met.withColumns({c: F.coalesce(F.col(c), F.lit(False)) for c in ("had", "has")})
 
 
-def _keys(df: DataFrame, by: tuple[str, ...], name: str, place: str) -> DataFrame:
-    return df.groupBy(*by, F.col("content_key").alias(name)).agg(F.min("ordinal").alias(place))
-
-
 def by_slot(old: DataFrame, new: DataFrame, by: tuple[str, ...] = BY, withdrawn: DataFrame | None = None) -> DataFrame:
     """Position decides: kept, edited, added or dropped at each (document, ordinal)."""
     met = _slots(_touched(old, new, by, withdrawn), new, by)
@@ -54,18 +51,30 @@ def by_content(old: DataFrame, new: DataFrame, by: tuple[str, ...] = BY, withdra
 
 def combined(old: DataFrame, new: DataFrame, by: tuple[str, ...] = BY, withdrawn: DataFrame | None = None) -> DataFrame:
     """Position and content: kept, edited, added, moved, dropped, vacated. One state
-    row per slot; a key that a move overwrites for good adds an audit row `dropped`."""
-    old = _touched(old, new, by, withdrawn)
-    met = _slots(old, new, by)
-    met = met.join(_keys(old, by, "b", "came"), [*by, "b"], "left").join(_keys(new, by, "a", "goes"), [*by, "a"], "left")
+    row per slot; a key that a move overwrites for good adds an audit row `dropped`.
+
+    Both versions are dealt out by document once; the places of a key, the slots and
+    the documents to be looked at are then found within a task."""
+    side = lambda df, n: df.select(*by, "ordinal", "content_key", F.lit(n).alias("side"))
+    rows = side(old, 0).union(side(new, 1))
+    if withdrawn is not None:
+        none = [F.lit(None).cast(rows.schema[c].dataType).alias(c) for c in ("ordinal", "content_key")]
+        rows = rows.union(withdrawn.select(*by, *none, F.lit(2).alias("side")))
+    was, now = F.col("side") == 0, F.col("side") == 1
+    rows = rows.repartition(*by)
+    rows = rows.withColumn("looked", F.max("side").over(W.partitionBy(*by))).where("looked > 0 and side < 2")
+    key = W.partitionBy(*by, "content_key")
+    rows = rows.withColumn("came", F.min(F.when(was, F.col("ordinal"))).over(key)).withColumn("goes", F.min(F.when(now, F.col("ordinal"))).over(key))
+    of = lambda side, c, name: F.max(F.when(side, F.col(c))).alias(name)
+    met = rows.groupBy(*by, "ordinal").agg(of(was, "content_key", "a"), of(now, "content_key", "b"), F.bool_or(was).alias("had"), F.bool_or(now).alias("has"), of(now, "came", "came"), of(was, "goes", "goes"))
     had, has, came, stays = F.col("had"), F.col("has"), F.col("came").isNotNull(), F.col("goes").isNotNull()
     op = F.when(had & has & (F.col("a") == F.col("b")), "kept").when(has & came, "moved").when(had & has & ~stays, "edited").when(has, "added").when(stays, "vacated").otherwise("dropped")
     met = met.withColumn("op", op).withColumn("stays", stays)
     prior = F.when(F.col("op").isin("edited", "dropped", "vacated"), F.col("a"))
     state = F.struct(F.col("op"), F.col("b").alias("content_key"), prior.alias("prior_key"), F.when(F.col("op") == "moved", F.col("came")).alias("moved_from"), F.col("op").isin("added", "edited").alias("needs_encoding"), F.lit(False).alias("audit"))
     lost = F.struct(F.lit("dropped").alias("op"), F.lit(None).cast("string").alias("content_key"), F.col("a").alias("prior_key"), F.lit(None).cast("long").alias("moved_from"), F.lit(False).alias("needs_encoding"), F.lit(True).alias("audit"))
-    rows = F.when((F.col("op") == "moved") & had & ~F.col("stays"), F.array(state, lost)).otherwise(F.array(state))
-    return met.select(*by, "ordinal", F.explode(rows).alias("x")).select(*by, "ordinal", "x.*")
+    found = F.when((F.col("op") == "moved") & had & ~F.col("stays"), F.array(state, lost)).otherwise(F.array(state))
+    return met.select(*by, "ordinal", F.explode(found).alias("x")).select(*by, "ordinal", "x.*")
 
 
 def _matcher(was: list[str], now: list[str]):

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from chronotier.functions.fingerprint import canonical
@@ -32,6 +32,28 @@ def sparse(df: DataFrame, id_col: str, text: str = "body", dim: int = DIM) -> Da
     return rows.groupBy(id_col, "bucket").agg(F.sum("c").alias("w")).where("w <> 0")
 
 
+def codes(text: Column, dim: int = DIM) -> Column:
+    """The hashed terms of a text in its own row, one number per term: its bucket + 1,
+    negative where the sign is. Narrow, so a tier can hold them beside the text."""
+
+    def one(term: Column) -> Column:
+        h = F.md5(term)
+        hex_at = lambda a, n: F.conv(F.substring(h, a, n), 16, 10).cast("long")
+        return (F.when(hex_at(9, 1) % 2 == 0, 1).otherwise(-1) * (hex_at(1, 8) % dim + 1)).cast("int")
+
+    return F.transform(F.filter(F.split(canonical(text), SEPARATOR), lambda x: x != ""), one)
+
+
+def matrix(rows: list, dim: int = DIM):
+    """Rows of codes as a dense matrix of signed counts."""
+    import numpy as np
+
+    n = np.fromiter((len(r) for r in rows), np.int64, len(rows))
+    flat = np.fromiter((c for r in rows for c in r), np.int64, int(n.sum()))
+    at = np.repeat(np.arange(len(rows)), n) * dim + np.abs(flat) - 1
+    return np.bincount(at, weights=np.sign(flat), minlength=len(rows) * dim).reshape(len(rows), dim)
+
+
 def _dense(text: str, dim: int):
     import hashlib
     import re

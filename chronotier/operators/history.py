@@ -7,6 +7,8 @@ spliced into the past moves its neighbours' ends by itself.
 
 from __future__ import annotations
 
+import time
+
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -33,35 +35,48 @@ def intervals(history: DataFrame) -> DataFrame:
     return history.withColumn("retired_at", F.lead("effective_at").over(w)).withColumn("state", state).where("content_key is not null")
 
 
-def _known(history: DataFrame, as_known_at: int | None) -> DataFrame:
-    return history if as_known_at is None else history.where(F.col("commit_seq") <= as_known_at)
+def _seen(history: DataFrame, t: int | None, as_known_at: int | None = None) -> DataFrame:
+    """Rows not after t and known by commit as_known_at; of a log that lies by month,
+    only the months up to t are opened."""
+    seen = history if as_known_at is None else history.where(F.col("commit_seq") <= as_known_at)
+    if t is None:
+        return seen
+    if "month" in history.columns:
+        seen = seen.where(F.col("month") <= time.strftime("%Y-%m", time.gmtime(t)))
+    return seen.where(F.col("effective_at") <= t)
 
 
 def snapshot_at(history: DataFrame, t: int | None, as_known_at: int | None = None) -> DataFrame:
     """Slots as of t (None: now): the last event not after t, if it holds a key. The
     time filter is below the aggregation and reaches the scan; the aggregation works
-    on fixed-width columns, and the texts meet it by the same key."""
-    seen = _known(history, as_known_at)
-    seen = seen if t is None else seen.where(F.col("effective_at") <= t)
+    on fixed-width columns, and the texts meet it by the same key. Of a history with
+    ends (see closed), a snapshot is a filter only."""
+    if "retired_at" in history.columns and as_known_at is None:
+        return valid_at(history, t)
+    seen = _seen(history, t, as_known_at)
     last = seen.groupBy(*SLOT).agg(F.max(F.struct("effective_at", "revision")).alias("e"))
     last = last.select(*SLOT, "e.effective_at", "e.revision")
     held = seen.join(last, [*SLOT, "effective_at", "revision"]).where("content_key is not null")
     return held.select("doc_id", "ordinal", "content_key", "body", "effective_at", "revision")
 
 
-def valid_at(spans: DataFrame, t: int) -> DataFrame:
-    """The same from intervals: effective_at <= t < retired_at, or no end."""
-    held = spans.where((F.col("effective_at") <= t) & (F.col("retired_at").isNull() | (F.col("retired_at") > t)))
-    return held.select("doc_id", "ordinal", "content_key", "body", "effective_at", "revision")
+def valid_at(spans: DataFrame, t: int | None) -> DataFrame:
+    """The same from intervals: effective_at <= t < retired_at, or no end. Hashed terms
+    (codes) come with them if they are stored."""
+    open_ended = F.col("retired_at").isNull()
+    held = _seen(spans, t).where(open_ended if t is None else open_ended | (F.col("retired_at") > t))
+    return held.select("doc_id", "ordinal", "content_key", "body", "effective_at", "revision", *[c for c in ("codes",) if c in spans.columns])
 
 
 def valid_between(spans: DataFrame, t1: int, t2: int) -> DataFrame:
     """Valid at any moment of [t1, t2)."""
+    spans = _seen(spans, t2)
     return spans.where((F.col("effective_at") < t2) & (F.col("retired_at").isNull() | (F.col("retired_at") > t1)))
 
 
 def closed(history: DataFrame) -> DataFrame:
-    """Materialised intervals: the form with ends written, for range reads."""
+    """The form with ends, to be written where snapshots and ranges are read often: a
+    late version then means writing its slots anew."""
     return intervals(history).drop("commit_seq")
 
 
@@ -71,7 +86,8 @@ def full_copies(segments: DataFrame) -> DataFrame:
 
 
 def write(history: DataFrame, path: str) -> None:
-    """Append, by month of effect; rows within files by slot."""
+    """Append, by month of effect (a string, as readers should take it); rows within
+    files by slot."""
     month = F.date_format(F.timestamp_seconds("effective_at"), "yyyy-MM")
     rows = history.withColumn("month", month).repartition("month", F.pmod("doc_id", F.lit(64))).sortWithinPartitions(*SLOT)
-    rows.write.mode("append").partitionBy("month").option("compression", "snappy").parquet(path)
+    rows.write.mode("append").partitionBy("month").parquet(path)

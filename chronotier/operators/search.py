@@ -1,47 +1,107 @@
 """Search by similarity: live, at an instant, over a range. The validity of a slot is
 always decided below the ranking, so no answer holds anything from another time.
 
-Queries are few and broadcast (their number is checked); distinct keys are scored once
-and meet their slots afterwards; bodies are joined to the k rows of a query only.
+Rows of slots carry their hashed terms (codes), stored or made on the way. Questions
+are few against them: they travel in broadcast blocks, each task multiplies its rows
+with them as matrices and keeps the k best of each question, and only those meet.
+So nothing is shuffled but k rows a question and task, however common a line is.
 Ranks follow score descending, then doc_id and ordinal, then effective_at.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+from itertools import batched
+
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from chronotier.operators import encode, history as hist
 
-MAX_QUERIES = 100_000
-
-
-def _with_norm(v: DataFrame, by: str) -> DataFrame:
-    return v.join(v.groupBy(by).agg(F.sum(F.col("w") * F.col("w")).alias(f"n_{by}")), by)
-
-
-def key_vectors(slots: DataFrame, dim: int = encode.DIM) -> DataFrame:
-    """(content_key, bucket, w, n_content_key): the sparse vectors of all keys with
-    their squared lengths, encoded once and kept, so that a search encodes its
-    queries only. Keys of several tiers or instants may share one table."""
-    keys = slots.where("content_key is not null").groupBy("content_key").agg(F.min("body").alias("body"))
-    return _with_norm(encode.sparse(keys, "content_key", "body", dim), "content_key")
-
-
-def scored_keys(queries: DataFrame, slots: DataFrame, dim: int = encode.DIM, vectors: DataFrame | None = None) -> DataFrame:
-    """(qid, content_key, score) of keys that share a hashed term with the query.
-    queries(qid, text); slots need content_key and body. vectors: key_vectors of these
-    and possibly further slots; the keys of others than slots are left out below the
-    scoring."""
-    if queries.limit(MAX_QUERIES + 1).count() > MAX_QUERIES:
-        raise ValueError(f"more than {MAX_QUERIES} queries in a batch; split it")
-    q = encode.sparse(queries, "qid", "text", dim).withColumnRenamed("w", "qw")
-    v = key_vectors(slots, dim) if vectors is None else vectors.join(slots.select("content_key"), "content_key", "left_semi")
-    q = q.join(q.groupBy("qid").agg(F.sum(F.col("qw") * F.col("qw")).alias("n_qid")), "qid")
-    met = v.join(F.broadcast(q), "bucket").groupBy("qid", "content_key", "n_qid", "n_content_key").agg(F.sum(F.col("w") * F.col("qw")).alias("dot"))
-    score = F.col("dot") / F.sqrt((F.col("n_qid") * F.col("n_content_key")).cast("double"))
-    return met.select("qid", "content_key", F.round(score, 6).alias("score"))
+#: Questions to a broadcast, and to a matrix.
+MAX_QUERIES, AT_ONCE = 100_000, 512
+PLACE = ["doc_id", "ordinal", "content_key", "effective_at", "revision"]
+
+
+def coded(df: DataFrame, text: str) -> DataFrame:
+    """df with its hashed terms, as stored or made from text."""
+    return df if "codes" in df.columns else df.withColumn("codes", encode.codes(F.col(text)))
+
+
+def _blocks(queries: DataFrame) -> list:
+    """All questions as broadcast lists of (qid, codes, t), MAX_QUERIES in each."""
+    t = F.col("t").cast("long") if "t" in queries.columns else F.lit(None).cast("long")
+    rows = coded(queries, "text").select("qid", "codes", t.alias("t")).toLocalIterator()
+    return [queries.sparkSession.sparkContext.broadcast([tuple(r) for r in b]) for b in batched(rows, MAX_QUERIES)]
+
+
+def _first(scores, order, k: int):
+    """The places of the k greatest of scores, ties in the given order."""
+    import numpy as np
+
+    cut = np.partition(scores, len(scores) - k)[len(scores) - k] if len(scores) > k else -np.inf
+    some = np.flatnonzero((scores >= cut) & (scores > -np.inf))
+    return some[np.lexsort((order[some], -scores[some]))[:k]]
+
+
+def best(queries: DataFrame, slots: DataFrame, k: int = 5, extra: tuple[str, ...] = ()) -> DataFrame:
+    """(qid, rank, score, PLACE, extra) of the first k slots of each question that share
+    a hashed term with it. queries(qid, text); if they have an instant t, a slot must be
+    valid then, and slots need retired_at. extra: further columns of slots to keep."""
+    shared, by_instant = _blocks(queries), "t" in queries.columns
+    keep = [*PLACE, *extra, *(["retired_at"] if by_instant and "retired_at" not in extra else [])]
+    rows = coded(slots.where("content_key is not null"), "body").select(*keep, "codes")
+    schema = ", ".join(["qid long", "score double", *(f"{c} {rows.schema[c].dataType.simpleString()}" for c in keep)])
+
+    def run(batches: Iterator) -> Iterator:
+        import numpy as np
+        import pyarrow as pa
+
+        sets = []
+        for b in shared:
+            for part in batched(b.value, AT_ONCE):
+                q = encode.matrix([c for _, c, _ in part])
+                sets.append((np.array([i for i, _, _ in part], np.int64), q, (q != 0).astype(np.float32), (q * q).sum(1), [t for _, _, t in part]))
+        held, n = [], 0
+
+        def settled():
+            table = pa.concat_tables(held)
+            cols = [table.column(c).to_numpy() for c in ("effective_at", "ordinal", "doc_id", "score", "qid")]
+            order = np.lexsort((*cols[:3], -cols[3], cols[4]))
+            ids = cols[4][order]
+            first = np.searchsorted(ids, ids)
+            return table.take(order[np.arange(len(ids)) - first < k])
+
+        for batch in batches:
+            table = pa.Table.from_batches([batch])
+            codes = table.column("codes").to_pylist()
+            at = {c: table.column(c).to_numpy() for c in ("doc_id", "ordinal", "effective_at")}
+            order = np.empty(len(codes), np.int64)
+            order[np.lexsort((at["effective_at"], at["ordinal"], at["doc_id"]))] = np.arange(len(codes))
+            x = encode.matrix([c or () for c in codes])
+            norms, has = (x * x).sum(1), (x != 0).astype(np.float32).T
+            if by_instant:
+                ends = table.column("retired_at").fill_null(2**63 - 1).to_numpy()
+            table = table.drop_columns(["codes"])
+            for ids, q, q_has, q_norms, instants in sets:
+                scale = np.sqrt(np.outer(q_norms, norms))
+                scores = np.where(q_has @ has > 0, np.round(q @ x.T / np.where(scale > 0, scale, 1), 6), -np.inf)
+                if by_instant:
+                    t = np.array([np.iinfo(np.int64).min if i is None else i for i in instants])[:, None]
+                    scores[(at["effective_at"][None] > t) | (ends[None] <= t)] = -np.inf
+                found = [_first(s, order, k) for s in scores]
+                where = np.concatenate(found)
+                which = np.repeat(np.arange(len(ids)), [len(f) for f in found])
+                held.append(table.take(where).add_column(0, "score", pa.array(scores[which, where])).add_column(0, "qid", pa.array(ids[which])))
+                n += len(where)
+            if n > 200_000:
+                held = [settled()]
+                n = len(held[0])
+        if held:
+            yield from settled().to_batches()
+
+    return rank(rows.mapInArrow(run, schema), k).select("qid", "rank", "score", *keep)
 
 
 def rank(scored: DataFrame, k: int = 5) -> DataFrame:
@@ -50,33 +110,29 @@ def rank(scored: DataFrame, k: int = 5) -> DataFrame:
     return scored.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)
 
 
-def _answer(queries: DataFrame, slots: DataFrame, k: int, tier: str, vectors: DataFrame | None = None) -> DataFrame:
-    met = scored_keys(queries, slots, vectors=vectors).join(slots.select("doc_id", "ordinal", "content_key", "effective_at", "revision"), "content_key")
-    best = rank(met, k)
-    return best.select("qid", "rank", "score", "doc_id", "ordinal", "content_key", "effective_at", "revision", F.lit(tier).alias("tier"))
+def _answer(queries: DataFrame, slots: DataFrame, k: int, tier: str) -> DataFrame:
+    return best(queries.drop("t"), slots, k).withColumn("tier", F.lit(tier))
 
 
-def live(queries: DataFrame, slots: DataFrame, k: int = 5, where=None, vectors: DataFrame | None = None) -> DataFrame:
+def live(queries: DataFrame, slots: DataFrame, k: int = 5, where=None) -> DataFrame:
     """Top-k of the live slots; where: a predicate on them, applied before ranking."""
-    return _answer(queries, slots if where is None else slots.where(where), k, "hot", vectors)
+    return _answer(queries, slots if where is None else slots.where(where), k, "hot")
 
 
-def at(queries: DataFrame, history: DataFrame, t: int, k: int = 5, as_known_at: int | None = None, where=None, vectors: DataFrame | None = None) -> DataFrame:
-    """Top-k of what was valid at t (and known by commit as_known_at)."""
+def at(queries: DataFrame, history: DataFrame, t: int, k: int = 5, as_known_at: int | None = None, where=None) -> DataFrame:
+    """Top-k of what was valid at t (and known by commit as_known_at); history as
+    events, or with ends."""
     slots = hist.snapshot_at(history, t, as_known_at)
-    return _answer(queries, slots if where is None else slots.where(where), k, "cold", vectors)
+    return _answer(queries, slots if where is None else slots.where(where), k, "cold")
 
 
 def at_each(queries: DataFrame, spans: DataFrame, k: int = 5) -> DataFrame:
-    """Each query (qid, text, t) at its own instant: a join on the key with the
-    instant inside the validity interval."""
-    met = scored_keys(queries.select("qid", "text"), spans).join(F.broadcast(queries.select("qid", "t")), "qid")
-    held = spans.select("doc_id", "ordinal", "content_key", "effective_at", "retired_at", "revision")
-    met = met.join(held, "content_key").where((F.col("effective_at") <= F.col("t")) & (F.col("retired_at").isNull() | (F.col("retired_at") > F.col("t"))))
-    return rank(met, k).select("qid", "t", "rank", "score", "doc_id", "ordinal", "content_key", "effective_at", "revision")
+    """Each query (qid, text, t) at its own instant, which masks the scores of slots
+    that were not valid then before any is chosen."""
+    return best(queries, spans, k).join(F.broadcast(queries.select("qid", "t")), "qid").select("qid", "t", "rank", "score", *PLACE)
 
 
-def between(queries: DataFrame, history: DataFrame, t1: int, t2: int, k: int = 5, mode: str = "side_by_side", vectors: DataFrame | None = None) -> DataFrame:
+def between(queries: DataFrame, history: DataFrame, t1: int, t2: int, k: int = 5, mode: str = "side_by_side") -> DataFrame:
     """Over [t1, t2): side_by_side compares the answers at both ends (fate: stayed,
     reworded, entered, left), any_time ranks what was valid at any moment, delta ranks
     the events of the range."""
@@ -84,18 +140,20 @@ def between(queries: DataFrame, history: DataFrame, t1: int, t2: int, k: int = 5
         raise ValueError("t1 is after t2")
     if mode == "side_by_side":
         cols = ["rank", "score", "content_key"]
-        a, b = (at(queries, history, t, k, vectors=vectors).select("qid", "doc_id", "ordinal", *[F.col(c).alias(f"{c}_{s}") for c in cols]) for t, s in ((t1, "from"), (max(t1, t2 - 1), "to")))
+        a, b = (at(queries, history, t, k).select("qid", "doc_id", "ordinal", *[F.col(c).alias(f"{c}_{s}") for c in cols]) for t, s in ((t1, "from"), (max(t1, t2 - 1), "to")))
         met = a.join(b, ["qid", "doc_id", "ordinal"], "full_outer")
         fate = F.when(F.col("rank_from").isNull(), "entered").when(F.col("rank_to").isNull(), "left").when(F.col("content_key_from") == F.col("content_key_to"), "stayed").otherwise("reworded")
         return met.select("qid", "doc_id", "ordinal", "rank_from", "rank_to", "score_from", "score_to", fate.alias("fate"))
     if mode == "any_time":
-        slots = hist.valid_between(hist.intervals(history), t1, t2)
-        return _answer(queries, slots, k, "both", vectors)
-    events = history.where((F.col("effective_at") >= t1) & (F.col("effective_at") < t2) & F.col("content_key").isNotNull())
-    met = scored_keys(queries, events, vectors=vectors).join(events.select("doc_id", "ordinal", "content_key", "effective_at", "revision", "op", "prior_key"), "content_key")
-    return rank(met, k).select("qid", "rank", "score", "doc_id", "ordinal", "effective_at", "op", "prior_key")
+        spans = history if "retired_at" in history.columns else hist.intervals(history)
+        return _answer(queries, hist.valid_between(spans, t1, t2), k, "both")
+    events = history.where((F.col("effective_at") >= t1) & (F.col("effective_at") < t2))
+    found = best(queries.drop("t"), events, k, ("op", "prior_key"))
+    return found.select("qid", "rank", "score", "doc_id", "ordinal", "effective_at", "op", "prior_key")
 
 
 def with_bodies(answers: DataFrame, slots: DataFrame) -> DataFrame:
-    """Answers with their texts, fetched for these rows only."""
-    return answers.join(slots.select("doc_id", "ordinal", "effective_at", "body"), ["doc_id", "ordinal", "effective_at"])
+    """Answers with their texts, and the end of their validity (null while they are
+    valid) if slots know it, fetched for these rows only."""
+    found = [c for c in ("body", "retired_at") if c in slots.columns]
+    return answers.join(slots.select("doc_id", "ordinal", "effective_at", *found), ["doc_id", "ordinal", "effective_at"])

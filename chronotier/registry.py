@@ -13,10 +13,10 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from chronotier.functions import fingerprint, route, segment
-from chronotier.operators import audit, baselines, diff, encode, history as hist, ledger, live, metrics, search
+from chronotier.operators import audit, baselines, diff, dispatch, encode, history as hist, ledger, live, metrics, search
 from chronotier.plans.guard import assert_guard
 from chronotier.plans import surface
-from chronotier.sources import scratch, workload
+from chronotier.sources import scratch, tiers, workload
 from chronotier.sources import workload_sql as sql
 from chronotier.sources.tables import load
 from chronotier.sources.workload import INSTANTS
@@ -47,33 +47,7 @@ def _docs(spark: SparkSession, sf: str) -> DataFrame:
     return load(spark, sf, "documents").select("doc_id", F.lit(1).cast("long").alias("revision"), F.lit(INSTANTS[1]).cast("long").alias("effective_at"), "text")
 
 
-def _segments(spark: SparkSession, sf: str, profile: str = "structural") -> DataFrame:
-    return workload.segments(spark, sf, profile)
-
-
-def _diffed(segs: DataFrame, how=diff.combined) -> DataFrame:
-    """Every revision against the one before; a document that is empty now is dropped."""
-    old, new = baselines.pairs(segs)
-    return how(old, new, VERSION, old.select(*VERSION).distinct())
-
-
-def _changes(spark: SparkSession, sf: str, profile: str = "structural") -> DataFrame:
-    return _diffed(_segments(spark, sf, profile))
-
-
-def _history(spark: SparkSession, sf: str, profile: str = "structural") -> DataFrame:
-    segs = _segments(spark, sf, profile)
-    return hist.stamp(_diffed(segs), segs)
-
-
-def _history_kept(spark: SparkSession, sf: str) -> DataFrame:
-    """The same, held for a query that reads it several times (in memory or on disk;
-    a lost executor's part is made again)."""
-    return _history(spark, sf).persist()
-
-
-def _live(spark: SparkSession, sf: str) -> DataFrame:
-    return hist.snapshot_at(_history(spark, sf), None)
+_segments, _changes, _history, _spans, _live, _diffed = tiers.segments, tiers.changes, tiers.events, tiers.spans, tiers.live, tiers.diffed
 
 
 def _benchmark(spark: SparkSession, sf: str) -> DataFrame:
@@ -88,7 +62,7 @@ LIVE = f"{HI}, live AS (SELECT doc_id, ordinal, content_key, body, effective_at,
 
 def flagship(spark: SparkSession, sf: str) -> DataFrame:
     """The answers to each benchmark text as of the third instant."""
-    return assert_guard(search.at(_benchmark(spark, sf), _history(spark, sf), T3))
+    return assert_guard(search.at(_benchmark(spark, sf), _spans(spark, sf), T3))
 
 
 # Segments and keys
@@ -254,7 +228,7 @@ def encode_table_choice(spark, sf):
 
 @query(f"{HI} SELECT doc_id, ordinal, content_key, effective_at, revision, op, prior_key, body FROM history")
 def history_events(spark, sf):
-    return _history(spark, sf).drop("commit_seq")
+    return _history(spark, sf).drop("commit_seq", "month")
 
 
 @query(f"{HI} SELECT doc_id, ordinal, content_key, effective_at, revision, op, retired_at, state FROM spans")
@@ -264,7 +238,7 @@ def history_intervals(spark, sf):
 
 @query(f"{HI} SELECT doc_id, ordinal, content_key, effective_at, retired_at, state FROM spans")
 def history_closed(spark, sf):
-    return hist.closed(_history(spark, sf)).select("doc_id", "ordinal", "content_key", "effective_at", "retired_at", "state")
+    return _spans(spark, sf).select("doc_id", "ordinal", "content_key", "effective_at", "retired_at", "state")
 
 
 @query(f"{S} SELECT revision, count(*) AS n_rows FROM seg GROUP BY revision")
@@ -285,7 +259,7 @@ _EDGES = sorted({t + d for t in INSTANTS.values() for d in (-1, 0)})
 
 @query(f"{HI}, t AS (SELECT unnest({_EDGES}) AS t) SELECT CAST(t AS BIGINT) AS t, count(doc_id) AS slots FROM t LEFT JOIN spans ON effective_at <= t AND (retired_at IS NULL OR retired_at > t) GROUP BY t")
 def snapshot_boundary(spark, sf):
-    spans = hist.intervals(_history(spark, sf))
+    spans = _spans(spark, sf)
     rows = spans.select(F.explode(F.array(*[F.struct(F.lit(t).cast("long").alias("t"), ((F.col("effective_at") <= t) & (F.col("retired_at").isNull() | (F.col("retired_at") > t))).cast("int").alias("n")) for t in _EDGES])).alias("x"))
     return rows.groupBy("x.t").agg(F.sum("x.n").cast("long").alias("slots"))
 
@@ -297,14 +271,14 @@ def snapshot_as_known(spark, sf):
 
 @query(f"{LIVE} SELECT doc_id, ordinal, content_key, effective_at, revision FROM live")
 def live_slots(spark, sf):
-    history = _history_kept(spark, sf)
+    history = _history(spark, sf)
     before = hist.snapshot_at(history, INSTANTS[4])
     return live.apply(before, history.where("revision = 5")).select("doc_id", "ordinal", "content_key", "effective_at", "revision")
 
 
 @query(f"{S} SELECT CAST(0 AS BIGINT) AS strays, count(*) AS slots FROM seg WHERE revision = 5")
 def live_equals_snapshot(spark, sf):
-    history = _history_kept(spark, sf)
+    history = _history(spark, sf)
     now = live.apply(hist.snapshot_at(history, INSTANTS[4]), history.where("revision = 5"))
     return live.strays(now, history).agg(F.count("*").alias("strays")).crossJoin(now.agg(F.count("*").alias("slots")))
 
@@ -354,7 +328,7 @@ ranked AS (SELECT qid, t, row_number() OVER (PARTITION BY qid {_ORDER}) AS rank,
 SELECT * FROM ranked WHERE rank <= 5""")
 def search_at_each(spark, sf):
     qs = _benchmark(spark, sf).withColumn("t", workload.instant(F.col("qid") % 5 + 1))
-    return search.at_each(qs, hist.intervals(_history(spark, sf)))
+    return assert_guard(search.at_each(qs, _spans(spark, sf)))
 
 
 def _side(t: int, s: str) -> str:
@@ -364,18 +338,18 @@ def _side(t: int, s: str) -> str:
 @query(f"""{HI}, {_scored('spans', _BENCH)}, {_side(INSTANTS[2], 'f')}, {_side(NOW - 1, 't')}
 SELECT qid, doc_id, ordinal, rank_f AS rank_from, rank_t AS rank_to, score_f AS score_from, score_t AS score_to, CASE WHEN rank_f IS NULL THEN 'entered' WHEN rank_t IS NULL THEN 'left' WHEN key_f = key_t THEN 'stayed' ELSE 'reworded' END AS fate FROM f FULL JOIN t USING (qid, doc_id, ordinal)""")
 def search_between_sides(spark, sf):
-    return search.between(_benchmark(spark, sf), _history_kept(spark, sf), INSTANTS[2], NOW)
+    return assert_guard(search.between(_benchmark(spark, sf), _spans(spark, sf), INSTANTS[2], NOW))
 
 
 @query(f"{HI}, part AS (SELECT * FROM spans WHERE effective_at < {INSTANTS[4]} AND (retired_at IS NULL OR retired_at > {INSTANTS[2]})), {_scored('part', _BENCH)}, {_TOP % 'part'} {_PICK % 'both'}")
 def search_between_any(spark, sf):
-    return search.between(_benchmark(spark, sf), _history(spark, sf), INSTANTS[2], INSTANTS[4], mode="any_time")
+    return assert_guard(search.between(_benchmark(spark, sf), _spans(spark, sf), INSTANTS[2], INSTANTS[4], mode="any_time"))
 
 
 @query(f"""{HI}, part AS (SELECT * FROM history WHERE content_key IS NOT NULL AND effective_at >= {INSTANTS[2]} AND effective_at < {INSTANTS[4]}), {_scored('part', _BENCH)},
 ranked AS (SELECT qid, row_number() OVER (PARTITION BY qid {_ORDER}) AS rank, score, doc_id, ordinal, effective_at, op, prior_key FROM scored JOIN part USING (content_key)) SELECT * FROM ranked WHERE rank <= 5""")
 def search_between_delta(spark, sf):
-    return search.between(_benchmark(spark, sf), _history(spark, sf), INSTANTS[2], INSTANTS[4], mode="delta")
+    return assert_guard(search.between(_benchmark(spark, sf), _history(spark, sf), INSTANTS[2], INSTANTS[4], mode="delta"))
 
 
 _PHRASES = ["rules as of 2024-02-15", "rules", "rules between 2024-01-01 and 2024-03-31", "what was before 2024-05-01", "changes since 2024-03-31"]
@@ -392,16 +366,21 @@ def route_classify(spark, sf):
     return route.classify(_phrased(spark, sf), NOW).select("qid", "kind", "t_from", "t_to")
 
 
-@query()
+_BY_ROUTE = f"""routed AS (SELECT item_id AS qid, kind, CAST(t_from AS BIGINT) AS t_from, CAST(t_to AS BIGINT) AS t_to FROM benchmark JOIN ({_ROUTED}) AS v(i, kind, t_from, t_to) ON item_id % 5 = i)"""
+_CORE = "(SELECT item_id AS qid, lower(text || CASE item_id % 5 WHEN 0 THEN ' rules' WHEN 1 THEN ' rules' WHEN 2 THEN ' rules' WHEN 3 THEN ' what was' ELSE ' changes' END) AS text FROM benchmark)"
+
+
+@query(f"""{HI}, {_BY_ROUTE}, {_scored('spans', _CORE)},
+met AS (SELECT qid, kind, score, doc_id, ordinal, effective_at, CASE WHEN kind = 'comparative' AND retired_at IS NULL THEN 'hot' WHEN kind = 'live' THEN 'hot' ELSE 'cold' END AS tier, retired_at
+  FROM scored JOIN routed USING (qid) JOIN spans USING (content_key)
+  WHERE CASE kind WHEN 'live' THEN retired_at IS NULL WHEN 'historical' THEN effective_at <= t_from AND (retired_at IS NULL OR retired_at > t_from)
+    ELSE effective_at < t_to AND (retired_at IS NULL OR retired_at > t_from) END)
+SELECT qid, kind, row_number() OVER (PARTITION BY qid ORDER BY score DESC, doc_id, ordinal, effective_at) AS rank, score, doc_id, ordinal, effective_at, retired_at, tier FROM met QUALIFY rank <= 5""")
 def route_answer(spark, sf):
-    """Each query by its route: the present, its instant, or any moment of its range."""
+    """Each query by its route, from the tier that the route reads."""
     qs = route.classify(_phrased(spark, sf), NOW).select("qid", F.col("core_text").alias("text"), "kind", "t_from", "t_to")
-    spans = hist.intervals(_history(spark, sf))
-    met = search.scored_keys(qs.select("qid", "text"), spans).join(F.broadcast(qs.drop("text")), "qid").join(spans.select("doc_id", "ordinal", "content_key", "effective_at", "retired_at", "revision"), "content_key")
-    first, last = F.coalesce("t_from", F.lit(NOW)), F.coalesce(F.col("t_to") - 1, "t_from", F.lit(NOW))
-    met = met.where((F.col("effective_at") <= last) & (F.col("retired_at").isNull() | (F.col("retired_at") > first)))
-    tier = F.when(F.col("kind") == "live", "hot").when(F.col("kind") == "historical", "cold").otherwise("both")
-    return search.rank(met).select("qid", "kind", "rank", "score", "doc_id", "ordinal", "effective_at", tier.alias("tier"))
+    found = dispatch.answer(qs, _live(spark, sf), _spans(spark, sf))
+    return found.select("qid", "kind", "rank", "score", "doc_id", "ordinal", "effective_at", "retired_at", "tier")
 
 
 @query(f"""{LIVE}, keyed AS (SELECT content_key, min(body) AS body FROM live GROUP BY content_key),
@@ -476,11 +455,11 @@ _detection("structural")
 @query(f"""{HI} SELECT 'live' AS form, count(*) AS n_rows FROM spans WHERE retired_at IS NULL UNION ALL SELECT 'event_log', count(*) FROM history
 UNION ALL SELECT 'intervals', count(*) FROM spans UNION ALL SELECT 'full_copies', count(*) FROM seg""")
 def storage_rows(spark, sf):
-    history = _history_kept(spark, sf)
+    history = _history(spark, sf)
     return metrics.storage_rows(live.rebuild(history), history, hist.full_copies(_segments(spark, sf)))
 
 
-def _asked(history: DataFrame, spans: DataFrame) -> DataFrame:
+def _asked(spans: DataFrame) -> DataFrame:
     """20 edited slots' texts before the edit, each asked at all five instants."""
     first = W.orderBy("doc_id", "ordinal", "effective_at")
     old = spans.where("state = 'replaced'").withColumn("n", F.row_number().over(first)).where("n <= 20")
@@ -504,15 +483,12 @@ _VARIANTS = (("snapshot_first", "true", True, False), ("unfiltered_live", "state
 
 @query(f"{HI}, {_ASKED}, {_scored('spans', 'asked')} " + " UNION ALL ".join(_variant(*v) for v in _VARIANTS))
 def leakage_by_variant(spark, sf):
-    history = _history_kept(spark, sf)
-    spans = hist.intervals(history)
-    asked = _asked(history, spans).persist()
-    scored = search.scored_keys(asked.select("qid", "text"), spans).persist()
-    met = scored.join(F.broadcast(asked.select("qid", "t")), "qid").join(spans.select("doc_id", "ordinal", "content_key", "effective_at", "retired_at", "revision"), "content_key")
-    valid = (F.col("effective_at") <= F.col("t")) & (F.col("retired_at").isNull() | (F.col("retired_at") > F.col("t")))
-    out = metrics.leakage(search.rank(met.withColumn("valid", valid).where("valid")), 100, 5, "snapshot_first")
+    spans = _spans(spark, sf)
+    asked = tiers.kept(spark, sf, "asked", lambda: _asked(spans))
+    met = search.best(asked, spans).withColumn("valid", F.lit(True))
+    out = metrics.leakage(met, 100, 5, "snapshot_first")
     for name, index, validate in (("unfiltered_live", "live", False), ("unfiltered_all", "all", False), ("stale_index", "stale", False), ("postfilter_live", "live", True), ("postfilter_all", "all", True)):
-        out = out.union(metrics.leakage(baselines.postfilter(asked, history, index=index, validate=validate, scored=scored), 100, 5, name))
+        out = out.union(metrics.leakage(baselines.postfilter(asked, spans, index=index, validate=validate), 100, 5, name))
     return out
 
 
@@ -522,9 +498,8 @@ hit AS (SELECT asked.qid, coalesce(max(CASE WHEN top.doc_id = before.doc_id AND
 SELECT count(*) AS queries, count(*) FILTER (found = 0 AND should = 0) + count(*) FILTER (found = 1 AND should = 1) AS agree, count(*) FILTER (found = 1 AND should = 0) AS leaked FROM hit""")
 def temporal_accuracy(spark, sf):
     """Is a slot's old text found exactly at the instants at which it was valid?"""
-    history = _history_kept(spark, sf)
-    spans = hist.intervals(history)
-    asked = _asked(history, spans)
+    spans = _spans(spark, sf)
+    asked = tiers.kept(spark, sf, "asked", lambda: _asked(spans))
     first = W.orderBy("doc_id", "ordinal", "effective_at")
     old = spans.where("state = 'replaced'").withColumn("n", F.row_number().over(first)).where("n <= 20").select("n", *[F.col(c).alias(f"o_{c}") for c in ("doc_id", "ordinal", "effective_at", "retired_at")])
     top = search.at_each(asked, spans).drop("t")
@@ -556,7 +531,7 @@ def audit_lineage(spark, sf):
 @query(f"""{HI} SELECT revision, effective_at, {', '.join(f"count(*) FILTER (op = '{o}') AS {o}" for o in ('added', 'edited', 'moved', 'dropped', 'vacated'))},
 (SELECT count(*) FROM spans s WHERE s.effective_at <= h.effective_at AND (retired_at IS NULL OR retired_at > h.effective_at)) AS live_slots FROM history h GROUP BY revision, effective_at""")
 def audit_timeline(spark, sf):
-    return audit.timeline(_history_kept(spark, sf))
+    return audit.timeline(_history(spark, sf))
 
 
 @query(f"{CH} SELECT revision, doc_id, count(*) FILTER (needs_encoding) AS changed, count(*) FILTER (op NOT IN ('dropped', 'vacated')) AS total FROM changes WHERE NOT audit GROUP BY revision, doc_id")
@@ -572,7 +547,7 @@ def changes_cube(spark, sf):
 
 @query(f"""{CH} SELECT revision, {', '.join(f"count(*) FILTER (op = '{o}') AS {o}" for o in ('kept', 'added', 'edited', 'moved', 'dropped', 'vacated'))} FROM changes GROUP BY revision""")
 def changes_pivot(spark, sf):
-    return _changes(spark, sf).groupBy("revision").pivot("op", ["kept", "added", "edited", "moved", "dropped", "vacated"]).agg(F.count("*")).na.fill(0)
+    return _changes(spark, sf).groupBy("revision").pivot("op", ["kept", "added", "edited", "moved", "dropped", "vacated"]).agg(F.count(F.lit(1))).na.fill(0)
 
 
 # Feeds and records
@@ -720,7 +695,7 @@ best AS (SELECT qid, sum(1 / log2(i + 1.0)) AS ideal FROM (SELECT qid, row_numbe
 hits AS (SELECT qid, sum(1 / log2(rank + 1.0)) AS dcg, min(rank) AS first FROM ranked JOIN wanted USING (qid, doc_id, ordinal) WHERE rank <= 5 GROUP BY qid)
 SELECT count(*) AS queries, round(avg(coalesce(dcg / ideal, 0)), 6) AS ndcg, round(avg(coalesce(1.0 / first, 0)), 6) AS mrr FROM best LEFT JOIN hits USING (qid)""")
 def ann_ndcg(spark, sf):
-    history = _history_kept(spark, sf)
+    history = _history(spark, sf)
     now, bench = hist.snapshot_at(history, None), _benchmark(spark, sf)
     item = F.concat_ws(":", "doc_id", "ordinal").alias("item")
     wanted = now.join(F.broadcast(bench), F.expr("contains(body, text)")).select("qid", item, F.lit(1).alias("rel"))
@@ -791,7 +766,7 @@ def commit_faults(spark, sf):
     (point, lost, strays) with the rows that the history lacks and tiers disagree on."""
     from chronotier.operators.commit import POINTS, Fault, Store
 
-    events, rows = _history_kept(spark, sf), []
+    events, rows = _history(spark, sf), []
     key = ["doc_id", "ordinal", "revision"]
     for point in POINTS:
         store = Store(spark, scratch.folder(spark, "store"))
@@ -811,26 +786,18 @@ def commit_faults(spark, sf):
 @query()
 def query_latency(spark, sf):
     """Milliseconds by route: the benchmark texts asked of the live tier, of an instant
-    and of a range, each five times; tiers and the keys' vectors are
-    stored tables. p50, p95 and p99."""
-    at, q = scratch.folder(spark, "tiers"), _benchmark(spark, sf)
-
-    def stored(df: DataFrame, name: str) -> DataFrame:
-        df.write.parquet(f"{at}/{name}")
-        return spark.read.schema(df.schema).parquet(f"{at}/{name}")
-
-    history = stored(_history(spark, sf), "history")
-    now, vectors = stored(hist.snapshot_at(history, None), "live"), stored(search.key_vectors(history), "vectors")
+    and of a range, each twenty times over the stored tiers. p50, p95 and p99 of a batch."""
+    q, now, spans = _benchmark(spark, sf), _live(spark, sf), _spans(spark, sf)
     save = lambda df: df.write.format("noop").mode("overwrite").save()
-    routes = {"live": lambda: save(search.live(q, now, vectors=vectors)), "historical": lambda: save(search.at(q, history, T3, vectors=vectors)), "comparative": lambda: save(search.between(q, history, INSTANTS[2], NOW, vectors=vectors))}
-    return spark.createDataFrame([(name, *(float(x) for x in metrics.timed(fn, 5).values())) for name, fn in routes.items()], "route string, p50 double, p95 double, p99 double")
+    routes = {"live": lambda: save(search.live(q, now)), "historical": lambda: save(search.at(q, spans, T3)), "comparative": lambda: save(search.between(q, spans, INSTANTS[2], NOW))}
+    return spark.createDataFrame([(name, *(float(x) for x in metrics.timed(fn, 20).values())) for name, fn in routes.items()], "route string, p50 double, p95 double, p99 double")
 
 
 @query()
 def update_latency(spark, sf):
     """Milliseconds to find and encode what each strategy sends at the last revision:
     chunk sync, upsert of changed documents, full; with the rows sent."""
-    segs = _segments(spark, sf, "steady").persist()
+    segs = _segments(spark, sf, "steady")
     bodies = segs.where("revision = 5").select("doc_id", "revision", "ordinal", "body", "content_key")
     sync = baselines.chunk_sync(segs).where("revision = 5").select("doc_id", "revision", "ordinal")
     sent = {"sync": bodies.join(sync, ["doc_id", "revision", "ordinal"], "left_semi"), "upsert": baselines.document_upsert(segs).where("revision = 5"), "full": bodies}

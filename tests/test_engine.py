@@ -82,8 +82,32 @@ def test_answers_do_not_change_with_the_future(spark):
 def test_guard(spark):
     q = spark.createDataFrame([(1, "old text")], "qid long, text string")
     assert_guard(search.at(q, events(spark), 150))
-    with pytest.raises(LeakyPlan):
-        assert_guard(events(spark).orderBy("revision").limit(2).where("effective_at < 150"))
+    late = events(spark).orderBy("revision").limit(2).where("effective_at < 150")
+    ranked = search.rank(events(spark).selectExpr("1 qid", "1.0 score", "*"), 2).where("effective_at < 150")
+    joined = ranked.drop("score").join(q, "qid").where("effective_at < 150 or revision > 7")
+    for leaky in (late, ranked, joined, search.rank(events(spark).selectExpr("1 qid", "1.0 score", "*"), 2).join(q.selectExpr("qid", "150 t"), F.expr("effective_at <= t"))):
+        with pytest.raises(LeakyPlan):
+            assert_guard(leaky)
+
+
+def test_guard_looks_at_the_plan_only(spark):
+    """Numbering rows is no choice, questions may be limited, and what was cached before
+    by another query changes nothing."""
+    from pyspark.sql import Window as W
+
+    numbered = events(spark).withColumn("n", F.row_number().over(W.partitionBy("doc_id").orderBy("ordinal", "revision")))
+    q = spark.createDataFrame([(1, "old text", 150)], "qid long, text string, t long").limit(5)
+    spans = hist.closed(events(spark))
+    plans = lambda: [numbered.where("effective_at < 150"), search.at(q, numbered, 150), search.at_each(q, spans), *(search.between(q, spans if m != "delta" else events(spark), 100, 200, mode=m) for m in ("side_by_side", "any_time", "delta"))]
+    for df in plans():
+        assert_guard(df)
+    warm = [df.persist() for df in (numbered, spans, search.rank(events(spark).selectExpr("1 qid", "1.0 score", "*"), 2))]
+    for df in warm:
+        df.count()
+    for df in plans():
+        assert_guard(df)
+    for df in warm:
+        df.unpersist()
 
 
 def test_blocks(spark):
@@ -125,10 +149,51 @@ def test_sql_surface(spark):
     assert [tuple(r) for r in lines] == [(0, "a"), (1, "b")]
 
 
-def test_kept_vectors_score_the_same(spark):
+def test_stored_terms_score_the_same(spark):
+    from chronotier.operators import encode
+
     q = spark.createDataFrame([(1, "old text"), (2, "")], "qid long, text string")
-    h = events(spark)
-    assert search.at(q, h, 150).collect() == search.at(q, h, 150, vectors=search.key_vectors(h)).collect()
+    spans = hist.closed(events(spark))
+    want = search.at(q, events(spark), 150).collect()
+    assert want and want == search.at(q, spans, 150).collect() == search.at(q, spans.withColumn("codes", encode.codes(F.col("body"))), 150).collect()
+
+
+def test_best_against_brute_force(spark):
+    """Ties, slots that share no term, questions by instant, several batches."""
+    import random
+
+    rng = random.Random(12)
+    words = [f"w{i}" for i in range(12)]
+    text = lambda n: " ".join(rng.choice(words) for _ in range(n))
+    rows = [(d, o, f"k{d}{o}", text(rng.randrange(1, 5)), 10 * rng.randrange(5), rng.choice([None, 60, 70]), 1) for d in range(40) for o in range(5)] + [(99, 0, "e", "", 0, None, 1)]
+    slots = spark.createDataFrame(rows, "doc_id long, ordinal long, content_key string, body string, effective_at long, retired_at long, revision long").repartition(3)
+    qs = [(i, text(3), 5 * i) for i in range(16)] + [(50, "unheard", 30), (51, "", 30)]
+
+    def vector(t):
+        v = {}
+        for w in t.split():
+            h = __import__("hashlib").md5(w.encode()).hexdigest()
+            b = int(h[:8], 16) % 384
+            v[b] = v.get(b, 0) + (1 if int(h[8], 16) % 2 == 0 else -1)
+        return {b: x for b, x in v.items() if x}
+
+    def brute(q, t):
+        a = vector(q)
+        found = []
+        for d, o, _, body, start, end, _ in rows:
+            b = vector(body)
+            if set(a) & set(b) and (t is None or start <= t and (end is None or end > t)):
+                s = sum(x * b.get(i, 0) for i, x in a.items()) / (sum(x * x for x in a.values()) * sum(x * x for x in b.values())) ** 0.5
+                found.append((-round(s, 6), d, o))
+        return [(d, o, -s) for s, d, o in sorted(found)[:4]]
+
+    for instants in (False, True):
+        asked = spark.createDataFrame(qs, "qid long, text string, t long")
+        got = {}
+        for r in search.best(asked if instants else asked.drop("t"), slots, 4).orderBy("qid", "rank").collect():
+            got.setdefault(r["qid"], []).append((r["doc_id"], r["ordinal"], r["score"]))
+        for qid, q, t in qs:
+            assert got.get(qid, []) == brute(q, t if instants else None)
 
 
 def test_aligned_long_documents(spark):
