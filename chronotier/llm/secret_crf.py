@@ -3,11 +3,18 @@
 Tokens are runs of A-Z, a-z, 0-9 and + / _ . = - or single other marks. The CRF tags
 each as begin, inside or outside from its shape, its neighbours and features of the
 file, trained by gradient steps on the log-likelihood (forward-backward) and decoded
-by Viterbi. A token without a digit or with fewer than SHORT characters is outside by
-definition, so a text is decoded over its runs of other tokens only, exactly as over
-the whole chain. Labels for training are the pattern matches in a bounded sample of
-at most MAX_DOCS documents drawn by a hash of the id; contexts of the keywords are
-dropped at random, so the tagger learns shapes and other neighbours as well.
+by Viterbi. What can be tagged is a token of LEAST characters or more that is not a
+plain word (it holds a digit, one of + / _ =, a capital after a small letter, or 24
+letters), and any token of AFTER_MARK characters or more that follows a colon or an
+equals sign. All others are outside, so a text is decoded over the chains of such tokens
+with nothing but marks between them, exactly as over the whole chain.
+
+The patterns' own matches would only teach the tagger the patterns. So the texts of the
+training sample also get planted secrets, random strings of several alphabets and
+lengths between words that the patterns do not know or none at all, and planted decoys
+(numbers of cards, phones and versions, dates, addresses, paths, names of variables),
+and half of the matches lose the words before them. The sample has MAX_DOCS documents,
+drawn by a hash of the id, and at most MAX_CHAINS chains of each, drawn by a hash.
 """
 
 from __future__ import annotations
@@ -28,9 +35,15 @@ KINDS = ("assign", "access", "hex", "tagged")
 ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.IGNORECASE | re.ASCII)
 ACCESS = re.compile(r"AKIA[A-Z0-9]+")
 HEX = re.compile(r"[0-9a-f]{24,}")
-MAX_DOCS = 4000
-SHORT, BEFORE, AFTER = 8, 40, 12
+#: Bounds on the training sample: documents, and chains of each.
+MAX_DOCS, MAX_CHAINS = 4000, 24
+#: Least lengths of a token that can be tagged, anywhere and after a mark.
+LEAST, AFTER_MARK = 8, 6
+#: Characters of a text that features look at, before and after a token.
+BEFORE, AFTER = 40, 12
 DIGITS = re.compile(r"[0-9]+")
+SEED = re.compile(r"[0-9+/_=]|[a-z](?=[A-Z])|[A-Za-z]{24}")
+MARKED = re.compile(r"[:=][\"'\x20]{0,3}(?=[A-Za-z0-9+/_.=-]{6})")
 RUN = re.compile(r"[A-Za-z0-9+/_.=-]*")
 ATOM = re.compile(r"[A-Za-z0-9+/_.=-]+|[^\sA-Za-z0-9+/_.=-]")
 BODY = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/_.=-")
@@ -44,23 +57,39 @@ def base_spans(text: str) -> list[tuple[int, int, int]]:
     return sorted(found)
 
 
+def candidates(text: str) -> list[tuple[int, int]]:
+    """The tokens that can be tagged, as (start, end) in order; a dot or dash at the end
+    is left out, as it ends a sentence more often than a secret, and so is what stands
+    before an equals sign."""
+    found: dict[int, int] = {}
+    for pattern, least in ((SEED, LEAST), (MARKED, AFTER_MARK)):
+        end = 0
+        for m in pattern.finditer(text):
+            start = m.start() if pattern is SEED else m.end()
+            if start < end:
+                continue
+            while start > end and text[start - 1] in BODY:
+                start -= 1
+            end = RUN.match(text, start).end()
+            stop = end
+            while stop > start and text[stop - 1] in ".-":
+                stop -= 1
+            start += text[start:stop].rstrip("=").rfind("=") + 1
+            if stop - start >= least:
+                found[start] = max(stop, found.get(start, 0))
+    return sorted(found.items())
+
+
 def chains(text: str) -> Iterator[list[tuple[int, int]]]:
-    """Runs of neighbouring tokens that may belong to a secret, as (start, end)."""
+    """Runs of such tokens with no more than three marks and blanks between them."""
     run: list[tuple[int, int]] = []
-    end = 0
-    for m in DIGITS.finditer(text):
-        if m.start() < end:
+    for start, end in candidates(text):
+        if run and start < run[-1][1]:
             continue
-        start = m.start()
-        while start > end and text[start - 1] in BODY:
-            start -= 1
-        stop = RUN.match(text, m.end()).end()
-        if stop - start >= SHORT:
-            if run and text[run[-1][1] : start].strip():
-                yield run
-                run = []
-            run.append((start, stop))
-        end = stop
+        if run and (start - run[-1][1] > 3 or any(c.isalnum() for c in text[run[-1][1] : start])):
+            yield run
+            run = []
+        run.append((start, end))
     if run:
         yield run
 
@@ -155,47 +184,104 @@ def train(samples: list[tuple[list[list[str]], list[int]]], epochs: int = 6, see
     for epoch in range(epochs):
         rng.shuffle(samples)
         for chain, gold in samples:
-            drop = rng.random() < 0.3  # without the words before it
-            seen = [[f for f in feats if not f.startswith("b")] for feats in chain] if drop else chain
+            drop = rng.random() < 0.5  # without the words before it
+            seen = [[f for f in feats if not f.startswith("b")] for feats in chain] if drop and any(gold) else chain
             tagger.learn(seen, gold, 0.2 / (1 + epoch))
     return tagger
 
 
-def labelled(text: str) -> list[tuple[list[list[str]], list[int]]]:
-    """Chains of a text with tags from its pattern matches."""
-    base, file, out = base_spans(text), file_features(text), []
+#: What stands before planted secrets, and the alphabets of these.
+LEADS = ("", "", "key ", "auth: ", "credential = ", "Bearer ", "pwd=", "login with ", "private_key: '", "export KEY=", "use \"", "signature ", "session: ", "--auth ", "hash <")
+ALPHABETS = ("0123456789abcdef", "0123456789ABCDEF", "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789", "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/", "abcdefghijklmnopqrstuvwxyz0123456789_-")
+
+
+def secret(rng) -> str:
+    """A random secret: a string over an alphabet, some with a prefix or padding."""
+    letters = rng.choice(ALPHABETS)
+    body = "".join(rng.choice(letters) for _ in range(rng.choice((16, 20, 24, 32, 36, 40, 48, 64))))
+    head = rng.choice(("", "", "", "sk_", "pk-", "ab1_", "v1."))
+    return head + body + ("==" if "+" in letters and rng.random() < 0.5 else "")
+
+
+def decoy(rng) -> str:
+    """A random string that looks like a secret and is none."""
+    digits = lambda n: "".join(rng.choice("0123456789") for _ in range(n))
+    word = lambda: "".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(rng.randrange(3, 9)))
+    return rng.choice((
+        lambda: digits(16), lambda: digits(rng.randrange(8, 14)), lambda: f"20{digits(2)}-0{rng.randrange(1, 10)}-1{digits(1)}", lambda: f"+1-{digits(3)}-{digits(3)}-{digits(4)}",
+        lambda: f"{word()}.{digits(2)}@mail{digits(1)}.{word()}.com", lambda: f"https://www.{word()}.com/{word()}/{digits(3)}", lambda: f"/usr/{word()}/{word()}/{word()}.{word()[:3]}", lambda: f"{word()}{word().title()}{word().title()}",
+        lambda: f"{word()}_{word()}_{word()}", lambda: f"{word()}-{word()}-{digits(4)}", lambda: f"{digits(1)}.{digits(2)}.{digits(2)}-{word()}", lambda: word() * 5, lambda: f"{digits(2)}.{digits(2)}.{digits(3)}.{digits(2)}", lambda: f"{word().title()}{digits(4)}",
+    ))()
+
+
+def planted(text: str, rng, n: int = 4) -> tuple[str, list[tuple[int, int]]]:
+    """The text with n planted strings between its words, and the places of the secrets
+    among them."""
+    gaps = sorted({m.start() for m in re.finditer(r"[ \n]", text)})
+    at = sorted(rng.sample(gaps, min(n, len(gaps)))) if gaps else [0]
+    out, spans, done, size = [], [], 0, 0
+    for place in at:
+        real = rng.random() < 0.5
+        lead = rng.choice(LEADS) if real or rng.random() < 0.3 else ""
+        body = secret(rng) if real else decoy(rng)
+        before = f"{text[done:place]} {lead}"
+        if real:
+            spans.append((size + len(before), size + len(before) + len(body)))
+        tail = {"'": "'", '"': '"', "<": ">"}.get(lead[-1:], "")
+        out.append(before + body + tail)
+        size += len(out[-1])
+        done = place
+    return "".join(out) + text[done:], spans
+
+
+def labelled(text: str, spans: list[tuple[int, int]] = ()) -> list[tuple[list[list[str]], list[int]]]:
+    """Chains of a text with tags from its pattern matches and from the given spans."""
+    known = [(s, e) for s, _, e in base_spans(text)] + list(spans)
+    file, out = file_features(text), []
     for run in chains(text):
         gold, last = [], None
         for start, end in run:
-            hit = next((b for b in base if b[0] < end and start < b[2]), None)
+            hit = next((b for b in known if b[0] < end and start < b[1]), None)
             gold.append(0 if hit is None else 2 if hit is last else 1)
             last = hit
         out.append((features(text, run, file), gold))
     return out
 
 
+def sample_of(text: str, most: int = MAX_CHAINS) -> list[tuple[list[list[str]], list[int]]]:
+    """At most `most` labelled chains of a text and of the text with plants, drawn by a
+    hash; the same for the same text."""
+    import random
+
+    rng = random.Random(hashlib.sha256(text.encode("utf-8", "replace")).digest())
+    found = labelled(text) + labelled(*planted(text, rng))
+    return found if len(found) <= most else rng.sample(found, most)
+
+
 def fit(docs: DataFrame, max_docs: int = MAX_DOCS) -> Tagger | None:
-    """A tagger from a bounded sample of docs; None if nothing in it matches."""
+    """A tagger from a bounded sample of docs; None if it has no chain."""
     n = docs.count()
     draw = F.pmod(F.xxhash64("doc_id", F.lit("secrets")), F.lit(1 << 30)) / float(1 << 30)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            made = [(i.as_py(), k, feats, gold) for i, t in zip(b.column(0), b.column(1), strict=True) for k, (feats, gold) in enumerate(labelled(t.as_py() or "")[:64])]
+            made = [(i.as_py(), k, feats, gold) for i, t in zip(b.column(0), b.column(1), strict=True) for k, (feats, gold) in enumerate(sample_of(t.as_py() or ""))]
             kinds = [pa.int64(), pa.int32(), pa.list_(pa.list_(pa.string())), pa.list_(pa.int32())]
             yield pa.RecordBatch.from_arrays([pa.array([m[c] for m in made], k) for c, k in enumerate(kinds)], names=["doc_id", "k", "feats", "gold"])
 
-    chosen = docs.where(draw < max_docs / max(1, n)).select("doc_id", "text")
+    # Half of the bound on average: no draw of a hash comes near the double of it.
+    chosen = docs.where(draw < max_docs / 2 / max(1, n)).select(F.col("doc_id").cast("long"), "text")
     rows = chosen.mapInArrow(run, "doc_id long, k int, feats array<array<string>>, gold array<int>").collect()
-    rows.sort(key=lambda r: (r["doc_id"] is None, r["doc_id"], r["k"], r["feats"]))
+    rows.sort(key=lambda r: (r["doc_id"] is None, r["doc_id"] or 0, r["k"], r["feats"]))
     samples = [(r["feats"], r["gold"]) for r in rows]
     return train(samples) if any(any(g) for _, g in samples) else None
 
 
-def find(text: str, tagger: Tagger | None) -> tuple[list, list]:
-    """The pattern matches, and these with the tagger's further spans, sorted."""
+def find(text: str, tagger: Tagger | None) -> tuple[list, list, int]:
+    """The pattern matches; these with the tagger's further spans, sorted; and how many
+    matches the tagger finds too. A tagged span that meets a match adds nothing."""
     base = base_spans(text)
-    extra, file = [], None
+    tagged, file = [], None
     for run in chains(text) if tagger else ():
         file = file or file_features(text)
         start = None
@@ -204,10 +290,11 @@ def find(text: str, tagger: Tagger | None) -> tuple[list, list]:
             if tag:
                 start = s if tag == 1 or start is None else start
                 if after != 2:
-                    extra.append((start, 3, e))
+                    tagged.append((start, 3, e))
                     start = None
-    extra = [x for x in extra if not any(b[0] < x[2] and x[0] < b[2] for b in base)]
-    return base, sorted(base + extra)
+    extra = [x for x in tagged if not any(b[0] < x[2] and x[0] < b[2] for b in base)]
+    agreed = sum(any(b[0] < x[2] and x[0] < b[2] for x in tagged) for b in base)
+    return base, sorted(base + extra), agreed
 
 
 def written(spans: list[tuple[int, int, int]]) -> str:
@@ -215,23 +302,23 @@ def written(spans: list[tuple[int, int, int]]) -> str:
 
 
 def scan(docs: DataFrame, tagger: Tagger | None) -> DataFrame:
-    """One row per row of docs: doc_id, n_assign, n_access, n_hex, n_tagged,
-    base_sha256 (of the pattern matches as kind:start:end, by start, then kind),
-    spans (all of them). Starts and ends count code points. A null text counts as
+    """One row per row of docs: doc_id, n_assign, n_access, n_hex, base_sha256 (of the
+    pattern matches as kind:start:end, by start, then kind), spans (all of them),
+    n_tagged (those that the tagger adds) and n_agreed (matches that it finds too). Starts and ends count code points. A null text counts as
     empty; rows that share an id are scanned each; other columns are not read."""
     shared = docs.sparkSession.sparkContext.broadcast(tagger)
-    names = ["doc_id", "n_assign", "n_access", "n_hex", "n_tagged", "base_sha256", "spans"]
+    names = ["doc_id", "n_assign", "n_access", "n_hex", "base_sha256", "spans", "n_tagged", "n_agreed"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             cols: list[list] = [[] for _ in names[1:]]
             for t in b.column(1):
-                base, spans = find(t.as_py() or "", shared.value)
+                base, spans, agreed = find(t.as_py() or "", shared.value)
                 n = Counter(k for _, k, _ in spans)
-                for c, v in zip(cols, (n[0], n[1], n[2], n[3], hashlib.sha256(written(base).encode()).hexdigest(), written(spans)), strict=True):
+                for c, v in zip(cols, (n[0], n[1], n[2], hashlib.sha256(written(base).encode()).hexdigest(), written(spans), n[3], agreed), strict=True):
                     c.append(v)
-            kinds = [pa.int64()] * 4 + [pa.string()] * 2
+            kinds = [pa.int64()] * 3 + [pa.string()] * 2 + [pa.int64()] * 2
             yield pa.RecordBatch.from_arrays([b.column(0), *(pa.array(c, k) for c, k in zip(cols, kinds, strict=True))], names=names)
 
-    schema = "doc_id long, n_assign long, n_access long, n_hex long, n_tagged long, base_sha256 string, spans string"
+    schema = "doc_id long, n_assign long, n_access long, n_hex long, base_sha256 string, spans string, n_tagged long, n_agreed long"
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, schema)
