@@ -13,7 +13,8 @@ The patterns' own matches would only teach the tagger the patterns. So the texts
 training sample also get planted secrets, random strings of several alphabets and
 lengths between words that the patterns do not know or none at all, and planted decoys
 (numbers of cards, phones and versions, dates, addresses, paths, names of variables),
-and half of the matches lose the words before them. The sample has MAX_DOCS documents,
+and half of the matches lose the words before them. An unmatched string of the corpus
+counts as no secret unless a first tagger takes it for one. The sample has MAX_DOCS documents,
 drawn by a hash of the id, and at most MAX_CHAINS chains of each, drawn by a hash.
 """
 
@@ -214,28 +215,29 @@ def decoy(rng) -> str:
     ))()
 
 
-def planted(text: str, rng, n: int = 4) -> tuple[str, list[tuple[int, int]]]:
-    """The text with n planted strings between its words, and the places of the secrets
-    among them."""
+def planted(text: str, rng, n: int = 4) -> tuple[str, list[tuple[int, int]], list[tuple[int, int]]]:
+    """The text with n planted strings between its words, the places of the secrets among
+    them, and those of the decoys."""
     gaps = sorted({m.start() for m in re.finditer(r"[ \n]", text)})
     at = sorted(rng.sample(gaps, min(n, len(gaps)))) if gaps else [0]
-    out, spans, done, size = [], [], 0, 0
+    out, spans, decoys, done, size = [], [], [], 0, 0
     for place in at:
         real = rng.random() < 0.5
         lead = rng.choice(LEADS) if real or rng.random() < 0.3 else ""
         body = secret(rng) if real else decoy(rng)
         before = f"{text[done:place]} {lead}"
-        if real:
-            spans.append((size + len(before), size + len(before) + len(body)))
+        (spans if real else decoys).append((size + len(before), size + len(before) + len(body)))
         tail = {"'": "'", '"': '"', "<": ">"}.get(lead[-1:], "")
         out.append(before + body + tail)
         size += len(out[-1])
         done = place
-    return "".join(out) + text[done:], spans
+    return "".join(out) + text[done:], spans, decoys
 
 
-def labelled(text: str, spans: list[tuple[int, int]] = ()) -> list[tuple[list[list[str]], list[int]]]:
-    """Chains of a text with tags from its pattern matches and from the given spans."""
+def labelled(text: str, spans: list[tuple[int, int]] = (), decoys: list[tuple[int, int]] = ()) -> list[tuple[list[list[str]], list[int], bool]]:
+    """Chains of a text with tags from its pattern matches and from the given spans, and
+    whether they are sure: they hold a match, a span or a decoy. What else looks like a
+    secret may be one that nobody has marked."""
     known = [(s, e) for s, _, e in base_spans(text)] + list(spans)
     file, out = file_features(text), []
     for run in chains(text):
@@ -244,20 +246,28 @@ def labelled(text: str, spans: list[tuple[int, int]] = ()) -> list[tuple[list[li
             hit = next((b for b in known if b[0] < end and start < b[1]), None)
             gold.append(0 if hit is None else 2 if hit is last else 1)
             last = hit
-        out.append((features(text, run, file), gold))
+        sure = any(gold) or any(a < run[-1][1] and run[0][0] < b for a, b in decoys)
+        out.append((features(text, run, file), gold, sure))
     return out
 
 
-def sample_of(text: str, most: int = MAX_CHAINS) -> list[tuple[list[list[str]], list[int]]]:
-    """At most `most` labelled chains of a text and of the text with plants, drawn by a
-    hash; the same for the same text."""
+def sample_of(text: str, most: int = MAX_CHAINS) -> list[tuple[list[list[str]], list[int], bool]]:
+    """At most `most` labelled chains of a text, and of the text with plants those that
+    hold one, drawn by a hash; the same for the same text."""
     import random
 
     rng = random.Random(hashlib.sha256(text.encode("utf-8", "replace")).digest())
-    found = labelled(text) + labelled(*planted(text, rng))
+    found = labelled(text) + [x for x in labelled(*planted(text, rng)) if x[2]]
     return found if len(found) <= most else rng.sample(found, most)
 
 
+def taught(samples: list[tuple[list[list[str]], list[int], bool]]) -> Tagger:
+    """Trained on the sure chains, then on all but those others in which the first
+    tagger sees a secret: an unmarked secret must not teach that it is none."""
+    first = train([(f, g) for f, g, sure in samples if sure])
+    return train([(f, g) for f, g, sure in samples if sure or not any(first.decode(f))])
+
+
 def fit(docs: DataFrame, max_docs: int = MAX_DOCS) -> Tagger | None:
     """A tagger from a bounded sample of docs; None if it has no chain."""
     n = docs.count()
@@ -265,16 +275,15 @@ def fit(docs: DataFrame, max_docs: int = MAX_DOCS) -> Tagger | None:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            made = [(i.as_py(), k, feats, gold) for i, t in zip(b.column(0), b.column(1), strict=True) for k, (feats, gold) in enumerate(sample_of(t.as_py() or ""))]
-            kinds = [pa.int64(), pa.int32(), pa.list_(pa.list_(pa.string())), pa.list_(pa.int32())]
-            yield pa.RecordBatch.from_arrays([pa.array([m[c] for m in made], k) for c, k in enumerate(kinds)], names=["doc_id", "k", "feats", "gold"])
+            made = [(i.as_py(), k, *chain) for i, t in zip(b.column(0), b.column(1), strict=True) for k, chain in enumerate(sample_of(t.as_py() or ""))]
+            kinds = [pa.int64(), pa.int32(), pa.list_(pa.list_(pa.string())), pa.list_(pa.int32()), pa.bool_()]
+            yield pa.RecordBatch.from_arrays([pa.array([m[c] for m in made], k) for c, k in enumerate(kinds)], names=["doc_id", "k", "feats", "gold", "sure"])
 
     # Half of the bound on average: no draw of a hash comes near the double of it.
     chosen = docs.where(draw < max_docs / 2 / max(1, n)).select(F.col("doc_id").cast("long"), "text")
-    rows = chosen.mapInArrow(run, "doc_id long, k int, feats array<array<string>>, gold array<int>").collect()
+    rows = chosen.mapInArrow(run, "doc_id long, k int, feats array<array<string>>, gold array<int>, sure boolean").collect()
     rows.sort(key=lambda r: (r["doc_id"] is None, r["doc_id"] or 0, r["k"], r["feats"]))
-    samples = [(r["feats"], r["gold"]) for r in rows]
-    return train(samples) if any(any(g) for _, g in samples) else None
+    return taught([(r["feats"], r["gold"], r["sure"]) for r in rows]) if any(any(r["gold"]) for r in rows) else None
 
 
 def find(text: str, tagger: Tagger | None) -> tuple[list, list, int]:

@@ -309,11 +309,11 @@ def prose(rng, n):
 def test_secret_tagger_adds_spans(monkeypatch):
     """Held-out secrets after words that were not planted in training, among decoys."""
     rng = random.Random(8)
-    tagger = secret_crf.train([x for _ in range(150) for x in secret_crf.sample_of(prose(rng, 80))])
+    tagger = secret_crf.taught([x for _ in range(150) for x in secret_crf.sample_of(prose(rng, 80))])
     monkeypatch.setattr(secret_crf, "LEADS", ("access ", "client id: ", "", "passphrase is ", "X-Key: ", "("))
     hit = missed = false = 0
     for _ in range(100):
-        text, places = secret_crf.planted(prose(rng, 80), rng)
+        text, places, _ = secret_crf.planted(prose(rng, 80), rng)
         base, spans, _ = secret_crf.find(text, tagger)
         assert set(base) <= set(spans)
         tagged, known = [(s, e) for s, k, e in spans if k == 3], [(s, e) for s, _, e in base]
