@@ -3,8 +3,9 @@ DataFrame functions only.
 
 Candidates are found by one pattern, validated by kind (check digits, ranges, the
 calendar) and replaced in place. A validated value is permuted under the key within
-its own format: a card stays a card with a right check digit, a date a date, an
-address an address. Equal values get equal pseudonyms in every document, different
+its own format: a card stays a card with a right check digit, an account number one with
+right check digits and its country, blanks where they were, a date a date, an address
+an address under the same top domain, a phone number one of the same country. Equal values get equal pseudonyms in every document, different
 values different ones, and whoever holds the key can invert the permutation.
 
 A round adds a keyed hash of one half to the other half, modulo its size, halves in
@@ -22,18 +23,34 @@ ROUNDS = 8
 EMAIL = r"[A-Za-z0-9][A-Za-z0-9._%+-]*@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)*\.[A-Za-z]{2,}"
 PHONE = r"(\+1[ .-]?)?(\(?)([2-9]\d{2})(\)?[ .-])([2-9]\d{2})([ .-])(\d{4})"
 IPV4 = r"\d{1,3}\.\d{1,3}\.\d{1,3}\.\d{1,3}"
-IBAN = r"[A-Z]{2}\d{12,32}"
+#: Lengths of account numbers by country; other countries are taken without blanks.
+IBAN_LENGTHS = {15: "NO", 16: "BE", 18: "DK FI NL", 19: "MK SI", 20: "AT BA EE KZ LT LU XK", 21: "CH HR LI LV", 22: "BG DE GB GE IE ME RS", 23: "AE GI IL", 24: "AD CZ ES MD PK RO SA SE SK TN", 25: "PT", 26: "IS TR", 27: "FR GR IT MC SM", 28: "AL AZ CY DO GT HU LB PL", 29: "BR PS QA UA", 30: "JO KW MU", 31: "MT SC"}
+#: Country calling codes of one and of two digits; all others have three.
+CODES_1, CODES_2 = "1 7".split(), "20 27 30 31 32 33 34 36 39 40 41 43 44 45 46 47 48 49 51 52 53 54 55 56 57 58 60 61 62 63 64 65 66 81 82 84 86 90 91 92 93 94 95 98".split()
+INTL = r"\+[1-9]\d{0,3}(?:[ .-]?\(?\d{1,4}\)?){1,6}"
 DATE = r"(?:\d{4}-\d{2}-\d{2}|\d{2}[./]\d{2}[./]\d{4})"
 SSN = r"\d{3}-\d{2}-\d{4}"
 CARD = r"(?:\d{4}([ -])\d{4}\1\d{4}\1\d{4}|\d{13,19})"
-KINDS = {"email": EMAIL, "iban": IBAN, "date": DATE, "ssn": SSN, "ip": IPV4, "phone": PHONE, "card": CARD}
+
+
+def _iban_pattern() -> str:
+    """Account numbers in one run, or in groups of four."""
+    parts = []
+    for n, names in IBAN_LENGTHS.items():
+        whole, rest = divmod(n - 4, 4)
+        last = rf" [A-Z0-9]{{{rest}}}" if rest else ""
+        parts.append(rf"(?:{names.replace(' ', '|')})\d{{2}}(?:[A-Z0-9]{{{n - 4}}}|(?: [A-Z0-9]{{4}}){{{whole}}}{last})")
+    return rf"(?:{'|'.join(parts)}|[A-Z]{{2}}\d{{2}}[A-Z0-9]{{11,30}})"
+
+
+KINDS = {"email": EMAIL, "iban": _iban_pattern(), "date": DATE, "ssn": SSN, "ip": IPV4, "phone": PHONE, "intl": INTL, "card": CARD}
 
 
 def _pattern() -> str:
     """All kinds; none next to a letter or digit. The card's back-reference moves
     with the groups before it."""
-    card = CARD.replace(r"\1", r"\8")
-    return rf"(?<![\p{{L}}\p{{N}}])(?:{EMAIL}|{IBAN}|{DATE}|{SSN}|{IPV4}|{PHONE}|{card})(?![\p{{L}}\p{{N}}])"
+    kinds = {**KINDS, "card": CARD.replace(r"\1", r"\8")}
+    return rf"(?<![\p{{L}}\p{{N}}])(?:{'|'.join(kinds.values())})(?![\p{{L}}\p{{N}}])"
 
 
 def _hash(key: str, tag: str, i: Column, value: Column) -> Column:
@@ -93,11 +110,37 @@ def _card(key: str, m: Column) -> tuple[Column, Column]:
     return valid, F.when(mark != "", F.regexp_replace(grouped, F.lit("#"), mark)).otherwise(whole)
 
 
-def _phone(key: str, m: Column) -> tuple[Column, Column]:
-    d = F.substring(F.regexp_replace(m, r"\D", ""), -10, 10)
+def _national(key: str, d: Column) -> Column:
+    """Ten digits of the North American plan, permuted within it."""
     p = _counters(key, "phone", F.substring(d, 1, 3).cast("long") - 200, (F.substring(d, 4, 3).cast("long") - 200) * 10000 + F.substring(d, 7, 4).cast("long"), (800, 8_000_000))
-    parts = [(p["l"] + 200).cast("string"), (F.floor(p["r"] / 10000) + 200).cast("string"), F.lpad((p["r"] % 10000).cast("string"), 4, "0")]
-    return F.lit(True), F.regexp_replace(m, F.lit(f"^{PHONE}$"), F.concat(F.lit("$1$2"), parts[0], F.lit("$4"), parts[1], F.lit("$6"), parts[2]))
+    return F.concat((p["l"] + 200).cast("string"), (F.floor(p["r"] / 10000) + 200).cast("string"), F.lpad((p["r"] % 10000).cast("string"), 4, "0"))
+
+
+def _put_back(m: Column, new: Column, mark: str) -> Column:
+    """m with its characters that match mark replaced by those of new, in order."""
+
+    def step(s: Column, c: Column) -> Column:
+        taken = c.rlike(mark)
+        return F.struct(F.when(taken, s["n"] + 1).otherwise(s["n"]).alias("n"), F.concat(s["out"], F.when(taken, F.substring(new, s["n"] + 1, F.lit(1))).otherwise(c)).alias("out"))
+
+    return F.aggregate(F.split(m, ""), F.struct(F.lit(0).alias("n"), F.lit("").alias("out")), step)["out"]
+
+
+def _phone(key: str, m: Column) -> tuple[Column, Column]:
+    digits = F.regexp_replace(m, r"\D", "")
+    new = F.concat(F.substring(digits, F.lit(1), F.length(digits) - 10), _national(key, F.substring(digits, -10, 10)))
+    return F.lit(True), _put_back(m, new, r"\d")
+
+
+def _intl(key: str, m: Column) -> tuple[Column, Column]:
+    """A number with a plus keeps its country code; the rest is permuted digit by digit.
+    Those of the North American plan go as they do without a plus."""
+    d = F.regexp_replace(m, r"\D", "")
+    code = F.when(F.substring(d, 1, 1).isin(CODES_1), 1).when(F.substring(d, 1, 2).isin(CODES_2), 2).otherwise(3)
+    own = F.substring(d, code + 1, F.length(d))
+    new = F.when(d.rlike(r"^1[2-9]\d{2}[2-9]\d{6}$"), F.concat(F.lit("1"), _national(key, F.substring(d, -10, 10))))
+    new = new.otherwise(F.concat(F.substring(d, F.lit(1), code), _text(key, "intl", own)))
+    return F.length(d).between(8, 15), _put_back(m, new, r"\d")
 
 
 def _ip(key: str, m: Column) -> tuple[Column, Column]:
@@ -136,20 +179,31 @@ def _date(key: str, m: Column) -> tuple[Column, Column]:
     return real.isNotNull() & y.between(1900, 2099), F.when(iso, F.format_string("%04d-%02d-%02d", ny, nm, nd)).otherwise(european)
 
 
+def _mod97(text: Column) -> Column:
+    """Remainder by 97 of digits and letters, a letter as 10 to 35."""
+
+    def step(s: Column, c: Column) -> Column:
+        return F.when(c.between("0", "9"), s * 10 + c.cast("int")).otherwise(s * 100 + F.ascii(c) - 55) % 97
+
+    return F.aggregate(F.split(text, ""), F.lit(0), step)
+
+
 def _iban(key: str, m: Column) -> tuple[Column, Column]:
-    letters = F.concat(*[(F.ascii(F.substring(m, i, 1)) - 55).cast("string") for i in (1, 2)])
-    rest = lambda bban, check: F.concat(bban, letters, check).cast("decimal(38,0)") % 97
-    bban = F.substring(m, F.lit(5), F.length(m) - 4)
+    plain = F.regexp_replace(m, " ", "")
+    country, bban = F.substring(plain, 1, 2), F.substring(plain, F.lit(5), F.length(plain) - 4)
     new = _text(key, "iban", bban)
-    check = F.lpad((98 - rest(new, F.lit("00"))).cast("int").cast("string"), 2, "0")
-    return (F.length(m).between(15, 34)) & (rest(bban, F.substring(m, 3, 2)) == 1), F.concat(F.substring(m, 1, 2), check, new)
+    check = F.lpad((98 - _mod97(F.concat(new, country, F.lit("00")))).cast("string"), 2, "0")
+    return _mod97(F.concat(bban, F.substring(plain, 1, 4))) == 1, _put_back(m, F.concat(country, check, new), "[A-Z0-9]")
 
 
 def _email(key: str, m: Column) -> tuple[Column, Column]:
-    return F.lit(True), F.concat(_text(key, "email", F.substring_index(m, "@", 1)), F.lit("@"), F.substring_index(m, "@", -1))
+    """Both sides of the address, but for its last domain; a domain has one pseudonym."""
+    domain = F.substring_index(m, "@", -1)
+    host, top = F.regexp_extract(domain, r"^(.*)\.[^.]+$", 1), F.regexp_extract(domain, r"(\.[^.]+)$", 1)
+    return F.lit(True), F.concat(_text(key, "email", F.substring_index(m, "@", 1)), F.lit("@"), _text(key, "domain", host), top)
 
 
-MAKERS = {"email": _email, "iban": _iban, "date": _date, "ssn": _ssn, "ip": _ip, "phone": _phone, "card": _card}
+MAKERS = {"email": _email, "iban": _iban, "date": _date, "ssn": _ssn, "ip": _ip, "phone": _phone, "intl": _intl, "card": _card}
 
 
 def _replaced(key: str, m: Column) -> Column:
@@ -158,7 +212,7 @@ def _replaced(key: str, m: Column) -> Column:
     for name in reversed(KINDS):
         valid, new = MAKERS[name](key, m)
         fits = m.rlike(f"^(?:{KINDS[name]})$")
-        out = F.when(fits, F.when(valid, F.struct(F.lit(name).alias("kind"), new.alias("text"))).otherwise(F.struct(F.lit(None).cast("string").alias("kind"), m.alias("text")))).otherwise(out)
+        out = F.when(fits, F.when(valid, F.struct(F.lit("phone" if name == "intl" else name).alias("kind"), new.alias("text"))).otherwise(F.struct(F.lit(None).cast("string").alias("kind"), m.alias("text")))).otherwise(out)
     return out
 
 

@@ -400,6 +400,142 @@ def test_pseudonyms(spark):
     assert feistel_pii.pseudonymise(odd(spark), "k").count() == 9 and feistel_pii.pseudonymise(none(spark), "k").count() == 0
 
 
+def test_pseudonyms_of_more_forms(spark):
+    """Letters and blanks in account numbers, numbers with a plus, domains, links."""
+    rows = {0: "GB82WEST12345698765432", 1: "GB82 WEST 1234 5698 7654 32 USD", 2: "FR1420041010050500013M02606", 3: "NL91ABNA0417164300", 4: "DE89 3704 0044 0532 0130 00", 5: "GB82WEST12345698765433", 6: "+44 20 7946 0958 or +442079460958", 7: "+1 9885552485 and 988-555-2485", 8: "+49 (0)30 901820, +12 3", 9: "x.y@corp-a.example.co.uk z@corp-a.example.co.uk"}
+    got = {r["doc_id"]: r for r in feistel_pii.pseudonymise(docs(spark, list(rows.items())), "k").collect()}
+    assert [got[i]["n_found"] for i in range(10)] == [1, 1, 1, 1, 1, 0, 2, 2, 1, 2]
+    value = lambda t: int("".join(str(int(c, 36)) for c in (t[4:] + t[:4]))) % 97
+    for i in (0, 2, 3):
+        assert value(got[i]["text"]) == 1 and got[i]["text"][:2] == rows[i][:2] and got[i]["text"] != rows[i]
+    assert got[1]["text"].replace(" ", "") == got[0]["text"] + "USD" and got[1]["text"].split(" ")[0] == got[0]["text"][:4]
+    assert value(got[4]["text"].replace(" ", "")) == 1 and [len(x) for x in got[4]["text"].split()] == [4, 4, 4, 4, 4, 2]
+    a, b = got[6]["text"].split(" or ")
+    assert a.replace(" ", "") == b and a.startswith("+44 ") and a != rows[6][:16]
+    c, d = got[7]["text"].split(" and ")
+    assert c.startswith("+1 ") and c[3:] == d.replace("-", "")
+    assert got[8]["text"].startswith("+49 (") and got[8]["text"].endswith(", +12 3")
+    e, f = (x.split("@")[1] for x in got[9]["text"].split())
+    assert e == f and e.endswith(".uk") and e != "corp-a.example.co.uk" and e[4] == "-"
+
+
+def brute_pseudonyms(text, key):
+    """A second, plain version of the operator: (text, kinds)."""
+    import datetime
+    import re
+
+    h = lambda tag, i, v: hashlib.sha256(f"{key}|{tag}|{i}|{v}".encode()).hexdigest()
+
+    def counters(tag, x, y, sizes):
+        for i in range(8):
+            if i % 2 == 0:
+                x = (x + int(h(tag, i, y)[:14], 16) % sizes[0]) % sizes[0]
+            else:
+                y = (y + int(h(tag, i, x)[:14], 16) % sizes[1]) % sizes[1]
+        return x, y
+
+    def letters(tag, v):
+        x, y = v[: len(v) // 2], v[len(v) // 2 :]
+        for i in range(8):
+            a, b = (x, y) if i % 2 == 0 else (y, x)
+            d, out = h(tag, i, b), ""
+            for at, c in enumerate(a):
+                by = int(d[at * 3 % 60 : at * 3 % 60 + 4], 16)
+                base, n = (48, 10) if c in "0123456789" else (97, 26) if "a" <= c <= "z" else (65, 26) if "A" <= c <= "Z" else (0, 0)
+                out += chr(base + (ord(c) - base + by) % n) if n else c
+            x, y = (out, y) if i % 2 == 0 else (x, out)
+        return x + y
+
+    def back(m, new, mark):
+        it = iter(new)
+        return "".join(next(it) if re.match(mark, c) else c for c in m)
+
+    def luhn(d):
+        return sum(int(c) if i % 2 == 0 else int(c) * 2 - 9 * (int(c) > 4) for i, c in enumerate(reversed(d)))
+
+    def national(d):
+        x, y = counters("phone", int(d[:3]) - 200, (int(d[3:6]) - 200) * 10000 + int(d[6:]), (800, 8_000_000))
+        return f"{x + 200}{y // 10000 + 200}{y % 10000:04d}"
+
+    def one(m):
+        kinds = feistel_pii.KINDS
+        fits = lambda k: re.fullmatch(kinds[k], m, re.ASCII)
+        if fits("email"):
+            local, domain = m.split("@")
+            host, top = domain.rsplit(".", 1)
+            return "email", f"{letters('email', local)}@{letters('domain', host)}.{top}"
+        if fits("iban"):
+            p = m.replace(" ", "")
+            v = lambda t: int("".join(str(int(c, 36)) for c in t)) % 97
+            new = letters("iban", p[4:])
+            return ("iban", back(m, f"{p[:2]}{98 - v(new + p[:2] + '00'):02d}{new}", "[A-Z0-9]")) if v(p[4:] + p[:4]) == 1 else None
+        if fits("date"):
+            y, mo, d = (int(m[:4]), int(m[5:7]), int(m[8:])) if "-" in m else (int(m[6:]), int(m[3:5]), int(m[:2]))
+            try:
+                datetime.date(y, mo, d)
+            except ValueError:
+                return None
+            if not 1900 <= y <= 2099:
+                return None
+            if (mo, d) == (2, 29):
+                y = counters("leap", (y - 1904) // 4, 0, (49, 1))[0] * 4 + 1904
+            else:
+                x, day = counters("date", y - 1900, datetime.date(2001, mo, d).timetuple().tm_yday - 1, (200, 365))
+                at = datetime.date(2001, 1, 1) + datetime.timedelta(day)
+                y, mo, d = x + 1900, at.month, at.day
+            return "date", f"{y:04d}-{mo:02d}-{d:02d}" if "-" in m else f"{d:02d}{m[2]}{mo:02d}{m[2]}{y}"
+        if fits("ssn"):
+            a, g, n = map(int, m.split("-"))
+            if not (1 <= a <= 899 and a != 666 and g and n):
+                return None
+            x, y = counters("ssn", a - 1 - (a > 666), (g - 1) * 9999 + n - 1, (898, 99 * 9999))
+            return "ssn", f"{x + 1 + (x >= 665):03d}-{y // 9999 + 1:02d}-{y % 9999 + 1:04d}"
+        if fits("ip"):
+            o = m.split(".")
+            if any(int(x) > 255 or str(int(x)) != x for x in o):
+                return None
+            x, y = counters("ip", int(o[0]) * 256 + int(o[1]), int(o[2]) * 256 + int(o[3]), (1 << 16, 1 << 16))
+            return "ip", f"{x // 256}.{x % 256}.{y // 256}.{y % 256}"
+        d = re.sub(r"[^0-9]", "", m)
+        if fits("phone"):
+            return "phone", back(m, d[:-10] + national(d[-10:]), "[0-9]")
+        if fits("intl"):
+            if not 8 <= len(d) <= 15:
+                return None
+            if re.fullmatch(r"1[2-9]\d{2}[2-9]\d{6}", d):
+                return "phone", back(m, "1" + national(d[1:]), "[0-9]")
+            n = 1 if d[0] in feistel_pii.CODES_1 else 2 if d[:2] in feistel_pii.CODES_2 else 3
+            return "phone", back(m, d[:n] + letters("intl", d[n:]), "[0-9]")
+        if luhn(d) % 10 or not d.strip("0"):
+            return None
+        new = letters("card", d[:-1])
+        return "card", back(m, new + str(-luhn(new + "0") % 10), "[0-9]")
+
+    import regex
+
+    found, kinds = [], []
+
+    def swap(m):
+        got = one(m[0])
+        kinds.extend([got[0]] if got else [])
+        return got[1] if got else m[0]
+
+    text = regex.sub(feistel_pii._pattern().replace(r"\d", "[0-9]"), swap, text) if text is not None else None
+    return text, kinds
+
+
+def test_pseudonyms_against_brute_force(spark):
+    d = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    more = docs(spark, [(100_000 + i, t) for i, t in enumerate(["GB82 WEST 1234 5698 7654 32 on 29.02.2004, 31/12/1999", "+44 20 7946 0958, +15551234567, (987) 555-1234", "card 4111-1111-1111-1111 ip 8.8.8.8 ssn 078-05-1120", None, "", "A.b+c@x.y-z.org 1@2.co"])])
+    d = d.select("doc_id", "text").union(more.select("doc_id", "text"))
+    n = 0
+    for r in feistel_pii.pseudonymise(d.withColumn("was", F.col("text")).withColumn("kinds", F.lit(1)).withColumn("n_found", F.lit(2)), "k").collect():
+        text, kinds = brute_pseudonyms(r["was"], "k")
+        assert (r["text"], list(r["kinds"]), r["n_found"]) == (text, kinds, len(kinds))
+        n += len(kinds)
+    assert n > 30
+
+
 def test_pseudonyms_are_permutations(spark):
     n = spark.range(2000).select(F.format_string("10.0.%d.%d", F.floor(F.col("id") / 250).cast("int"), (F.col("id") % 250).cast("int")).alias("text"))
     got = [r["text"] for r in feistel_pii.pseudonymise(n, "k").collect()]
