@@ -20,12 +20,14 @@ from chronotier.llm.common import broadcast_if_small, stage_table
 MAX_LINES = 500_000
 #: log2 of a sketch's registers; the relative error is 1.04 / sqrt(registers).
 LOG_REGISTERS = 12
+#: What does not count at either end of a line.
+BLANKS = " \t\r"
 
 
 def _occurrences(docs: DataFrame) -> DataFrame:
     """(doc_id, row, source, pos, h, g) of each line with more than blanks in it."""
     lines = docs.select("doc_id", F.xxhash64("text").alias("row"), "source", F.posexplode(F.split("text", "\n")).alias("pos", "line"))
-    lines = lines.withColumn("line", F.trim("line")).where("line <> ''")
+    lines = lines.withColumn("line", F.trim("line", F.lit(BLANKS))).where("line <> ''")
     return lines.select("doc_id", "row", "source", "pos", F.xxhash64("line").alias("h"), F.hash("line").alias("g"))
 
 
@@ -47,17 +49,20 @@ def boilerplate(docs: DataFrame, min_sites: int = 10) -> DataFrame:
 
 def drop_boilerplate(docs: DataFrame, min_sites: int = 10) -> DataFrame:
     """docs with the lines that go taken out of text, and two more columns, n_lines
-    and n_removed (BIGINT; 0 for a null text, which stays null).
+    and n_removed (BIGINT; 0 for a null text, which stays null), which replace columns
+    of those names.
 
-    Lines are compared without blanks at either end; blank lines always stay. Rows
+    Lines are compared without blanks, tabs and CR at either end; blank lines always stay. Rows
     that share an id are told apart by their texts; equal rows keep equal lines. A
     text that loses all its lines becomes empty. No row is dropped."""
+    docs = docs.drop("n_lines", "n_removed")
     marks = broadcast_if_small(boilerplate(docs, min_sites), MAX_LINES)
     gone = _occurrences(docs).join(marks, ["h", "g"]).where(~F.struct("doc_id", "pos").eqNullSafe(F.col("first")))
     gone = gone.groupBy(F.col("doc_id").alias("__doc"), F.col("row").alias("__row")).agg(F.collect_set("pos").alias("__gone"))
     met = docs.join(gone, docs["doc_id"].eqNullSafe(F.col("__doc")) & (F.xxhash64(docs["text"]) == F.col("__row")), "left")
     lines = F.split(docs["text"], "\n")
-    stay: Column = F.array_join(F.filter(lines, lambda x, i: ~F.array_contains(F.col("__gone"), i)), "\n")
+    places = F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), F.col("__gone"))  # by hashing, in order
+    stay: Column = F.array_join(F.transform(places, lambda i: F.get(lines, i)), "\n")
     text = F.when(F.col("__gone").isNull(), docs["text"]).otherwise(stay)
     counts = [F.coalesce(F.size(x), F.lit(0)).cast("long") for x in (F.when(docs["text"].isNotNull(), lines), F.col("__gone"))]
     counts = [F.greatest(x, F.lit(0).cast("long")) for x in counts]
@@ -67,10 +72,10 @@ def drop_boilerplate(docs: DataFrame, min_sites: int = 10) -> DataFrame:
 
 ORACLE = r"""
 WITH d AS (SELECT doc_id, source, string_split(text, chr(10)) AS ls FROM documents),
-l AS (SELECT doc_id, source, unnest(ls) AS line, generate_subscripts(ls, 1) AS pos FROM d),
-g AS (SELECT trim(line) AS k FROM l WHERE trim(line) <> '' GROUP BY trim(line) HAVING count(DISTINCT source) >= 10),
-m AS (SELECT l.doc_id, l.pos, l.line, g.k IS NOT NULL AND row_number() OVER (PARTITION BY trim(l.line) ORDER BY l.doc_id, l.pos) > 1 AS gone
-    FROM l LEFT JOIN g ON trim(l.line) = g.k),
+l AS (SELECT *, trim(line, chr(32) || chr(9) || chr(13)) AS bare FROM (SELECT doc_id, source, unnest(ls) AS line, generate_subscripts(ls, 1) AS pos FROM d)),
+g AS (SELECT bare AS k FROM l WHERE bare <> '' GROUP BY bare HAVING count(DISTINCT source) >= 10),
+m AS (SELECT l.doc_id, l.pos, l.line, g.k IS NOT NULL AND row_number() OVER (PARTITION BY bare ORDER BY l.doc_id, l.pos) > 1 AS gone
+    FROM l LEFT JOIN g ON bare = g.k),
 o AS (SELECT doc_id, count(*) AS n_lines, count(*) FILTER (WHERE gone) AS n_removed,
     coalesce(string_agg(line, chr(10) ORDER BY pos) FILTER (WHERE NOT gone), '') AS text FROM m GROUP BY doc_id)
 SELECT d.doc_id, coalesce(o.n_lines, 0) AS n_lines, coalesce(o.n_removed, 0) AS n_removed, o.text

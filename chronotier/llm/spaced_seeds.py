@@ -11,10 +11,11 @@ An item of fewer than WINDOW tokens is overlapped as a whole, with substitutions
 proportion to its length. It is cut into one block more than it may have
 substitutions, so one block at least is whole, and the blocks are its seeds.
 
-The benchmark side is broadcast up to MAX_SEEDS rows and shuffled beyond. A text
-is cut into pieces of PIECE tokens with enough overlap, so a very long text is many
-small rows; hits are verified in the same stage, and only the distinct verified
-pairs are shuffled.
+A text is cut into pieces of PIECE tokens with enough overlap, so a very long text is
+many small rows. The benchmark side is broadcast up to MAX_SEEDS rows; then hits are
+verified in the same stage, and only the distinct verified pairs are shuffled. Beyond,
+seeds are shuffled with the place they stand at and nothing else, and the pieces meet
+their hits afterwards.
 """
 
 from __future__ import annotations
@@ -52,10 +53,10 @@ def _block_seed(width: int, tokens: list[Column]) -> Column:
 
 
 def _item_blocks(item: DataFrame, lengths: list[int]) -> DataFrame:
-    """(row, at, seed) for each block of the items of fewer than WINDOW tokens."""
+    """(item, at, seed) for each block of the items of fewer than WINDOW tokens."""
     seeds = [(n, at) for n in lengths for at in range(0, (_allowed(n) + 1) * _block(n), _block(n))]
     found = [F.when(F.size("ih") == n, F.struct(F.lit(at).alias("at"), _block_seed(_block(n), [F.get("ih", F.lit(at + i)) for i in range(_block(n))]).alias("seed"))) for n, at in seeds]
-    return item.select("row", F.explode(F.array(*found)).alias("s")).where("s is not null").select("row", "s.at", "s.seed")
+    return item.select("item", F.explode(F.array(*found)).alias("s")).where("s is not null").select("item", "s.at", "s.seed")
 
 
 def _seeds(df: DataFrame, keep: list[str], hashes: str, widths: list[int] = ()) -> DataFrame:
@@ -72,47 +73,60 @@ def _seeds(df: DataFrame, keep: list[str], hashes: str, widths: list[int] = ())
     return rows.select(*keep, "at", F.explode(F.array(*seed)).alias("seed"))
 
 
-def overlaps(docs: DataFrame, bench: DataFrame) -> DataFrame:
-    """(doc_id, item_id, matched) of the pairs that overlap; matched is the most
-    equal tokens among the WINDOW aligned ones, or among all of a shorter item.
-
-    Items and texts without tokens, nulls included, overlap with nothing. Rows that share an id count as one document with several texts, and
-    repeated items are found each. An empty table gives an empty result."""
+def _overlapping(docs: DataFrame, bench: DataFrame) -> DataFrame:
+    """(doc_id, row, item_id, matched), docs told apart by id and the text's hash."""
     item = bench.select("item_id", F.transform(tokens(F.col("text")), lambda x: F.xxhash64(x)).alias("ih"))
-    item = stage_table(item.where(F.size("ih") > 0).withColumn("row", F.monotonically_increasing_id()), "items")
+    item = stage_table(item.where(F.size("ih") > 0).withColumn("item", F.monotonically_increasing_id()), "items")
     lengths = sorted(r["n"] for r in item.select(F.size("ih").alias("n")).where(F.col("n") < WINDOW).distinct().collect())
     widths = sorted({_block(n) for n in lengths})
-    seeds = _seeds(item.where(F.size("ih") >= WINDOW), ["row"], "ih")
+    seeds = _seeds(item.where(F.size("ih") >= WINDOW), ["item"], "ih")
     seeds = seeds.union(_item_blocks(item, lengths)) if lengths else seeds
     seeds = stage_table(seeds.withColumnRenamed("at", "iat").distinct(), "seeds")
-    few = seeds.limit(MAX_SEEDS + 1).count() <= MAX_SEEDS
-    hint = F.broadcast if few else (lambda x: x)
 
     side = WINDOW - 1  # tokens of context that verification may need at either end
-    part = docs.select("doc_id", F.transform(tokens(F.col("text")), lambda x: F.xxhash64(x)).alias("h")).where(F.size("h") >= min([*lengths, WINDOW]))
-    part = part.select("doc_id", "h", F.explode(F.sequence(F.lit(0), F.size("h") - 1, F.lit(PIECE))).alias("from"))
+    part = docs.select("doc_id", F.xxhash64("text").alias("row"), F.transform(tokens(F.col("text")), lambda x: F.xxhash64(x)).alias("h")).where(F.size("h") >= min([*lengths, WINDOW]))
+    part = part.select("doc_id", "row", "h", F.explode(F.sequence(F.lit(0), F.size("h") - 1, F.lit(PIECE))).alias("from"))
     lead = F.least(F.col("from"), F.lit(side))
-    part = part.select("doc_id", F.slice("h", F.col("from") - lead + 1, F.lit(PIECE + 2 * side) + lead).alias("h"))
-    hit = _seeds(part, ["doc_id", "h"], "h", widths).join(hint(seeds), "seed").join(hint(item), "row")
+    part = part.select("doc_id", "row", "from", F.slice("h", F.col("from") - lead + 1, F.lit(PIECE + 2 * side) + lead).alias("h"))
+    if seeds.limit(MAX_SEEDS + 1).count() <= MAX_SEEDS:
+        hit = _seeds(part, ["doc_id", "row", "h"], "h", widths).join(F.broadcast(seeds), "seed").join(F.broadcast(item), "item")
+    else:
+        found = _seeds(part, ["doc_id", "row", "from"], "h", widths).join(seeds, "seed")
+        found = found.select(F.col("doc_id").alias("of"), F.col("row").alias("of_row"), F.col("from").alias("of_from"), "at", "item", "iat").distinct()
+        here = F.col("doc_id").eqNullSafe(F.col("of")) & (F.col("row") == F.col("of_row")) & (F.col("from") == F.col("of_from"))
+        hit = part.join(stage_table(found, "hits"), here).join(item, "item")
     # Both sides around the hit, from the same distance before it to the same after.
     back = F.least("at", "iat", F.lit(side))
     long = F.least(F.size("h") - F.col("at"), F.size("ih") - F.col("iat"), F.lit(WINDOW)) + back
     need = F.least(F.size("ih"), F.lit(WINDOW))
-    hit = hit.select("doc_id", "item_id", need.alias("need"), F.slice("h", F.col("at") - back + 1, long).alias("x"), F.slice("ih", F.col("iat") - back + 1, long).alias("y")).where(F.size("x") >= F.col("need"))
+    pair = ["doc_id", "row", "item_id", "need"]
+    hit = hit.select("doc_id", "row", "item_id", need.alias("need"), F.slice("h", F.col("at") - back + 1, long).alias("x"), F.slice("ih", F.col("iat") - back + 1, long).alias("y")).where(F.size("x") >= F.col("need"))
     # Equal diagonals give equal pairs of slices again and again; count each once.
     same = F.zip_with("x", "y", lambda a, b: (a == b).cast("int"))
-    hit = hit.select("doc_id", "item_id", "need", same.alias("same"))
+    hit = hit.select(*pair, same.alias("same"))
     sums = F.transform(F.sequence(F.lit(1), F.size("same") - F.col("need") + 1), lambda k: F.aggregate(F.slice("same", k, F.col("need")), F.lit(0), lambda a, b: a + b))
     allowed = F.floor(F.col("need") * SUBSTITUTIONS / WINDOW)
-    hit = hit.select("doc_id", "item_id", "need", F.array_max(sums).alias("matched")).where(F.col("matched") >= F.col("need") - allowed)
-    return hit.groupBy("doc_id", "item_id").agg(F.max("matched").alias("matched"))
+    hit = hit.select(*pair, F.array_max(sums).alias("matched")).where(F.col("matched") >= F.col("need") - allowed)
+    return hit.groupBy("doc_id", "row", "item_id").agg(F.max("matched").alias("matched"))
+
+
+def overlaps(docs: DataFrame, bench: DataFrame) -> DataFrame:
+    """(doc_id, item_id, matched) of the pairs that overlap; matched is the most
+    equal tokens among the WINDOW aligned ones, or among all of a shorter item.
+
+    Items and texts without tokens, nulls included, overlap with nothing. Rows that
+    share an id count as one document with several texts, and so do those without an
+    id; repeated items are found each. An empty table gives an empty result, and other
+    columns are not read."""
+    return _overlapping(docs, bench).groupBy("doc_id", "item_id").agg(F.max("matched").alias("matched"))
 
 
 def drop_contaminated(docs: DataFrame, bench: DataFrame) -> DataFrame:
-    """docs without the documents that overlap with an item. Rows with a null id
-    stay, since nothing can be told of them by id."""
-    found = stage_table(overlaps(docs, bench).select("doc_id").distinct(), "leaks")
-    return docs.join(broadcast_if_small(found, MAX_SEEDS), "doc_id", "left_anti").select(*docs.columns)
+    """docs without the rows whose text overlaps with an item, whether they have an id
+    or share it with others."""
+    found = stage_table(_overlapping(docs, bench).select(F.col("doc_id").alias("of"), F.col("row").alias("of_row")).distinct(), "leaks")
+    same = docs["doc_id"].eqNullSafe(F.col("of")) & (F.xxhash64(docs["text"]) == F.col("of_row"))
+    return docs.join(broadcast_if_small(found, MAX_SEEDS), same, "left_anti").select(*docs.columns)
 
 
 ORACLE = r"""

@@ -220,6 +220,32 @@ def test_lines(spark):
     assert line_spread.drop_boilerplate(odd(spark)).count() == 9
 
 
+def test_lines_with_many_removals(spark):
+    """A text that loses every other line; tabs and CR at ends; clashing columns."""
+    long = "\n".join(x for i in range(3000) for x in (f"\tshared {i % 50} \r", f"own {i}"))
+    texts = [(i, "\n".join(f"shared {k}" for k in range(50))) for i in range(12)] + [(50, long)]
+    d = docs(spark, texts, {i: f"site{i}" for i in range(12)}).withColumn("n_lines", F.lit("x")).withColumn("n_removed", F.lit("y"))
+    got = {r["doc_id"]: r for r in line_spread.drop_boilerplate(d).collect()}
+    assert got[50]["text"] == "\n".join(f"own {i}" for i in range(3000)) and got[50]["n_removed"] == 3000 and got[50]["n_lines"] == 6000
+    assert got[0]["n_removed"] == 0 and got[5]["text"] == "" and got[5]["n_removed"] == 50
+
+
+@pytest.mark.parametrize("most", [spaced_seeds.MAX_SEEDS, 3])
+def test_seeds_by_broadcast_or_shuffle(spark, monkeypatch, most):
+    """The same either way; rows without an id or of one id are judged by their texts."""
+    monkeypatch.setattr(spaced_seeds, "MAX_SEEDS", most)
+    rng = random.Random(14)
+    item = [f"w{rng.randrange(900)}" for _ in range(40)]
+    leak = " ".join([*(f"x{i}" for i in range(3000)), *item[3:30], "tail"])
+    texts = [(1, leak), (2, "clean text of some words"), (3, " ".join(item)), (99, leak + " more"), (99, "no id but clean"), (4, "clean half of a shared id"), (4, "b " + leak), (5, None), (6, "")]
+    bench = spark.createDataFrame([(1, " ".join(item)), (2, "one two three four five six"), (3, None)], "item_id long, text string")
+    d = docs(spark, [*texts, (7, "zero one two three four five six")])
+    assert {(r["doc_id"], r["item_id"]) for r in spaced_seeds.overlaps(d, bench).collect()} == {(1, 1), (3, 1), (4, 1), (None, 1), (7, 2)}
+    kept = spaced_seeds.drop_contaminated(d, bench)
+    assert kept.columns == d.columns
+    assert sorted((r["doc_id"] or 0, r["text"] or "") for r in kept.collect()) == [(0, "no id but clean"), (2, "clean text of some words"), (4, "clean half of a shared id"), (5, ""), (6, "")]
+
+
 def test_seeds_tolerate_substitutions(spark):
     rng = random.Random(6)
     words = [f"w{i}" for i in range(400)]
