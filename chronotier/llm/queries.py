@@ -87,4 +87,5 @@ SQL: dict[str, str] = {
     "op2_line_spread": line_spread.ORACLE,
     "op3_spaced_seeds": spaced_seeds.ORACLE,
     "op4_mixing": mixing.ORACLE,
+    "op6_license_scan": license_scan.oracle("concat_ws('/', source, doc_id // 4096, doc_id // 256, CASE WHEN doc_id % 16 = 0 THEN 'LICENSE' ELSE 'f' || doc_id || '.txt' END)"),
 }

@@ -637,3 +637,16 @@ def test_licence_files_by_line(spark):
     path = F.element_at(F.create_map(*[F.lit(x) for p in paths.items() for x in p]), F.col("doc_id").cast("int"))
     got = {r["doc_id"]: (r["own"], r["license"], r["from_folder"]) for r in license_scan.scan(docs(spark, texts), path).collect()}
     assert got == {1: ("MIT", "MIT", None), 2: (None, "MIT", "a"), 3: ("BSD-3-Clause", "BSD-3-Clause", None), 4: (None, "BSD-3-Clause", "c"), 5: (None, None, None)}
+
+
+def test_licence_texts(spark):
+    """Whole texts with another holder, a header above code, a wrong path, odd rows."""
+    mit, bsd = (license_scan.TEMPLATES[k][-1] for k in ("MIT", "BSD-3-Clause"))
+    code = "\n".join(f"x{i} = call{i}(y{i})" for i in range(200))
+    notice = "\n".join(f"// {x}" for x in license_scan.TEMPLATES["Apache-2.0"][1].split("\n"))
+    texts = [(1, f"MIT License\n\nCopyright (c) 2020 Somebody Else\n\n{mit}"), (2, f"{notice}\n\n{code}"), (3, code), (4, f"Copyright (c) Jane\n{bsd}"), (5, code), (99, "All rights reserved."), (6, None)]
+    paths = {1: "a/LICENSE.txt", 2: "a/x.java", 3: "a/b/y.py", 4: "a/b/c/COPYING", 5: "a/b/c/d/z.py", 6: "other/q.py"}
+    path = F.element_at(F.create_map(*[F.lit(x) for p in paths.items() for x in p]), F.col("doc_id").cast("int"))
+    d = docs(spark, texts).withColumn("license", F.lit("clash")).withColumn("path", F.lit(1))
+    got = {r["doc_id"]: (r["own"], r["license"], r["from_folder"]) for r in license_scan.scan(d, path).collect()}
+    assert got == {1: ("MIT", "MIT", None), 2: ("Apache-2.0", "Apache-2.0", None), 3: (None, "MIT", "a"), 4: ("BSD-3-Clause", "BSD-3-Clause", None), 5: (None, "BSD-3-Clause", "a/b/c"), 6: (None, None, None), None: ("Proprietary", "Proprietary", None)}
