@@ -313,6 +313,43 @@ def test_toxicity_learns_stems():
     assert set(model.thresholds) <= {"en"}
 
 
+def toxic_docs(rng, n=400):
+    words = ["".join(rng.choice("aeiourst") for _ in range(5)) for _ in range(300)]
+    text = lambda bad: " ".join([rng.choice(words) for _ in range(40)] + ([f"grokk{rng.choice(words)}"] if bad else []) + [rng.choice(words) for _ in range(40)])
+    return [(i, text(i % 3 == 0)) for i in range(1000, 1000 + n)]
+
+
+def test_toxicity_by_spark(spark):
+    """Fit, score and reject with a model; odd rows, labels without documents or classes."""
+    rng = random.Random(15)
+    rows = toxic_docs(rng)
+    long = " ".join(rows[1][1] for _ in range(200)) + " grokkaeiou " + " ".join(rows[2][1] for _ in range(200))
+    more = [(1, None), (2, ""), (3, " "), (99, rows[0][1]), (4, long), (5, rows[4][1]), (5, rows[4][1])]
+    d = docs(spark, rows + more)
+    labels = spark.createDataFrame([(i, 1, int(i % 3 == 0)) for i, _ in rows] + [(1, 0, 1), (2, 0, 0), (77, 1, 1), (None, 1, 1), (1000, 1, None)], "doc_id long, quality int, toxic int")
+    model = toxicity_cnn.fit(d, labels)
+    got = {r["doc_id"]: r["score"] for r in toxicity_cnn.score(d, model).collect()}
+    assert toxicity_cnn.score(d, model).columns == [*[c for c in d.columns if c != "score"], "score"]
+    assert all(0 <= s <= 1 for s in got.values()) and max(got[1], got[2], got[3]) < 0.5 <= got[4]
+    held = [i for i, _ in rows if __import__("zlib").crc32(str(i).encode()) % 5 == 0]
+    assert len(held) > 40 and sum((got[i] >= 0.5) == (i % 3 == 0) for i in held) >= 0.95 * len(held)
+    kept = toxicity_cnn.reject(d, labels)
+    assert kept.columns == d.columns and {r["doc_id"] for r in kept.collect()} >= {1, 2, 3, 5} - ({5} if got[5] >= 0.5 else set())
+    assert toxicity_cnn.reject(none(spark), labels).count() == 0
+    assert toxicity_cnn.fit(d, labels.where("toxic = 0")) is None
+
+
+def test_toxicity_does_not_depend_on_runs(monkeypatch):
+    rng = random.Random(16)
+    rows = toxic_docs(rng, 240)
+    model = toxicity_cnn.train([t for _, t in rows], [int(i % 3 == 0) for i, _ in rows], ["en"] * 240)
+    text = " ".join(t for _, t in rows[:30])
+    want = model.score(text)
+    for size in (1 << 9, 700, 1 << 12):
+        monkeypatch.setattr(toxicity_cnn, "RUN", size)
+        assert len(list(toxicity_cnn.runs(text))) > 2 and abs(model.score(text) - want) < 1e-6
+
+
 def test_toxicity_odd_rows(spark):
     labels = spark.createDataFrame([], "doc_id long, quality int, toxic int")
     out = toxicity_cnn.score(odd(spark), toxicity_cnn.fit(odd(spark), labels))
