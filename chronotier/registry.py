@@ -760,27 +760,61 @@ def stream_ledger(spark, sf):
     return spark.read.schema(stream.LEDGER_CHANGES).parquet(f"{at}/out").drop("effective_at")
 
 
-@query()
+_DRILLS = ("before_log", "log_put", "after_log", "amid_live", "pointer_put", "before_mark", "mark_put", "live_fails")
+
+
+@query("SELECT unnest([%s]) AS point, CAST(0 AS BIGINT) AS lost, CAST(0 AS BIGINT) AS strays, CAST(0 AS BIGINT) AS seen_early, CAST(0 AS BIGINT) AS still_open" % ", ".join(f"'{p}'" for p in _DRILLS))
 def commit_faults(spark, sf):
-    """The protocol broken at each of its points, then reconciled and delivered again:
-    (point, lost, strays) with the rows that the history lacks and tiers disagree on."""
+    """The protocol broken at each of its points, at a revision of its own, then
+    reconciled and delivered again: rows that the history lacks, rows that the tiers
+    disagree on, rows of the broken commit that readers saw before, commits left open."""
     from chronotier.operators.commit import POINTS, Fault, Store
 
-    events, rows = _history(spark, sf), []
+    assert (*POINTS, "live_fails") == _DRILLS
+    events, rows = _history(spark, sf).drop("month"), []
     key = ["doc_id", "ordinal", "revision"]
-    for point in POINTS:
-        store = Store(spark, scratch.folder(spark, "store"))
-        for revision in (1, 2):
-            batch = events.where(F.col("revision") == revision)
-            store.fault = point if revision == 2 else None
-            try:
-                store.publish(batch, f"r{revision}")
-            except Fault:
-                store.reconcile("forward")
-                store.publish(batch, f"r{revision}")
+    new = lambda: Store(spark, scratch.folder(spark, "store"), buckets=4)
+    for n, point in enumerate(_DRILLS):
+        revision = n % 5 + 1  # five revisions, then again in a store of its own
+        store = new() if revision == 1 else store
+        batch, early = events.where(F.col("revision") == revision), 0
+        store.fault, store.failing = (None, OSError("no space")) if point == "live_fails" else (point, None)
+        try:
+            store.publish(batch, f"r{revision}")
+        except (Fault, OSError):
+            early = store.history().where(F.col("revision") == revision).count()
+            store.reconcile("forward")
+            store.publish(batch, f"r{revision}")
         kept = store.history()
-        rows.append((point, events.where("revision <= 2").join(kept.select(*key), key, "left_anti").count(), live.strays(store.live(), kept).count()))
-    return spark.createDataFrame(rows, "point string, lost long, strays long")
+        lost = events.where(F.col("revision") <= revision).join(kept.select(*key), key, "left_anti").count()
+        rows.append((point, lost, live.strays(store.live(), kept).count(), early, sum(c.phase in ("PENDING", "UNCOMMITTED") for c in store.commits())))
+    return spark.createDataFrame(rows, "point string, lost long, strays long, seen_early long, still_open long")
+
+
+@query("SELECT CAST(5 AS BIGINT) AS commits, CAST(0 AS BIGINT) AS never_visible, CAST(0 AS BIGINT) AS before_the_log")
+def staleness(spark, sf):
+    """Five commits of the revisions' events, a tenth of the documents: is what was logged
+    visible, and never sooner? The seconds are in staleness_seconds."""
+    found = tiers.kept(spark, sf, "staleness", lambda: _staleness(spark, sf))
+    return found.agg(F.count("*").alias("commits"), F.count_if(F.col("seconds").isNull()).alias("never_visible"), F.count_if("seconds < 0").alias("before_the_log"))
+
+
+def _staleness(spark, sf):
+    from chronotier.operators.commit import Store
+
+    store = Store(spark, scratch.folder(spark, "store"), buckets=8)
+    events = _history(spark, sf).where("doc_id % 10 = 1").drop("month")
+    for revision in INSTANTS:
+        store.publish(events.where(F.col("revision") == revision), f"r{revision}")
+    rows = [(c.seq, c.phase, c.logged_at, c.visible_at) for c in store.commits()]
+    return spark.createDataFrame(rows, "seq long, phase string, logged_at double, visible_at double").withColumn("seconds", F.col("visible_at") - F.col("logged_at"))
+
+
+@query()
+def staleness_seconds(spark, sf):
+    """Longest and mean seconds between the log and the live tier, over those commits."""
+    found = tiers.kept(spark, sf, "staleness", lambda: _staleness(spark, sf))
+    return metrics.staleness(found)
 
 
 @query()

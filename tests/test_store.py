@@ -31,11 +31,41 @@ def test_no_update_is_lost(spark, tmp_path, point):
     store.reconcile("forward")
     store.publish(two, "b2")
     assert state(store) == ([(1, 0, "c")], [(0, 1), (0, 2), (1, 1), (1, 2)])
+    assert not store._names("tmp")
     assert all(c.phase == "COMMITTED" for c in store.commits())
     store.publish(two, "b2")
     assert len(store.commits()) == 2
 
 
+@pytest.mark.parametrize("mode", ["forward", "back"])
+def test_failing_live_tier_is_flagged(spark, tmp_path, mode):
+    one, two = batches(spark)
+    store = Store(spark, f"file://{tmp_path}/s")
+    store.publish(one, "b1")
+    before, store.failing = state(store), OSError("no space")
+    with pytest.raises(OSError):
+        store.publish(two, "b2")
+    assert [(c.phase, c.error) for c in store.commits()] == [("COMMITTED", None), ("UNCOMMITTED", "no space")]
+    assert state(store) == before and store.history(committed_only=False).count() == 4
+    assert store.reconcile(mode) == 1
+    store.publish(two, "b2")
+    assert state(store)[0] == [(1, 0, "c")] and store.commits()[-1].phase == "COMMITTED"
+
+
+def test_untouched_buckets_are_not_written(spark, tmp_path):
+    rows = [(d, 0, f"k{d}", 100, 1, "added", None, "x") for d in range(200)]
+    store = Store(spark, f"file://{tmp_path}/s", buckets=16)
+    store.publish(spark.createDataFrame(rows, EVENTS), "b1")
+    before = store._pointer()["folders"]
+    store.publish(spark.createDataFrame([(7, 0, "new", 200, 2, "edited", "k7", "y")], EVENTS), "b2")
+    after = store._pointer()["folders"]
+    assert len(before) == 16 and sum(before[b] != after[b] for b in after) == 1
+    assert store.live().count() == 200 and store.live().where("doc_id = 7").first()["content_key"] == "new"
+    gone = [(d, 0, None, 300, 3, "dropped", f"k{d}", None) for d in range(200) if d != 7]
+    store.publish(spark.createDataFrame(gone, EVENTS), "b3")
+    assert [r["doc_id"] for r in store.live().collect()] == [7]
+
+
 def test_roll_back_then_retry(spark, tmp_path):
     one, two = batches(spark)
     store = Store(spark, f"file://{tmp_path}/s", fault="after_log")
