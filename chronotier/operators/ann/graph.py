@@ -90,7 +90,8 @@ class LayeredGraph:
             self.entry, self.top = i, level
 
     def search(self, v, k: int, ef: int, allow=None) -> list[tuple[int, float]]:
-        """(id, cosine) of the k nearest among those not masked and allowed."""
+        """(id, cosine) of the k nearest among those not masked and allowed; `visited`
+        holds the number of vectors looked at."""
         import numpy as np
 
         self.visited, v = 0, np.asarray(v, np.float64)
@@ -98,5 +99,9 @@ class LayeredGraph:
         at = [self.entry]
         for lev in range(self.top, 0, -1):
             at = [self._near(v, at, 1, lev)[0][1]]
-        found = [(d, self.ids[j]) for d, j in self._near(v, at, max(ef, k), 0) if j not in self.masked and (allow is None or allow(self.ids[j]))]
-        return [(i, round(1 - d, 6)) for d, i in sorted(found)[:k]]
+        wide = max(ef, k)
+        while True:
+            found = [(d, self.ids[j]) for d, j in self._near(v, at, wide, 0) if j not in self.masked and (allow is None or allow(self.ids[j]))]
+            if len(found) >= k or wide >= len(self.x):
+                return [(i, round(1 - d, 6)) for d, i in sorted(found)[:k]]
+            wide *= 4

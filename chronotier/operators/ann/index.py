@@ -1,7 +1,8 @@
 """Vector search over (vec_id, embedding): exact, by cells, by planes, by graph.
 
-Queries (qid, embedding) are broadcast after their number is checked. Every method
-returns (qid, rank, vec_id, score); ties go to the smaller vec_id.
+Queries (qid, embedding) are few against the vectors, and travel in broadcast blocks of
+MAX_QUERIES or by a join. Every method returns (qid, rank, vec_id, score); ties go to the
+smaller vec_id.
 """
 
 from __future__ import annotations
@@ -16,6 +17,8 @@ from chronotier.functions.score import cosine
 from chronotier.operators.ann.graph import LayeredGraph
 
 MAX_QUERIES = 100_000
+#: Vectors of a graph; their number sets the number of graphs.
+PER_GRAPH = 4000
 
 
 def _rank(scored: DataFrame, k: int) -> DataFrame:
@@ -23,12 +26,6 @@ def _rank(scored: DataFrame, k: int) -> DataFrame:
     return scored.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("qid", "rank", "vec_id", "score")
 
 
-def _queries(queries: DataFrame) -> DataFrame:
-    if queries.limit(MAX_QUERIES + 1).count() > MAX_QUERIES:
-        raise ValueError("too many queries for one batch")
-    return F.broadcast(queries.select("qid", F.col("embedding").alias("q")))
-
-
 def _query_blocks(queries: DataFrame) -> list:
     """All queries as broadcast lists of (qid, embedding), MAX_QUERIES in each at most."""
     from itertools import batched
@@ -38,8 +35,9 @@ def _query_blocks(queries: DataFrame) -> list:
 
 
 def exact(queries: DataFrame, vectors: DataFrame, k: int = 10) -> DataFrame:
-    """A stated query set against all rows: the oracle."""
-    met = vectors.crossJoin(_queries(queries))
+    """A stated query set against all rows, in built-in functions: the oracle of small
+    tests; exact_blocks gives the same in one pass of matrix products."""
+    met = vectors.crossJoin(F.broadcast(queries.select("qid", F.col("embedding").alias("q"))))
     return _rank(met.select("qid", "vec_id", F.round(cosine(F.col("q"), F.col("embedding")), 6).alias("score")), k)
 
 
@@ -67,14 +65,16 @@ def exact_blocks(queries: DataFrame, vectors: DataFrame, k: int = 10) -> DataFra
 
 
 class Cells:
-    """k-means cells; a query probes the nearest ones only."""
+    """k-means cells, about as many as the root of the number of vectors unless said
+    otherwise; a query probes the nearest ones only."""
 
-    def __init__(self, vectors: DataFrame, n_cells: int = 32, seed: int = 1, sample: int = 20_000):
+    def __init__(self, vectors: DataFrame, n_cells: int | None = None, seed: int = 1, sample: int = 20_000):
         from pyspark.ml.clustering import KMeans
         from pyspark.ml.functions import array_to_vector
 
         # The centres come from a bounded sample; every vector gets a cell.
         n = vectors.count()
+        n_cells = n_cells or max(8, min(4096, round(n**0.5)))
         seen = vectors.where(F.pmod(F.xxhash64("vec_id"), F.lit(1 << 20)) < (1 << 20) * min(1.0, sample / max(1, n)))
         model = KMeans(k=n_cells, seed=seed, maxIter=10, featuresCol="f").fit(seen.select(array_to_vector("embedding").alias("f")))
         self.centres = [c.tolist() for c in model.clusterCenters()]
@@ -131,29 +131,45 @@ class Planes:
 
     def search(self, queries: DataFrame, k: int = 10) -> DataFrame:
         pairs = self.coded.join(F.broadcast(self._codes(queries, "qid")), ["tab", "code"]).select("qid", "vec_id").distinct()
-        met = pairs.join(self.vectors, "vec_id").join(_queries(queries), "qid")
+        met = pairs.join(self.vectors, "vec_id").join(F.broadcast(queries.select("qid", F.col("embedding").alias("q"))), "qid")
         return _rank(met.select("qid", "vec_id", F.round(cosine(F.col("q"), F.col("embedding")), 6).alias("score")), k)
 
 
 class Graph:
-    """One layered proximity graph per shard, as bytes in a column; a query visits all
-    shards and the k best of each meet."""
+    """Layered proximity graphs, one per shard of about PER_GRAPH vectors, as bytes in a
+    table that may be stored; a query visits all shards and the k best of each meet. The
+    same vectors give the same graphs."""
+
+    def __init__(self, vectors: DataFrame | None, shards: int | None = None, m: int = 16, ef_build: int = 200, graphs: DataFrame | None = None):
+        if graphs is not None:
+            self.graphs = graphs
+            return
+        shards = shards or max(1, -(-vectors.count() // PER_GRAPH))
 
-    def __init__(self, vectors: DataFrame, shards: int = 4, m: int = 16, ef_build: int = 200):
         def build(f):
             import pickle
 
             import numpy as np
             import pandas as pd
 
+            f = f.sort_values("vec_id", kind="stable")
             g = LayeredGraph(np.stack(f["embedding"]), f["vec_id"].to_numpy(), m, ef_build)
-            return pd.DataFrame({"shard": [int(f["shard"].iloc[0])], "graph": [pickle.dumps(g)]})
+            return pd.DataFrame({"shard": [int(f["shard"].iloc[0])], "n": [len(f)], "graph": [pickle.dumps(g)]})
 
-        rows = vectors.select("vec_id", "embedding", F.pmod(F.xxhash64("vec_id"), F.lit(shards)).cast("int").alias("shard"))
-        self.graphs = rows.groupBy("shard").applyInPandas(build, "shard int, graph binary")
+        rows = vectors.select("vec_id", "embedding", self.shard_of("vec_id", shards).alias("shard"))
+        self.graphs = rows.groupBy("shard").applyInPandas(build, "shard int, n long, graph binary")
 
-    def search(self, queries: DataFrame, k: int = 10, ef: int = 50) -> DataFrame:
+    @staticmethod
+    def shard_of(ident: str, shards: int):
+        return F.pmod(F.xxhash64(ident), F.lit(shards)).cast("int")
+
+    def _found(self, queries: DataFrame, k: int, ef: int, allowed: DataFrame | None) -> DataFrame:
         shared = _query_blocks(queries)
+        rows = self.graphs.select("shard", "graph")
+        if allowed is not None:
+            n = self.graphs.agg(F.max("shard")).first()[0] + 1
+            ids = allowed.select(self.shard_of("vec_id", n).alias("shard"), "vec_id").groupBy("shard").agg(F.collect_set("vec_id").alias("ids"))
+            rows = self.graphs.join(ids, "shard").select("shard", "graph", "ids")
 
         def run(frames: Iterator) -> Iterator:
             import pickle
@@ -161,10 +177,20 @@ class Graph:
             import pandas as pd
 
             for f in frames:
-                for blob in f["graph"]:
-                    g = pickle.loads(blob)
+                for row in f.itertuples(index=False):
+                    g = pickle.loads(row[1])
+                    allow = set(row[2].tolist()).__contains__ if len(row) > 2 else None
                     for b in shared:
-                        out = [(q, i, s, g.visited) for q, v in b.value for i, s in g.search(v, k, ef)]
-                        yield pd.DataFrame(out, columns=["qid", "vec_id", "score", "visited"])
+                        out = [(q, i, s, row[0], g.visited, len(g.ids)) for q, v in b.value for i, s in g.search(v, k, ef, allow)]
+                        yield pd.DataFrame(out, columns=["qid", "vec_id", "score", "shard", "visited", "n"])
+
+        return rows.mapInPandas(run, "qid long, vec_id long, score double, shard int, visited long, n long")
+
+    def search(self, queries: DataFrame, k: int = 10, ef: int = 50, allowed: DataFrame | None = None) -> DataFrame:
+        """allowed(vec_id): only these are answered; the graph is walked through all."""
+        return _rank(self._found(queries, k, ef, allowed), k)
 
-        return _rank(self.graphs.mapInPandas(run, "qid long, vec_id long, score double, visited long"), k)
+    def hops(self, queries: DataFrame, k: int = 10, ef: int = 50) -> DataFrame:
+        """(qid, visited, n): vectors that a query looked at in all shards, of how many."""
+        per = self._found(queries, k, ef, None).select("qid", "shard", "visited", "n").distinct()
+        return per.groupBy("qid").agg(F.sum("visited").alias("visited"), F.sum("n").alias("n"))

@@ -50,3 +50,23 @@ def timeline(history: DataFrame) -> DataFrame:
     met = per.join(starts, "effective_at", "left").join(ends, "effective_at", "left").na.fill(0, ["begun", "ended"])
     w = W.orderBy("effective_at").rowsBetween(W.unboundedPreceding, 0)  # one row per revision
     return met.select("revision", "effective_at", "added", "edited", "moved", "dropped", "vacated", F.sum(F.col("begun") - F.col("ended")).over(w).alias("live_slots"))
+
+
+def near_copies(segments: DataFrame, least: int = 3, longer_than: int = 20) -> DataFrame:
+    """(a, b, shared, keys_a, keys_b): pairs of documents, a < b, that share `least` keys
+    of lines longer than so many characters, or more.
+
+    Two documents that share that many keys share one that is not among the least - 1 most
+    frequent of either; so these are left out of the join, and what is on every page makes
+    no pairs unless a page has nothing else. Candidates are verified on their whole sets."""
+    keys = segments.where(F.length("body") > longer_than).select("doc_id", "content_key").distinct()
+    often = keys.groupBy("content_key").agg(F.count("*").alias("n"))
+    ranked = keys.join(often, "content_key").where("n > 1")
+    sets = ranked.groupBy("doc_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("n", "content_key"))), lambda x: x["content_key"]).alias("rare"))
+    sets = sets.where(F.size("rare") >= least)
+    probe = sets.select("doc_id", F.explode(F.slice("rare", F.lit(1), F.size("rare") - (least - 1))).alias("content_key"))
+    pairs = probe.withColumnRenamed("doc_id", "a").join(probe.withColumnRenamed("doc_id", "b"), "content_key").where("a < b").select("a", "b").distinct()
+    total = keys.groupBy("doc_id").agg(F.count("*").alias("n"))
+    of = lambda c: sets.join(total, "doc_id").select(F.col("doc_id").alias(c), F.col("rare").alias(f"rare_{c}"), F.col("n").alias(f"keys_{c}"))
+    met = pairs.join(of("a"), "a").join(of("b"), "b").withColumn("shared", F.size(F.array_intersect("rare_a", "rare_b")).cast("long"))
+    return met.where(F.col("shared") >= least).select("a", "b", "shared", "keys_a", "keys_b")

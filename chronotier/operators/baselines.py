@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from chronotier.operators import diff, history as hist, search
@@ -48,6 +49,20 @@ def windowed_refresh(updates: DataFrame, by: list[str], ts: str = "ts", every: s
     return grouped.select(*by, F.unix_timestamp("w.start").alias("window_start"), "last_ts", "updates", (end - F.col("first_s")).alias("longest_wait"), (end * F.col("updates") - F.col("sum_s")).alias("total_wait"))
 
 
+def last_of_window(versions: DataFrame, hours: int) -> DataFrame:
+    """versions(doc_id, revision, arrived), arrived in hours: those that a refresh every so
+    many hours sees, the last of each document and window, numbered from 1, with the hours
+    until the refresh. hours = 0: every version at once."""
+    if hours == 0:
+        seen = versions.withColumn("waits", F.lit(0).cast("long"))
+    else:
+        window = F.floor(F.col("arrived") / hours)
+        last = F.max_by(F.struct("revision", "arrived"), "revision").alias("v")
+        seen = versions.groupBy("doc_id", window.alias("window")).agg(last)
+        seen = seen.select("doc_id", "v.revision", "v.arrived", ((F.col("window") + 1) * hours - F.col("v.arrived")).cast("long").alias("waits"))
+    return seen.withColumn("run", F.row_number().over(W.partitionBy("doc_id").orderBy("revision")).cast("long"))
+
+
 def postfilter(queries: DataFrame, spans: DataFrame, k: int = 5, index: str = "live", oversample: int = 1, validate: bool = True) -> DataFrame:
     """Rank first, filter later: the top k * oversample of an index that ignores the
     queries' instants t (live: today's slots; all: every slot that ever was; stale:

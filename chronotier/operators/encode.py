@@ -91,6 +91,27 @@ class HashEncoder:
         return made.withColumn("dim", F.lit(dim)).withColumn("encoder", F.lit(self.name))
 
 
+class PacedEncoder:
+    """Another encoder that takes a stated time per row, as a model does that is not
+    installed here: what a change of strategy saves shows only if encoding costs."""
+
+    def __init__(self, inner, ms: float):
+        self.inner, self.ms, self.name = inner, ms, f"{inner.name}+{ms:g}ms"
+
+    def encode(self, df: DataFrame, id_col: str = "content_key", text: str = "body") -> DataFrame:
+        ms = self.ms
+
+        def run(batches: Iterator) -> Iterator:
+            import time
+
+            for b in batches:
+                time.sleep(len(b) * ms / 1000)
+                yield b
+
+        made = self.inner.encode(df, id_col, text)
+        return made.mapInArrow(run, made.schema).withColumn("encoder", F.lit(self.name))
+
+
 class TableEncoder:
     """Chooses among given vectors by the key, so equal texts have equal vectors."""
 

@@ -79,6 +79,13 @@ def staleness(commits: DataFrame) -> DataFrame:
     return commits.where("phase = 'COMMITTED'").agg(F.max(F.col("visible_at") - F.col("logged_at")).alias("longest"), F.avg(F.col("visible_at") - F.col("logged_at")).alias("mean"))
 
 
+def tier_bytes(spark, paths: dict[str, str]) -> DataFrame:
+    """(tier, bytes) of the files that lie under each path."""
+    at = lambda p: spark._jvm.org.apache.hadoop.fs.Path(p)
+    size = lambda p: at(p).getFileSystem(spark._jsc.hadoopConfiguration()).getContentSummary(at(p)).getLength()
+    return spark.createDataFrame([(name, size(p)) for name, p in paths.items()], "tier string, bytes long")
+
+
 def collision_bound(n: int) -> float:
     """log2 of the birthday bound n**2 / 2**257 for n keys."""
     return 2 * math.log2(n) - 257

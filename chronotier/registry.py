@@ -628,10 +628,9 @@ def vector_search_exact(spark, sf):
 
 @query()
 def search_live_cells(spark, sf):
-    from chronotier.operators.ann import index
+    from chronotier.experiments import cells
 
-    q, v = _vectors(spark, sf)
-    return index.Cells(v).search(q, nprobe=24)
+    return cells(*_vectors(spark, sf))
 
 
 @query()
@@ -650,15 +649,6 @@ def search_live_graph(spark, sf):
     return index.Graph(v).search(q)
 
 
-@query()
-def ann_recall(spark, sf):
-    from chronotier.operators.ann import index
-
-    q, v = _vectors(spark, sf)
-    exact = index.exact_blocks(q, v)
-    return metrics.recall_at_k(index.Graph(v).search(q), exact).withColumn("method", F.lit("graph"))
-
-
 @query()
 def encode_missing_hash(spark, sf):
     """Dense vectors of the keys that the last revision brings, and only of these."""
@@ -669,22 +659,6 @@ def encode_missing_hash(spark, sf):
     return encode.encode_missing(new, known, encode.HashEncoder()).select("content_key", "dim", "encoder")
 
 
-@query()
-def ann_recall_cells(spark, sf):
-    from chronotier.operators.ann import index
-
-    q, v = _vectors(spark, sf)
-    return metrics.recall_at_k(index.Cells(v).search(q, nprobe=24), index.exact_blocks(q, v)).withColumn("method", F.lit("cells"))
-
-
-@query()
-def ann_recall_planes(spark, sf):
-    from chronotier.operators.ann import index
-
-    q, v = _vectors(spark, sf)
-    return metrics.recall_at_k(index.Planes(v, tables=24).search(q), index.exact_blocks(q, v)).withColumn("method", F.lit("planes"))
-
-
 # Known-item search: a benchmark passage asked, the live slots that hold it wanted
 
 _WANTED = "bench AS (SELECT item_id AS qid, text FROM benchmark), wanted AS (SELECT qid, doc_id, ordinal FROM bench JOIN live ON contains(body, text))"
@@ -796,7 +770,7 @@ def staleness(spark, sf):
     """Five commits of the revisions' events, a tenth of the documents: is what was logged
     visible, and never sooner? The seconds are in staleness_seconds."""
     found = tiers.kept(spark, sf, "staleness", lambda: _staleness(spark, sf))
-    return found.agg(F.count("*").alias("commits"), F.count_if(F.col("seconds").isNull()).alias("never_visible"), F.count_if("seconds < 0").alias("before_the_log"))
+    return found.agg(F.count("*").alias("commits"), F.count_if(F.col("seconds").isNull()).alias("never_visible"), F.count_if(F.col("seconds") < 0).alias("before_the_log"))
 
 
 def _staleness(spark, sf):

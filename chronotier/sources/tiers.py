@@ -2,7 +2,8 @@
 input, read afterwards.
 
 segments, changes, events (the log, by month), spans (the log with ends written, by
-month, each row with its hashed terms) and live (the rows of spans that have no end).
+month, each row with its hashed terms), live (the rows of spans that have no end) and graphs
+(the index over live).
 Queries read these instead of deriving five revisions each time, so that a snapshot is
 a filter on a scan, and months after the asked instant are not opened."""
 
@@ -15,6 +16,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from chronotier.operators import baselines, diff, encode, history as hist
+from chronotier.operators.ann import live as live_index
 from chronotier.sources import scratch, workload
 
 VERSION = ("doc_id", "revision")
@@ -39,6 +41,11 @@ def kept(spark: SparkSession, sf_dir: str, name: str, make: Callable[[], DataFra
     return spark.read.schema(schema).parquet(path)
 
 
+def path_of(spark: SparkSession, sf_dir: str, name: str) -> str:
+    """Where a kept table lies."""
+    return _WRITTEN[spark.sparkContext.applicationId, sf_dir, name][0]
+
+
 def segments(spark: SparkSession, sf_dir: str, profile: str = "structural") -> DataFrame:
     return kept(spark, sf_dir, f"segments/{profile}", lambda: workload.segments(spark, sf_dir, profile))
 
@@ -65,3 +72,7 @@ def spans(spark: SparkSession, sf_dir: str, profile: str = "structural") -> Data
 def live(spark: SparkSession, sf_dir: str, profile: str = "structural") -> DataFrame:
     made = lambda: spans(spark, sf_dir, profile).where("retired_at is null").select("doc_id", "ordinal", "content_key", "body", "effective_at", "revision", "codes")
     return kept(spark, sf_dir, f"live/{profile}", made)
+
+
+def graphs(spark: SparkSession, sf_dir: str, profile: str = "structural") -> DataFrame:
+    return kept(spark, sf_dir, f"graphs/{profile}", lambda: live_index.build(live(spark, sf_dir, profile)))
