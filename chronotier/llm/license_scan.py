@@ -6,7 +6,7 @@ it. Document frequencies of the templates' terms are counted over all documents.
 units of a file are its lines and its paragraphs, so that a header is found wherever it
 stands; of a licence file also each run of two or three lines, and the whole. A unit is
 compared with every template that shares a term with it, by one join on terms. Before
-that, it must hold one of the templates' heaviest terms: terms outside that set have too
+that, it must hold one of the templates' rare terms: the frequent ones together have too
 little weight to reach the threshold even if they all matched, so the filter loses
 nothing. It leaves about one line in a thousand to be exploded into terms; the
 templates' postings are some thousand rows.
@@ -65,12 +65,14 @@ def _vectors(templates: Templates, idf: dict[str, float]) -> list[tuple[str, dic
     return found
 
 
-def _gate(vectors: list[tuple[str, dict[str, float]]], threshold: float) -> list[str]:
-    """Terms one of which any text within the threshold of a template must hold."""
+def _gate(vectors: list[tuple[str, dict[str, float]]], threshold: float, idf: dict[str, float]) -> list[str]:
+    """Terms one of which any text within the threshold of a template must hold: of each
+    template, the most frequent terms are left out as long as they could not reach the
+    threshold even if they all matched, so that the rare ones decide what is looked at."""
     gate = set()
     for _, v in vectors:
         rest = 0.0
-        for t, x in sorted(v.items(), key=lambda p: (p[1], p[0])):
+        for t, x in sorted(v.items(), key=lambda p: (idf[p[0]], p[0])):
             rest += x * x
             if math.sqrt(rest) >= threshold - 1e-9:
                 gate.add(t)
@@ -95,7 +97,7 @@ def matches(docs: DataFrame, path: Column, templates: Templates | None = None, t
     vectors = _vectors(templates, idf)
     postings = spark.createDataFrame([(k, n, t, x) for k, (n, v) in enumerate(vectors) for t, x in v.items()], "template int, license string, term string, w double")
     vocabulary = spark.createDataFrame(sorted(idf.items()), "term string, idf double")
-    gate = F.array(*map(F.lit, _gate(vectors, threshold)))
+    gate = F.array(*map(F.lit, _gate(vectors, threshold, idf)))
     files = docs.select("doc_id", path.alias("path"), "text").where("text is not null")
     # Whole texts without a term of the gate are passed over before they are cut up.
     files = files.where(F.arrays_overlap(terms(F.col("text")), gate))
@@ -153,7 +155,8 @@ tv AS (SELECT k, license, term, n * idf / sqrt(sum(n * idf * n * idf) OVER (PART
 f AS (SELECT doc_id, path, text, string_split(text, chr(10)) AS ls, regexp_matches(regexp_extract(path, '[^/]*$'), '(?i)^(license|licence|copying|notice)(\.[a-z]+)?$') AS whole FROM d WHERE text IS NOT NULL),
 u AS (SELECT doc_id, path, unit, row_number() OVER () AS id FROM (SELECT DISTINCT doc_id, path, unit FROM (
     SELECT doc_id, path, unnest(ls) AS unit FROM f UNION ALL SELECT doc_id, path, unnest(regexp_split_to_array(text, '
-[ 	]*
+[ 	
+]*
 ')) FROM f
     UNION ALL SELECT doc_id, path, text FROM f WHERE whole
     UNION ALL SELECT doc_id, path, unnest(list_transform(range(1, len(ls) + 1), lambda i: array_to_string(ls[i:i + 1], chr(10)))) FROM f WHERE whole
