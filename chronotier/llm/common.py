@@ -12,6 +12,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+#: Folders of the tables that this process has staged and not dropped.
+STAGED: list[str] = []
 #: One word: a run of anything but blank, tab, LF, VT, FF, CR.
 WORD = r"[^\x20\x09-\x0D]+"
 
@@ -52,16 +54,29 @@ def stage_table(df: DataFrame, name: str) -> DataFrame:
         df.write.parquet(path)
     staged = spark.read.schema(df.schema).parquet(path)
     staged._staged_path = path
+    STAGED.append(path)
     return staged
 
 
+def _remove(spark: SparkSession, path: str) -> None:
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+    if path in STAGED:
+        STAGED.remove(path)
+
+
 def drop_staged(df: DataFrame) -> None:
     """Remove a table that stage_table wrote; df must not be used afterwards."""
-    path = getattr(df, "_staged_path", None)
-    if path:
-        jvm = df.sparkSession._jvm
-        at = jvm.org.apache.hadoop.fs.Path(path)
-        at.getFileSystem(df.sparkSession._jsc.hadoopConfiguration()).delete(at, True)
+    if path := getattr(df, "_staged_path", None):
+        _remove(df.sparkSession, path)
+
+
+def drop_staged_since(spark: SparkSession, mark: int, keep: DataFrame | None = None) -> None:
+    """Remove the tables staged since len(STAGED) was mark, but for keep: what operators
+    leave behind for results that have not been read yet. For when all of these are."""
+    for path in STAGED[mark:]:
+        if path != getattr(keep, "_staged_path", None):
+            _remove(spark, path)
 
 
 def broadcast_if_small(df: DataFrame, max_rows: int) -> DataFrame:

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from chronotier.llm.common import Forest, connected_components, group_bounds, sorted_groups, stage_table
+from chronotier.llm.common import Forest, connected_components, drop_staged, group_bounds, sorted_groups, stage_table
 
 CELL, BLOCK, LEAF = 1024, 1024, 12
 PIVOTS = 20_000
@@ -128,6 +128,14 @@ def dual(a: CoverTree, b: CoverTree, threshold: float, whole, pair) -> None:
     compare()
 
 
+def scaled(x):
+    """Rows times a power of two each, so that their greatest component is near 1: exact,
+    and squares of huge or tiny components stay finite and above zero."""
+    import numpy as np
+
+    return np.ldexp(x, -np.frexp(np.abs(x).max(axis=1))[1][:, None])
+
+
 def _task(table: pa.Table, threshold: float):
     """(reps, sums of weights) and (a, b) of one pair of blocks."""
     import numpy as np
@@ -135,7 +143,7 @@ def _task(table: pa.Table, threshold: float):
     side = table.column("side").to_numpy()
     rep, weight = table.column("rep").to_numpy(), table.column("n").to_numpy()
     raw = table.column("v").combine_chunks()
-    raw = raw.flatten().to_numpy(zero_copy_only=False).reshape(len(side), -1).astype(np.float64)
+    raw = scaled(raw.flatten().to_numpy(zero_copy_only=False).reshape(len(side), -1).astype(np.float64))
     norm = np.sqrt(np.einsum("ij,ij->i", raw, raw))
     unit = raw / norm[:, None]
     left, right = np.flatnonzero(side == 0), np.flatnonzero(side == 1)
@@ -192,13 +200,14 @@ def near_duplicates(vectors: DataFrame, threshold: float = 0.98, vec: str = "vec
 
     Only vectors of one label and length are compared. A row with a null label, or a
     vector that is null, empty, zero or holds a null, NaN or infinite component, links
-    with nothing. Rows that share an id count as vectors of their own; a null id has a
+    with nothing. Labels that are no integers are told apart by a 64-bit hash. Rows that share an id count as vectors of their own; a null id has a
     null component_id and kept. An empty table gives an empty result."""
     import numpy as np
 
     spark, eps = vectors.sparkSession, float(np.sqrt(2 - 2 * threshold))
-    v = F.col(embedding).cast("array<double>")
-    rows = vectors.select(F.col(vec).cast("long").alias("vec_id"), F.col(label).cast("long").alias("label"), F.col(embedding).alias("v"))
+    whole = dict(vectors.dtypes)[label] in ("tinyint", "smallint", "int", "bigint")
+    name = F.col(label).cast("long") if whole else F.when(F.col(label).isNotNull(), F.xxhash64(F.col(label).cast("string")))
+    rows = vectors.select(F.col(vec).cast("long").alias("vec_id"), name.alias("label"), F.col(embedding).alias("v"))
     v = F.col("v")
     sound = F.col("label").isNotNull() & F.coalesce(F.size(v) > 0, F.lit(False)) & ~F.coalesce(F.exists(v, lambda x: x.isNull() | F.isnan(x) | (F.abs(x) == float("inf"))), F.lit(False)) & F.coalesce(F.exists(v, lambda x: x != 0), F.lit(False))
     rows = rows.withColumn("sound", F.coalesce(sound, F.lit(False)))
@@ -213,7 +222,7 @@ def near_duplicates(vectors: DataFrame, threshold: float = 0.98, vec: str = "vec
     chosen = points.where(F.col("draw") < rate).join(big, ["label", "dim"], "left_semi").select("label", "dim", "v").collect()  # PIVOTS rows or so
     pivots: dict = {}
     for r in sorted(chosen, key=lambda r: (r["label"], r["dim"], list(r["v"]))):
-        x = np.array(r["v"], np.float64)
+        x = scaled(np.array([r["v"]], np.float64))[0]
         pivots.setdefault((r["label"], r["dim"]), []).append(x / np.linalg.norm(x))
     shared = spark.sparkContext.broadcast({k: np.array(x) for k, x in pivots.items()})
 
@@ -224,6 +233,7 @@ def near_duplicates(vectors: DataFrame, threshold: float = 0.98, vec: str = "vec
             for key in sorted(set(zip(lab.tolist(), dim.tolist(), strict=True)) & shared.value.keys()):
                 mine = np.flatnonzero((lab == key[0]) & (dim == key[1]))
                 x = b.column("v").take(pa.array(mine)).flatten().to_numpy(zero_copy_only=False).reshape(len(mine), -1).astype(np.float64)
+                x = scaled(x)
                 home, (who, where) = _home_and_guests(x / np.linalg.norm(x, axis=1)[:, None], shared.value[key], eps)
                 cell[0][mine] = home
                 take.append(mine[who])
@@ -257,6 +267,7 @@ def near_duplicates(vectors: DataFrame, threshold: float = 0.98, vec: str = "vec
                     yield pa.RecordBatch.from_arrays([pa.array(a), b, pa.array(np.concatenate([sums, np.zeros(len(edges), np.int64)]))], names=["a", "b", "links"])
 
     found = stage_table(met.repartition(*key).sortWithinPartitions(*key).mapInArrow(run, "a long, b long, links long"), "pairs")
+    drop_staged(placed)
     links = found.where("b is null").groupBy(F.col("a").alias("rep")).agg(F.sum("links").alias("links"))
     comp = connected_components(found.where("b is not null").select("a", "b")).withColumnRenamed("node", "rep")
     known = points.select("label", "v", "rep", "first", "n").join(links, "rep", "left").join(comp, "rep", "left")

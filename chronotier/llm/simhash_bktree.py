@@ -34,7 +34,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from chronotier.llm.common import Forest, broadcast_if_small, connected_components, group_bounds, sorted_groups, stage_table
+from chronotier.llm.common import Forest, broadcast_if_small, connected_components, drop_staged, group_bounds, sorted_groups, stage_table
 
 #: Shingles hashed at a time, which bounds memory for a very long text.
 CHUNK = 1 << 16
@@ -433,11 +433,14 @@ def group_similar(docs: DataFrame, width: int = 5, least: float = 0.8, radius: i
     own = staged.select("doc_id", *ids)
     nodes = stage_table(staged.groupBy(*ids).agg(F.min("doc_id").alias("rep"), *[F.any_value(c).alias(c) for c in ("n", "sketch", "bands")]), "nodes")
     met = stage_table(shared_buckets(nodes), "buckets")
-    few = broadcast_if_small(stage_table(met.select("rep", "words_key").distinct(), "shared"), MAX_SHARED)
+    shared = stage_table(met.select("rep", "words_key").distinct(), "shared")
+    few = broadcast_if_small(shared, MAX_SHARED)
     texts = docs.select(F.col("doc_id").cast("long").alias("rep"), "text").join(few.select("rep"), "rep", "left_semi")
     sets = shingle_sets(texts, width).join(few, ["rep", "words_key"], "left_semi").dropDuplicates(["rep", "words_key"])
     sets = stage_table(sets.join(nodes.select("rep", "words_key", "sketch"), ["rep", "words_key"]), "sets")
     comp = connected_components(similar_links(met, sets, least, radius))
+    for x in (met, shared, sets):
+        drop_staged(x)
     known = nodes.select(*ids, "rep").join(comp.withColumnRenamed("node", "rep"), "rep", "left")
     known = known.select(*ids, F.coalesce("component", "rep").alias("component_id"))
     return own.join(known, ids).select("doc_id", "component_id")

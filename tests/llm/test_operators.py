@@ -138,6 +138,20 @@ def test_cover_tree_pairs(spark):
     assert all(got[i]["n_links"] == 0 and got[i]["kept"] for i in range(900, 906))
 
 
+def test_cover_tree_odd_rows(spark):
+    """No rows, null and shared ids, clashing columns, labels of any type, huge and tiny
+    components, keep_one."""
+    kind = "vec_id long, embedding array<double>, label double, kept string, n_links int, rep long"
+    row = lambda i, v, lab: (i, v, lab, "x", 7, 7)
+    rows = [row(5, [1.0, 0.0], 1.2), row(6, [1.0, 0.01], 1.2), row(7, [1.0, 0.0], 1.7), row(None, [1.0, 0.02], 1.2), row(8, [0.0, 1.0], 1.2), row(8, [0.0, 1.0], 1.2), row(9, [1e300, 1e300], 2.0), row(10, [1e-300, 1e-300], 2.0), row(11, [-1e300, 1e300], 2.0), row(12, [1.0], 2.0)]
+    d = spark.createDataFrame(rows, kind)
+    got = sorted(((r["vec_id"] or 0, r["n_links"], r["component_id"], r["kept"]) for r in cover_tree.near_duplicates(d).collect()), key=str)
+    assert got == sorted([(5, 2, 5, True), (6, 2, 5, False), (7, 0, 7, True), (0, 2, None, None), (8, 1, 8, True), (8, 1, 8, True), (9, 1, 9, True), (10, 1, 9, False), (11, 0, 11, True), (12, 0, 12, True)], key=str)
+    kept = cover_tree.keep_one(d)
+    assert kept.columns == d.columns and sorted(r["vec_id"] or 0 for r in kept.collect()) == [0, 5, 7, 8, 8, 9, 11, 12]
+    assert cover_tree.near_duplicates(d.limit(0)).count() == 0 and cover_tree.keep_one(d.limit(0)).count() == 0
+
+
 @pytest.mark.parametrize("sizes", [(1024, 1024), (16, 8)])
 def test_cover_tree_cells(spark, monkeypatch, sizes):
     """Small cells and blocks give the same as one."""
