@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from chronotier.llm import line_spread, mixing, simhash_bktree, spaced_seeds, toxicity_cnn
-from chronotier.llm.common import stage_table
+from chronotier.llm.common import STAGED, drop_staged_since, stage_table
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -53,7 +53,8 @@ STAGES = [
     ("mixing", mixing_weights),
 ]
 
-#: The classifier and the fingerprints are beyond SQL; tests/llm has the brute force.
+#: The classifier and the fingerprints are beyond SQL; tests/llm/test_pipeline.py has the
+#: brute force.
 ORACLE_SQL = None
 
 
@@ -61,7 +62,9 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The stages applied to documents, each written and read by the next."""
     docs = _table(spark, sf_dir, "documents")
     for i, (name, stage) in enumerate(STAGES):
+        mark = len(STAGED)
         docs = stage(spark, docs, sf_dir)
         if i + 1 < len(STAGES):
             docs = stage_table(docs, name)
+            drop_staged_since(spark, mark, keep=docs)
     return docs
