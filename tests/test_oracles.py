@@ -42,4 +42,4 @@ def test_query(spark, duck, name):
     key = lambda r: tuple(repr(x) for x in r)
     a = sorted((tuple(plain(r[c]) for c in order) for r in df.collect()), key=key)
     b = sorted((tuple(plain(r[i]) for i in at) for r in want.fetchall()), key=key)
-    assert a == b and a
+    assert a == b and (a or name == "diff_withdrawn")  # nobody withdraws at this size
