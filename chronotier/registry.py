@@ -90,12 +90,26 @@ def segment_whole(spark, sf):
     return segment.whole(_docs(spark, sf)).select("doc_id", "ordinal", F.sha2("body", 256).alias("digest"))
 
 
-@query()
+_FENCE, _PIPE, _TWO, _BULLET = r"^ {0,3}(```|~~~)", r"^[ \t]*\|", r"\|.*\|", r"^[ \t]*([-*+]|[0-9]+[.)])[ \t]"
+
+
+@query(rf"""WITH l AS (SELECT doc_id, unnest(x) AS line, generate_subscripts(x, 1) AS n FROM (SELECT doc_id, string_split(text, chr(10)) AS x FROM documents)),
+f AS (SELECT *, regexp_matches(line, '{_FENCE}') AS mark, sum(CASE WHEN regexp_matches(line, '{_FENCE}') THEN 1 ELSE 0 END) OVER w AS marks, regexp_matches(line, '{_PIPE}') AS pipe, regexp_matches(line, '{_TWO}') AS two,
+  coalesce(lag(regexp_matches(line, '{_PIPE}') OR regexp_matches(line, '{_TWO}')) OVER w, false) OR coalesce(lead(regexp_matches(line, '{_PIPE}') OR regexp_matches(line, '{_TWO}')) OVER w, false) AS near FROM l WINDOW w AS (PARTITION BY doc_id ORDER BY n)),
+c AS (SELECT *, regexp_matches(line, '^[ \t]+[^ \t]') AS indented, CASE WHEN mark OR marks % 2 = 1 THEN 'code' WHEN NOT regexp_matches(line, '[^ \t\r\f]') THEN 'blank' WHEN pipe OR (two AND near) THEN 'table' WHEN regexp_matches(line, '{_BULLET}') THEN 'list' END AS first FROM f),
+k AS (SELECT *, coalesce(first, CASE WHEN indented AND last_value(CASE WHEN first IS NOT NULL OR NOT indented THEN coalesce(first, 'prose') END IGNORE NULLS) OVER (PARTITION BY doc_id ORDER BY n) = 'list' THEN 'list' END, 'prose') AS kind FROM c),
+b AS (SELECT *, sum(CASE WHEN kind <> was OR (mark AND marks % 2 = 1) THEN 1 ELSE 0 END) OVER (PARTITION BY doc_id ORDER BY n) AS block FROM (SELECT *, coalesce(lag(kind) OVER (PARTITION BY doc_id ORDER BY n), '') AS was FROM k))
+SELECT doc_id, CAST(row_number() OVER (PARTITION BY doc_id ORDER BY block) - 1 AS BIGINT) AS ordinal, kind, string_agg(line, chr(10) ORDER BY n) AS body FROM b WHERE kind <> 'blank' GROUP BY doc_id, block, kind""")
 def segment_blocks(spark, sf):
     return segment.split_blocks(_docs(spark, sf)).select("doc_id", "ordinal", "kind", "body")
 
 
-@query()
+_ELEMENTS = "|".join(f"<{k}(?: [^>]*)?>.*?</{k}>" for k in ("table", "pre", "p", "li"))
+
+
+@query(rf"""WITH m AS (SELECT page_id AS doc_id, unnest(x) AS e, generate_subscripts(x, 1) AS n FROM (SELECT page_id, regexp_extract_all(html, '(?is){_ELEMENTS}') AS x FROM pages)),
+t AS (SELECT doc_id, n, lower(regexp_extract(e, '^<([a-zA-Z]+)', 1)) AS kind, trim(regexp_replace(regexp_replace(regexp_replace(e, '(?s)^<[^>]*>|<[^>]*>$', '', 'g'), '<[^>]*>', ' ', 'g'), '{sql.WS}+', ' ', 'g')) AS body FROM m)
+SELECT doc_id, CAST(row_number() OVER (PARTITION BY doc_id ORDER BY n) - 1 AS BIGINT) AS ordinal, kind, body FROM t WHERE body <> ''""")
 def segment_html(spark, sf):
     pages = load(spark, sf, "pages").select(F.col("page_id").alias("doc_id"), F.lit(1).alias("revision"), F.lit(0).alias("effective_at"), "html")
     return segment.split_html(pages).select("doc_id", "ordinal", "kind", "body")
