@@ -178,7 +178,7 @@ def diff_by_content(spark, sf):
 
 @query(f"{CH} SELECT doc_id, revision, ordinal, op, content_key, prior_key, moved_from, needs_encoding, audit FROM changes")
 def diff_combined(spark, sf):
-    return _changes(spark, sf)
+    return _diffed(_segments(spark, sf))
 
 
 @query()
