@@ -14,6 +14,8 @@ from pyspark.sql import functions as F
 
 #: Folders of the tables that this process has staged and not dropped.
 STAGED: list[str] = []
+#: Bytes of a table up to which it may be broadcast.
+MAX_BYTES = 256 << 20
 #: One word: a run of anything but blank, tab, LF, VT, FF, CR.
 WORD = r"[^\x20\x09-\x0D]+"
 
@@ -79,10 +81,13 @@ def drop_staged_since(spark: SparkSession, mark: int, keep: DataFrame | None = N
             _remove(spark, path)
 
 
-def broadcast_if_small(df: DataFrame, max_rows: int) -> DataFrame:
-    """df with a broadcast hint if it has no more than max_rows rows, else df as
-    it is, which leaves the join to a shuffle. df should be a staged table."""
-    return F.broadcast(df) if df.limit(max_rows + 1).count() <= max_rows else df
+def broadcast_if_small(df: DataFrame, max_rows: int, max_bytes: int = MAX_BYTES) -> DataFrame:
+    """df with a broadcast hint if it has no more than max_rows rows and, by the
+    planner's sizes, max_bytes; else df as it is, which leaves the join to a shuffle.
+    df should be a staged table, whose sizes are those of its files."""
+    size = df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()
+    small = size.isValidLong() and size.toLong() <= max_bytes
+    return F.broadcast(df) if small and df.limit(max_rows + 1).count() <= max_rows else df
 
 
 def sorted_groups(batches: Iterator[pa.RecordBatch], key: list[str]) -> Iterator[pa.Table]:
