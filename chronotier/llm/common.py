@@ -85,9 +85,8 @@ def broadcast_if_small(df: DataFrame, max_rows: int, max_bytes: int = MAX_BYTES)
     """df with a broadcast hint if it has no more than max_rows rows and, by the
     planner's sizes, max_bytes; else df as it is, which leaves the join to a shuffle.
     df should be a staged table, whose sizes are those of its files."""
-    size = df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()
-    small = size.isValidLong() and size.toLong() <= max_bytes
-    return F.broadcast(df) if small and df.limit(max_rows + 1).count() <= max_rows else df
+    size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    return F.broadcast(df) if size <= max_bytes and df.limit(max_rows + 1).count() <= max_rows else df
 
 
 def sorted_groups(batches: Iterator[pa.RecordBatch], key: list[str]) -> Iterator[pa.Table]:
