@@ -3,7 +3,9 @@ broadcasts, streaming over sorted groups, and connected components."""
 
 from __future__ import annotations
 
+import atexit
 import contextlib
+import shutil
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -29,7 +31,9 @@ def shared_dir(spark: SparkSession) -> str:
             raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
         base = spark.sparkContext._jvm.System.getProperty("chronotier.staging")  # one per JVM
         if not base:
-            base = "file://" + tempfile.mkdtemp(prefix="chronotier-")
+            at = tempfile.mkdtemp(prefix="chronotier-")
+            atexit.register(shutil.rmtree, at, ignore_errors=True)
+            base = f"file://{at}"
             spark.sparkContext._jvm.System.setProperty("chronotier.staging", base)
     return f"{base.rstrip('/')}/staged-{spark.sparkContext.applicationId}"
 
