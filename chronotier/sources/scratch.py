@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import atexit
+import shutil
 import tempfile
 import uuid
 
@@ -15,5 +17,7 @@ def folder(spark: SparkSession, name: str) -> str:
     if not base:
         if not spark.sparkContext.master.startswith("local"):
             raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
-        base = "file://" + tempfile.mkdtemp(prefix="chronotier-")
+        at = tempfile.mkdtemp(prefix="chronotier-")
+        atexit.register(shutil.rmtree, at, ignore_errors=True)
+        base = f"file://{at}"
     return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex[:12]}"
