@@ -62,7 +62,9 @@ def drop_boilerplate(docs: DataFrame, min_sites: int = 10) -> DataFrame:
     gone = _occurrences(docs).join(marks, ["h", "g"]).where(~F.struct("doc_id", "pos").eqNullSafe(F.col("first")))
     gone = gone.groupBy(F.col("doc_id").alias("__doc"), F.col("row").alias("__row")).agg(F.collect_set("pos").alias("__gone"))
     met = docs.join(gone, docs["doc_id"].eqNullSafe(F.col("__doc")) & (F.xxhash64(docs["text"]) == F.col("__row")), "left")
-    lines = F.split(docs["text"], "\n")
+    # As a column of their own, so that the lambda below does not cut the text up again.
+    met = met.withColumn("__lines", F.split(docs["text"], "\n"))
+    lines = F.col("__lines")
     places = F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), F.col("__gone"))  # by hashing, in order
     stay: Column = F.array_join(F.transform(places, lambda i: F.get(lines, i)), "\n")
     text = F.when(F.col("__gone").isNull(), docs["text"]).otherwise(stay)
