@@ -226,7 +226,9 @@ def pseudonymise(docs: DataFrame, key: str) -> DataFrame:
     pattern = F.lit(_pattern())
     docs = docs.drop("n_found", "kinds")
     met = docs.withColumn("__found", F.transform(F.regexp_extract_all("text", pattern, F.lit(0)), lambda m: _replaced(key, m)))
-    gaps = F.split(F.col("text"), _pattern(), -1)
+    # As a column of their own, so that the lambda below does not cut the text up again.
+    met = met.withColumn("__gaps", F.when(F.size("__found") > 0, F.split(F.col("text"), _pattern(), -1)))
+    gaps = F.col("__gaps")
     tail = F.transform("__found", lambda m, i: F.concat(m["text"], gaps[i + 1]))
     text = F.when(F.size("__found") > 0, F.concat(gaps[0], F.array_join(tail, ""))).otherwise(F.col("text"))
     kinds = F.filter(F.transform("__found", lambda m: m["kind"]), lambda k: k.isNotNull())

@@ -79,9 +79,9 @@ def _gate(vectors: list[tuple[str, dict[str, float]]], threshold: float, idf: di
     return sorted(gate)
 
 
-def _units(path: Column, text: Column) -> Column:
-    """The different strings of a file that are compared, as an array."""
-    lines = F.split(text, "\n")
+def _units(path: Column, text: Column, lines: Column) -> Column:
+    """The different strings of a file that are compared, as an array; lines is a column
+    with the text's lines."""
     run = lambda k: F.transform(lines, lambda _, i: F.array_join(F.slice(lines, i + 1, k), "\n"))
     any_file = F.concat(lines, F.split(text, r"\n[ \t\r]*\n"))
     licence_file = F.element_at(F.split(path, "/"), -1).rlike(LICENCE_FILES)
@@ -100,8 +100,8 @@ def matches(docs: DataFrame, path: Column, templates: Templates | None = None, t
     gate = F.array(*map(F.lit, _gate(vectors, threshold, idf)))
     files = docs.select("doc_id", path.alias("path"), "text").where("text is not null")
     # Whole texts without a term of the gate are passed over before they are cut up.
-    files = files.where(F.arrays_overlap(terms(F.col("text")), gate))
-    units = files.select("doc_id", "path", F.explode(_units(F.col("path"), F.col("text"))).alias("unit")).select("doc_id", "path", terms(F.col("unit")).alias("terms"))
+    files = files.where(F.arrays_overlap(terms(F.col("text")), gate)).withColumn("lines", F.split("text", "\n"))
+    units = files.select("doc_id", "path", F.explode(_units(F.col("path"), F.col("text"), F.col("lines"))).alias("unit")).select("doc_id", "path", terms(F.col("unit")).alias("terms"))
     units = units.where(F.arrays_overlap("terms", gate)).withColumn("id", F.struct(F.monotonically_increasing_id().alias("n")))
     units = stage_table(units.select("doc_id", "path", F.col("id.n").alias("unit"), "terms"), "units")
     tf = units.select("unit", F.explode("terms").alias("term")).groupBy("unit", "term").count()
