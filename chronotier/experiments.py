@@ -441,3 +441,64 @@ def graph_hops(spark, sf):
         one = made.hops(q, 10, ef).agg(F.lit(ef).alias("ef"), F.round(F.avg("visited"), 1).alias("visited"), F.max("n").alias("vectors"))
         out = one if out is None else out.union(one)
     return out.withColumn("log2", F.round(F.log2("vectors"), 2))
+
+
+# Other measures, lineage of a text, questions in SQL
+
+
+def _measured_sql(expression: str) -> str:
+    return f"""WITH q AS (SELECT vec_id AS qid, CAST(embedding AS DOUBLE[]) AS a FROM embeddings WHERE vec_id % 20 = 0), e AS (SELECT vec_id, CAST(embedding AS DOUBLE[]) AS b FROM embeddings),
+s AS (SELECT qid, vec_id, round({expression}, 6) AS score FROM q, e) SELECT qid, row_number() OVER (PARTITION BY qid ORDER BY score DESC, vec_id) AS rank, vec_id, score FROM s QUALIFY rank <= 10"""
+
+
+@query(_measured_sql("list_sum(list_transform(list_zip(a, b), lambda p: p[1] * p[2]))"))
+def vector_search_dot(spark, sf):
+    return index.exact(*_vectors(spark, sf), measure="dot")
+
+
+@query(_measured_sql("-sqrt(list_sum(list_transform(list_zip(a, b), lambda p: (p[1] - p[2]) * (p[1] - p[2]))))"))
+def vector_search_l2(spark, sf):
+    return index.exact(*_vectors(spark, sf), measure="l2")
+
+
+@query(f"""WITH RECURSIVE {HI.removeprefix('WITH ')}, edits AS (SELECT DISTINCT content_key, prior_key FROM history WHERE op = 'edited'),
+chain AS (SELECT 0 AS hop, (SELECT min(content_key) FROM history WHERE op = 'edited' AND revision = 5) AS content_key UNION ALL SELECT hop + 1, prior_key FROM chain JOIN edits USING (content_key) WHERE hop < 20)
+SELECT hop, content_key FROM chain""")
+def audit_ancestry(spark, sf):
+    """The texts that were edited into one text of the last revision."""
+    history = _history(spark, sf)
+    key = history.where("op = 'edited' and revision = 5").agg(F.min("content_key")).first()[0]
+    return audit.ancestry(history, key)
+
+
+_ONE = "(SELECT min(item_id) AS qid, arg_min(text, item_id) AS text FROM benchmark)"
+
+
+@query(f"{LIVE}, {_scored('live', _ONE)}, {_TOP % 'live'} SELECT doc_id, ordinal, content_key, effective_at, score FROM ranked WHERE rank <= 10")
+def sql_live_scores(spark, sf):
+    from chronotier.plans import surface
+
+    surface.register(spark, _spans(spark, sf))
+    text = load(spark, sf, "benchmark").agg(F.min_by("text", "item_id")).first()[0]
+    return spark.sql("SELECT * FROM live_scores(:q) ORDER BY score DESC, doc_id, ordinal LIMIT 10", args={"q": text})
+
+
+@query(f"{HI}, {sql.snapshot(T3)}, {_scored('snap', _ONE)}, {_TOP % 'snap'} SELECT doc_id, ordinal, content_key, effective_at, score FROM ranked WHERE rank <= 10")
+def sql_scores_at(spark, sf):
+    from chronotier.plans import surface
+
+    surface.register(spark, _spans(spark, sf))
+    text = load(spark, sf, "benchmark").agg(F.min_by("text", "item_id")).first()[0]
+    return assert_guard(spark.sql(f"SELECT * FROM scores_at(:q, {T3}) ORDER BY score DESC, doc_id, ordinal LIMIT 10", args={"q": text}))
+
+
+def _refresh(name: str, every: str, seconds: int) -> None:
+    @query(f"""SELECT user_id, event_type, CAST(w AS BIGINT) AS window_start, count(*) AS updates, CAST(w + {seconds} - min(s) AS BIGINT) AS longest_wait
+FROM (SELECT user_id, event_type, date_diff('second', TIMESTAMP '1970-01-01', ts) AS s, (date_diff('second', TIMESTAMP '1970-01-01', ts) // {seconds}) * {seconds} AS w FROM events) GROUP BY user_id, event_type, w""", name)
+    def _(spark, sf):
+        found = baselines.windowed_refresh(load(spark, sf, "events"), ["user_id", "event_type"], every=every)
+        return found.select("user_id", "event_type", "window_start", "updates", "longest_wait")
+
+
+_refresh("windowed_refresh_hourly", "1 hour", 3600)
+_refresh("windowed_refresh_daily", "1 day", 86400)

@@ -8,10 +8,12 @@ from pyspark.sql import functions as F
 from chronotier.functions.segment import BLANK
 
 
-def canonical(text: Column, fold: str | None = "lower", whitespace: str = "collapse", unicode_form: str | None = None) -> Column:
+def canonical(text: Column, fold: str | None = "lower", whitespace: str = "collapse", unicode_form: str | None = None, repair: bool = False) -> Column:
     """whitespace: collapse (runs become one blank, ends are cut), outer or none; fold:
     lower, full (full case folding, an Arrow UDF) or None; unicode_form: NFC, NFKC, …
-    (an Arrow UDF) or None. The defaults stay within built-in functions."""
+    (an Arrow UDF) or None; repair: bytes that are no UTF-8 become replacement marks.
+    The defaults stay within built-in functions."""
+    text = F.make_valid_utf8(text) if repair else text
     if unicode_form or fold == "full":
         text = _rewritten(fold == "full", unicode_form)(text)
     if whitespace in ("collapse", "outer"):

@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from chronotier.functions.score import cosine
+from chronotier.functions.score import MEASURES, cosine
 from chronotier.operators.ann.graph import LayeredGraph
 
 MAX_QUERIES = 100_000
@@ -34,11 +34,12 @@ def _query_blocks(queries: DataFrame) -> list:
     return [queries.sparkSession.sparkContext.broadcast(list(b)) for b in batched(rows, MAX_QUERIES)]
 
 
-def exact(queries: DataFrame, vectors: DataFrame, k: int = 10) -> DataFrame:
+def exact(queries: DataFrame, vectors: DataFrame, k: int = 10, measure: str = "cosine") -> DataFrame:
     """A stated query set against all rows, in built-in functions: the oracle of small
-    tests; exact_blocks gives the same in one pass of matrix products."""
+    tests, by cosine, dot or l2; exact_blocks gives the same by cosine in one pass of
+    matrix products."""
     met = vectors.crossJoin(F.broadcast(queries.select("qid", F.col("embedding").alias("q"))))
-    return _rank(met.select("qid", "vec_id", F.round(cosine(F.col("q"), F.col("embedding")), 6).alias("score")), k)
+    return _rank(met.select("qid", "vec_id", F.round(MEASURES[measure](F.col("q"), F.col("embedding")), 6).alias("score")), k)
 
 
 def exact_blocks(queries: DataFrame, vectors: DataFrame, k: int = 10) -> DataFrame:

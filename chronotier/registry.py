@@ -663,7 +663,7 @@ def search_live_graph(spark, sf):
     return index.Graph(v).search(q)
 
 
-@query()
+@query(f"{CH}, h AS (SELECT DISTINCT content_key FROM changes WHERE needs_encoding AND revision < 5) SELECT DISTINCT content_key, CAST({encode.DIM} AS INTEGER) AS dim, 'hash' AS encoder FROM changes WHERE needs_encoding AND revision = 5 AND content_key NOT IN (SELECT content_key FROM h)")
 def encode_missing_hash(spark, sf):
     """Dense vectors of the keys that the last revision brings, and only of these."""
     changes = _changes(spark, sf)

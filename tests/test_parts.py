@@ -53,6 +53,11 @@ def test_unicode_forms(spark):
     assert not same("a", "b") and same("a", "b", unicode_form="NFC") and not same("c", "d", unicode_form="NFC") and same("c", "d", unicode_form="NFKC")
 
 
+def test_invalid_bytes(spark):
+    df = spark.createDataFrame([(bytearray(b"a\xffb"), "a\ufffdb")], "raw binary, good string").withColumn("bad", F.col("raw").cast("string"))
+    assert df.select(fingerprint.content_key(F.col("bad"), repair=True) == fingerprint.content_key(F.col("good"))).first()[0]
+
+
 def test_html(spark):
     page = "<html><p class='x'>One <b>two</b></p><ul><li>a</li>\n<LI>b  c</LI></ul><table><tr><td>1</td><td>2</td></tr></table><pre>x\n y</pre><p> </p><p>end</p>"
     df = spark.createDataFrame([(1, 1, 0, page)], "doc_id long, revision long, effective_at long, html string")
