@@ -130,3 +130,36 @@ def test_command_line(spark, tmp_path, capsys, monkeypatch):
     assert "gamma" in run("at", "gamma", "150", "-k", "1") and "omega" not in run("at", "omega", "150")
     assert "entered" in run("between", "omega", "100", "300") and "edited" in run("timeline")
     assert "0 commits settled" in run("reconcile")
+
+
+def test_folded_log_equals_the_operators(spark):
+    """The log made within rows holds the events of diff.combined, stamp and intervals, and
+    its plan deals out no text but that of documents that copy a line."""
+    from chronotier.operators import history as hist
+    from chronotier.sources import tiers
+
+    sf = "/root/testdata/sf0.001"
+    for profile in ("structural", "steady"):
+        want = hist.intervals(hist.stamp(tiers.changes(spark, sf, profile), tiers.segments(spark, sf, profile)))
+        got = tiers.made_log(spark, sf, profile)
+        cols = ["doc_id", "ordinal", "content_key", "effective_at", "revision", "op", "prior_key", "body", "retired_at", "state"]
+        rows = lambda df: sorted(df.where("content_key is not null").select(*cols).collect(), key=repr)
+        assert rows(got) == rows(want) and rows(want)
+    plan = got._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("Exchange hashpartitioning") <= 2 and "Window" not in plan  # the copies' join only
+
+
+def test_folded_odd_versions(spark):
+    """Withdrawn, reborn, repeated and empty versions against the joins."""
+    from chronotier.operators import diff, history as hist
+
+    docs = {1: ["aab", "", "ba"], 2: ["", "xyz", "zyx"], 3: ["abc", "abcd", "bcd"], 4: ["a", "b", "a"], 5: ["", "", ""]}
+    flat = [(d, v, v * 10, i, k, f"{k}{v}") for d, vs in docs.items() for v, t in enumerate(vs, 1) for i, k in enumerate(t)]
+    segs = spark.createDataFrame(flat, "doc_id long, revision long, effective_at long, ordinal long, content_key string, body string")
+    old = segs.where("revision < 3").withColumn("revision", segs["revision"] + 1)
+    by = ("doc_id", "revision")
+    want = hist.intervals(hist.stamp(diff.combined(old, segs, by, old.select(*by).distinct()), segs)).select(*[c for c in hist.NAMES])
+    nested = [(d, [(v, v * 10, [(k, f"{k}{v}") for k in t]) for v, t in enumerate(vs, 1)]) for d, vs in docs.items()]
+    kind = "doc_id long, revs array<struct<revision:long,effective_at:long,rows:array<struct<content_key:string,body:string>>>>"
+    got = hist.folded(spark.createDataFrame(nested, kind)).where("content_key is not null")
+    assert sorted(map(repr, got.collect())) == sorted(map(repr, want.collect()))
