@@ -163,3 +163,30 @@ def test_folded_odd_versions(spark):
     kind = "doc_id long, revs array<struct<revision:long,effective_at:long,rows:array<struct<content_key:string,body:string>>>>"
     got = hist.folded(spark.createDataFrame(nested, kind)).where("content_key is not null")
     assert sorted(map(repr, got.collect())) == sorted(map(repr, want.collect()))
+
+
+def test_cells_score_by_products(spark):
+    """The k best of the probed cells as a plain computation gives them, ties, a zero vector
+    and more batches than one included; no pair of a query and a vector becomes a row."""
+    import numpy as np
+
+    from chronotier.operators.ann import index
+
+    x = np.random.default_rng(3).integers(-3, 4, (700, 6)).astype(float)
+    x[5] = 0
+    v = spark.createDataFrame([(i, r.tolist()) for i, r in enumerate(x)], "vec_id long, embedding array<float>")
+    q = v.where("vec_id % 20 = 1").withColumnRenamed("vec_id", "qid")
+    made = index.Cells(v, 9)
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", 50)
+    got = made.search(q, 10, 4)
+    found = {(r["qid"], r["rank"]): (r["vec_id"], r["score"]) for r in got.collect()}
+    cell = {r["vec_id"]: r["cell"] for r in made.vectors.collect()}
+    spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+    c = np.array(made.centres)
+    c /= np.linalg.norm(c, axis=1)[:, None]
+    n = np.linalg.norm(x, axis=1)
+    for i in range(1, 700, 20):
+        near = set(np.argsort(-(x[i] @ c.T), kind="stable")[:4].tolist())
+        best = sorted((-round(float(x[i] @ x[j] / (n[i] * n[j])), 6), j) for j in range(700) if cell[j] in near and n[j])[:10]
+        assert [(j, -s) for s, j in best] == [found[i, r] for r in range(1, 11)]
+    assert "BroadcastHashJoin" not in got._jdf.queryExecution().executedPlan().toString()
