@@ -6,7 +6,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from chronotier.operators import history as hist, search
+from chronotier.operators import search
 
 
 def answer(queries: DataFrame, live: DataFrame, spans: DataFrame, k: int = 5) -> DataFrame:
@@ -14,26 +14,21 @@ def answer(queries: DataFrame, live: DataFrame, spans: DataFrame, k: int = 5) ->
     rank, score, PLACE, retired_at and tier, the tier that the row was read from.
 
     A range takes what is still valid from the live tier and what has ended from the
-    history, each with its k best, and ranks both. Only routes that some question takes
-    read anything. Ranges are read one by one: there are as many as distinct pairs of
-    ends."""
-    queries = queries.persist()  # read once by each route below, when its blocks are made
-    kinds = queries.groupBy("kind").agg(F.collect_set(F.struct("t_from", "t_to")).alias("ends")).collect()  # three rows
-    ends = {r["kind"]: r["ends"] for r in kinds}
-    of = lambda kind: queries.where(F.col("kind") == kind)
+    history, each with its k best, and ranks both. Each tier is read once for all the
+    questions that go to it, and only if there are any."""
+    queries = queries.persist()  # read once by each tier below, when its blocks are made
+    kinds = {r["kind"] for r in queries.select("kind").distinct().collect()}  # three rows
+    of = lambda *some: queries.where(F.col("kind").isin(*some))
     now = live.withColumn("retired_at", F.lit(None).cast("long"))
+    ranged, always = F.col("kind") == "comparative", F.lit(search.ALWAYS)
     out = ["qid", "score", *search.PLACE, "retired_at"]
     parts = []
-    if "live" in ends:
-        parts.append(search.best(of("live").select("qid", "text"), now, k, ("retired_at",)).select(*out, F.lit("live").alias("kind"), F.lit("hot").alias("tier")))
-    if "historical" in ends:
-        asked = of("historical").select("qid", "text", F.col("t_from").alias("t"))
-        parts.append(search.best(asked, spans, k).select(*out, F.lit("historical").alias("kind"), F.lit("cold").alias("tier")))
-    for first, last in sorted(tuple(e) for e in ends.get("comparative", ())):
-        asked = of("comparative").where((F.col("t_from") == first) & (F.col("t_to") == last)).select("qid", "text")
-        for rows, tier in ((now, "hot"), (spans.where("retired_at is not null"), "cold")):
-            held = hist.valid_between(rows, first, last)
-            parts.append(search.best(asked, held, k, ("retired_at",)).select(*out, F.lit("comparative").alias("kind"), F.lit(tier).alias("tier")))
+    if kinds & {"live", "comparative"}:
+        asked = of("live", "comparative").select("qid", "text", F.when(ranged, F.col("t_from")).otherwise(F.lit(search.NEVER)).alias("t"), F.when(ranged, F.col("t_to")).otherwise(always).alias("until"))
+        parts.append(search.best(asked, now, k, ("retired_at",)).select(*out, F.lit("hot").alias("tier")))
+    if kinds & {"historical", "comparative"}:
+        asked = of("historical", "comparative").select("qid", "text", F.col("t_from").alias("t"), F.when(ranged, F.col("t_to")).alias("until"), ranged.alias("ended"))
+        parts.append(search.best(asked, spans, k).select(*out, F.lit("cold").alias("tier")))
     if not parts:
         queries.unpersist()
         return search.best(queries.select("qid", "text"), now, k, ("retired_at",)).select("qid", F.lit("live").alias("kind"), "rank", "score", *search.PLACE, "retired_at", F.lit("hot").alias("tier"))
@@ -41,4 +36,4 @@ def answer(queries: DataFrame, live: DataFrame, spans: DataFrame, k: int = 5) ->
     met = parts[0]
     for p in parts[1:]:
         met = met.union(p)
-    return search.rank(met, k).select("qid", "kind", "rank", "score", *search.PLACE, "retired_at", "tier")
+    return search.rank(met, k).join(F.broadcast(queries.select("qid", "kind")), "qid").select("qid", "kind", "rank", "score", *search.PLACE, "retired_at", "tier")

@@ -190,3 +190,54 @@ def test_cells_score_by_products(spark):
         best = sorted((-round(float(x[i] @ x[j] / (n[i] * n[j])), 6), j) for j in range(700) if cell[j] in near and n[j])[:10]
         assert [(j, -s) for s, j in best] == [found[i, r] for r in range(1, 11)]
     assert "BroadcastHashJoin" not in got._jdf.queryExecution().executedPlan().toString()
+
+
+def test_log_read_once_is_not_written(spark, monkeypatch):
+    """Queries that read the log once or twice leave no log on disk, and take it as written
+    where it is."""
+    from chronotier import experiments, registry
+    from chronotier.sources import tiers
+
+    assert experiments.query is registry.query
+    sf = "/root/testdata/sf0.001"
+    monkeypatch.setattr(tiers, "_WRITTEN", {})
+    for name in ("history_closed", "snapshot_boundary", "audit_lineage", "audit_rebuild", "search_at", "search_at_each", "route_answer", "leakage_by_variant", "ablation_oversampling", "postfilter_wrong_answers", "sql_live_scores", "sql_scores_at"):
+        registry.QUERIES[name](spark, sf)
+    assert {at[2] for at in tiers._WRITTEN} == {"asked", "asked_of_indexes", "asked_of_all", "asked_of_two"}
+    made = tiers.spans(spark, sf, once=True).drop("month")
+    tiers.log(spark, sf)
+    again = tiers.spans(spark, sf, once=True)
+    assert "month" in again.columns and sorted(map(repr, made.collect())) == sorted(map(repr, again.select(*made.columns).collect()))
+
+
+def test_keys_and_codes_of_python(spark):
+    """Keys and hashed terms made in tasks are those of the expressions."""
+    from chronotier.functions import fingerprint
+    from chronotier.operators import encode
+
+    texts = ["", " \t\r\n", "A  b\tC\f", "\x0b x \x0b", "ÀÉ ß ΟΔΟΣ İ Straße ÖL", "one one, two. ONE-two ñandú", "a\u00a0b 漢字 🙂", None]
+    df = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "i long, text string")
+    coder = encode.Coder()
+    for r in df.select("text", fingerprint.content_key(df["text"]).alias("key"), encode.codes(df["text"]).alias("codes")).collect():
+        raw = None if r["text"] is None else r["text"].encode()
+        assert (fingerprint.key_of(raw), coder.codes(raw)) == (r["key"], r["codes"] or [])
+
+
+def test_questions_of_all_sorts_in_one_pass(spark, monkeypatch):
+    """Instants, ranges, ended slots and flags, asked together or one by one."""
+    from pyspark.sql import functions as F
+
+    from chronotier.operators import search
+
+    words = ["red", "green", "blue", "grey"]
+    rows = [(d, o, f"k{d}{o}", 100 * o, 1, " ".join(words[(d + o + i) % 4] for i in range(1 + d % 3)), None if o == 2 else 100 * o + 150, d % 2 == 0) for d in range(30) for o in range(3)]
+    slots = spark.createDataFrame(rows, "doc_id long, ordinal long, content_key string, effective_at long, revision long, body string, retired_at long, even boolean")
+    qs = [(1, "red blue", 120, None, None, None), (2, "green", 50, 210, None, None), (3, "grey red", 0, 500, True, None), (4, "blue", search.NEVER, search.ALWAYS, None, "even"), (5, "red", None, None, None, None)]
+    monkeypatch.setattr(search, "SLOTS_AT_ONCE", 7)
+    asked = lambda some: spark.createDataFrame(some, "qid long, text string, t long, until long, ended boolean, among string")
+    got = sorted(map(tuple, search.best(asked(qs), slots, 4).collect()))
+    assert got == sorted(tuple(r) for q in qs for r in search.best(asked([q]), slots, 4).collect())
+    where = {1: "effective_at <= 120 and (retired_at is null or retired_at > 120)", 2: "effective_at < 210 and (retired_at is null or retired_at > 50)", 3: "effective_at < 500 and retired_at is not null", 4: "even", 5: "false"}
+    for qid, text, *_ in qs:
+        want = search.best(spark.createDataFrame([(qid, text)], "qid long, text string"), slots.where(F.expr(where[qid])), 4, ("retired_at",)).collect()
+        assert sorted(map(tuple, want)) == [r for r in got if r[0] == qid] and (want or qid == 5)
