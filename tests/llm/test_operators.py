@@ -353,6 +353,27 @@ def test_toxicity_by_spark(spark):
     assert toxicity_cnn.fit(d, labels.where("toxic = 0")) is None
 
 
+def test_toxicity_learns_from_all_rows(spark, monkeypatch):
+    """A stem in 0.1 % of the toxic rows, and a mark at the end of long texts; the same with
+    labels that are shuffled."""
+    rng = random.Random(23)
+    words = ["".join(rng.choice("aeiourst") for _ in range(5)) for _ in range(300)]
+    plain = lambda n: " ".join(rng.choice(words) for _ in range(n))
+    bad = {i: "vexil" if i in range(0, 24, 2) else "blort" if i in range(24, 44, 2) else "grokk" for i in range(0, 12_000, 2)}
+    rows = [(i, f"{plain(20_000 if bad.get(i) == 'blort' or i in (25, 27, 29) else 6)} {bad.get(i, '')}") for i in range(12_000)]
+    d = docs(spark, rows)
+    labels = spark.createDataFrame([(i, 1, int(i in bad)) for i, _ in rows], "doc_id long, quality int, toxic int")
+    model = toxicity_cnn.fit(d, labels)
+    for word in ("vexil", "blort", "grokk"):
+        assert model.score(f"{plain(3)} {word} {plain(3)}") >= 0.5
+    assert max(model.score(plain(6)) for _ in range(20)) < 0.5
+    some, few = d.where("doc_id >= 11500"), labels.where("doc_id >= 11500")
+    want = toxicity_cnn.fit(some.coalesce(1), few)
+    monkeypatch.setattr(toxicity_cnn, "MAX_LABELS", 100)
+    got = toxicity_cnn.fit(some.coalesce(1), few)
+    assert all(abs(want.score(t) - got.score(t)) < 0.2 for _, t in rows[11_500:11_550])
+
+
 def test_toxicity_does_not_depend_on_runs(monkeypatch):
     rng = random.Random(16)
     rows = toxic_docs(rng, 240)
