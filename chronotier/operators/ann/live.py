@@ -27,6 +27,24 @@ def dense(coded: DataFrame, ident: str) -> DataFrame:
     return coded.select(ident, "codes").mapInPandas(run, f"{ident} long, embedding array<float>")
 
 
+def narrow(slots: DataFrame) -> DataFrame:
+    """Slots with their hashed terms (codes) in place of their texts, made within the task,
+    once for equal texts of a batch: what the index needs of the tier, to be stored."""
+    rows = slots.select(*search.PLACE, "body")
+    schema = ", ".join([*(f"{c} {rows.schema[c].dataType.simpleString()}" for c in search.PLACE), "codes array<int>"])
+
+    def run(batches: Iterator) -> Iterator:
+        import pyarrow as pa
+
+        coder = encode.Coder()
+        for b in batches:
+            different = b.column(len(search.PLACE)).cast(pa.binary()).dictionary_encode("encode")
+            codes = pa.array([coder.codes(c) for c in different.dictionary.to_pylist()], pa.list_(pa.int32()))
+            yield pa.RecordBatch.from_arrays([*b.columns[:-1], codes.take(different.indices)], names=[*search.PLACE, "codes"])
+
+    return rows.mapInArrow(run, schema)
+
+
 def _keyed(slots: DataFrame) -> DataFrame:
     return search.coded(slots, "body").withColumn("vec_id", F.xxhash64("content_key"))
 
@@ -34,8 +52,8 @@ def _keyed(slots: DataFrame) -> DataFrame:
 def build(slots: DataFrame, ef_build: int = 100) -> DataFrame:
     """The graphs as a table, to be stored beside the tier; texts without terms, which no
     question can find, are left out."""
-    texts = _keyed(slots).where(F.size("codes") > 0).groupBy("vec_id").agg(F.first("codes").alias("codes"))
-    return Graph(dense(texts, "vec_id"), ef_build=ef_build).graphs
+    texts = _keyed(slots).where(F.size("codes") > 0).groupBy("vec_id").agg(F.first("codes").alias("embedding"))
+    return Graph(texts, ef_build=ef_build, dense=encode.matrix).graphs  # shuffled as terms, which are narrow
 
 
 def find(queries: DataFrame, slots: DataFrame, graphs: DataFrame, k: int = 5, ef: int = 64, filtered: bool = False) -> DataFrame:

@@ -210,6 +210,24 @@ def test_log_read_once_is_not_written(spark, monkeypatch):
     assert "month" in again.columns and sorted(map(repr, made.collect())) == sorted(map(repr, again.select(*made.columns).collect()))
 
 
+def test_graphs_are_stored_narrow(spark, monkeypatch):
+    """The index behind the live tier leaves neither the log nor dense vectors on disk, and
+    what it stores in place of texts are the tier's slots and terms."""
+    from chronotier import experiments, registry
+    from chronotier.sources import tiers
+
+    assert experiments.query is registry.query
+    sf = "/root/testdata/sf0.001"
+    monkeypatch.setattr(tiers, "_WRITTEN", {})
+    for name in ("search_live_indexed", "search_live_indexed_filtered"):
+        assert registry.QUERIES[name](spark, sf).count() > 0
+    assert {at[2] for at in tiers._WRITTEN} == {"live_terms/structural", "graphs/structural"}
+    held = tiers.graphs(spark, sf).selectExpr("sum(n) AS n", "sum(length(graph)) AS bytes").first()
+    assert held["bytes"] < 1000 * held["n"]
+    want = search.coded(tiers.live(spark, sf, once=True), "body").select(*search.PLACE, "codes")
+    assert sorted(map(repr, tiers.live_terms(spark, sf).collect())) == sorted(map(repr, want.collect()))
+
+
 def test_keys_and_codes_of_python(spark):
     """Keys and hashed terms made in tasks are those of the expressions."""
     from chronotier.functions import fingerprint
