@@ -49,11 +49,11 @@ def _keyed(slots: DataFrame) -> DataFrame:
     return search.coded(slots, "body").withColumn("vec_id", F.xxhash64("content_key"))
 
 
-def build(slots: DataFrame, ef_build: int = 100) -> DataFrame:
+def build(slots: DataFrame) -> DataFrame:
     """The graphs as a table, to be stored beside the tier; texts without terms, which no
     question can find, are left out."""
     texts = _keyed(slots).where(F.size("codes") > 0).groupBy("vec_id").agg(F.first("codes").alias("embedding"))
-    return Graph(texts, ef_build=ef_build, dense=encode.matrix).graphs  # shuffled as terms, which are narrow
+    return Graph(texts, dense=encode.matrix, at_once=True).graphs  # shuffled as terms, which are narrow
 
 
 def find(queries: DataFrame, slots: DataFrame, graphs: DataFrame, k: int = 5, ef: int = 64, filtered: bool = False) -> DataFrame:

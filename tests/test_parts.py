@@ -210,6 +210,27 @@ def test_log_read_once_is_not_written(spark, monkeypatch):
     assert "month" in again.columns and sorted(map(repr, made.collect())) == sorted(map(repr, again.select(*made.columns).collect()))
 
 
+def test_graph_built_at_once():
+    """Every vector is reached, copies and islands included, levels are
+    those of the graph built one by one, and recall is 0.9 or more."""
+    import numpy as np
+    from chronotier.operators.ann.graph import LayeredGraph
+
+    rng = np.random.default_rng(24)
+    x = np.concatenate([np.repeat(rng.normal(size=(1, 24)), 80, 0), 5 + 0.01 * rng.normal(size=(80, 24)), rng.normal(size=(440, 24))])
+    one, many = LayeredGraph(x, range(600), 8, 100), LayeredGraph(x, range(600), 8, at_once=True)
+    assert [len(v) for v in many.links] == [len(v) for v in one.links] and len(many.links) > 1
+    assert sorted(i for i, _ in many.search(x[0], 600, 600)) == list(range(600))
+    hits = {1: 0, 2: 0}
+    for v in rng.normal(size=(40, 24)):
+        last = np.sort(one.x @ (v / np.linalg.norm(v)))[-5] - 1e-6
+        for i, g in ((1, one), (2, many)):
+            hits[i] += sum(s >= last for _, s in g.search(v, 5, 64))
+    assert hits[2] >= 180, hits  # 0.9
+    few = LayeredGraph(x[:1], [7], at_once=True)
+    assert few.search(x[0], 5, 8) == [(7, 1.0)] and LayeredGraph(x[:0], [], at_once=True).top == -1
+
+
 def test_graphs_are_stored_narrow(spark, monkeypatch):
     """The index behind the live tier leaves neither the log nor dense vectors on disk, and
     what it stores in place of texts are the tier's slots and terms."""
