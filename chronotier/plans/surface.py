@@ -3,24 +3,27 @@
 The functions are SQL table functions, which the optimizer inlines: an instant given
 to snapshot_at reaches the scan of the history as a filter. The scores of live_scores and
 scores_at are over all slots that share a term with the question; ORDER BY score DESC,
-doc_id, ordinal LIMIT k makes a top-k of them that no single task has to sort.
+doc_id, ordinal LIMIT k makes a top-k of them that no single task has to sort. Slots are
+scored in Arrow batches by the function closeness, once each: the condition on a score
+stands over a generator, below which the optimizer does not take it.
 """
 
 from __future__ import annotations
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql.functions import arrow_udf
 
 from chronotier.functions.segment import BLANK
-from chronotier.operators import encode, history as hist
-from chronotier.operators.search import coded
+from chronotier.operators import history as hist
+from chronotier.operators.search import closeness
 
 _COLUMNS = "doc_id BIGINT, ordinal BIGINT, content_key STRING, body STRING, effective_at BIGINT, revision BIGINT"
 _BLANK = BLANK.replace("\\", "\\\\")
-#: The hashed terms of a text, as encode.codes has them, and products of two such arrays.
-_CODES = f"""transform(filter(split(lower(regexp_replace(regexp_replace({{q}}, '^{_BLANK}+|{_BLANK}+$', ''), '{_BLANK}+', ' ')), '{encode.SEPARATOR}'), w -> w <> ''),
-    w -> CAST(IF(CAST(conv(substring(md5(w), 9, 1), 16, 10) AS BIGINT) % 2 = 0, 1, -1) * (CAST(conv(substring(md5(w), 1, 8), 16, 10) AS BIGINT) % {encode.DIM} + 1) AS INT))"""
-_DOT = "aggregate({a}, 0L, (s, x) -> s + aggregate({b}, 0L, (u, y) -> u + IF(abs(x) = abs(y), CAST(sign(x) * sign(y) AS BIGINT), 0L)))"
-_SHARED = "size(array_intersect(transform({a}, x -> abs(x)), transform({b}, x -> abs(x)))) > 0"
+
+
+def _closeness(texts: pa.Array, questions: pa.Array) -> pa.Array:
+    return closeness(texts, questions)
 
 
 def register(spark: SparkSession, history: DataFrame) -> None:
@@ -29,7 +32,6 @@ def register(spark: SparkSession, history: DataFrame) -> None:
     scores_at(question, t)."""
     history.createOrReplaceTempView("history_events")
     spans = history if "retired_at" in history.columns else hist.intervals(history)
-    spans = coded(spans, "body")
     spans.createOrReplaceTempView("history_intervals")
     spans.where("retired_at is null").createOrReplaceTempView("live_slots")
     names = "doc_id, ordinal, content_key, body, effective_at, revision"
@@ -44,10 +46,13 @@ def register(spark: SparkSession, history: DataFrame) -> None:
         SELECT CAST(at AS BIGINT), line FROM (SELECT posexplode(filter(split(split_document.text, '\\n'),
         x -> length(regexp_replace(x, '{_BLANK}', '')) > 0)) AS (at, line))""")
 
-    scores = f"""SELECT doc_id, ordinal, content_key, effective_at, round({_DOT.format(a='codes', b='asked')} / sqrt(CAST({_DOT.format(a='codes', b='codes')} * {_DOT.format(a='asked', b='asked')} AS DOUBLE)), 6) AS score
-        FROM (SELECT *, {{codes}} AS asked FROM history_intervals WHERE {{valid}}) WHERE {_SHARED.format(a='codes', b='asked')}"""
+    spark.udf.register("closeness", arrow_udf(_closeness, "double"))
+    text = "codes" if "codes" in spans.columns else "body"
+    scores = f"""SELECT doc_id, ordinal, content_key, effective_at, round(score, 6) AS score
+        FROM (SELECT doc_id, ordinal, content_key, effective_at, closeness({text}, {{name}}.question) AS found FROM history_intervals WHERE {{valid}})
+        LATERAL VIEW OUTER explode(array(found)) AS score WHERE score IS NOT NULL"""
     out = "TABLE(doc_id BIGINT, ordinal BIGINT, content_key STRING, effective_at BIGINT, score DOUBLE)"
-    live = scores.format(codes=_CODES.format(q="live_scores.question"), valid="retired_at IS NULL")
+    live = scores.format(name="live_scores", valid="retired_at IS NULL")
     spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION live_scores(question STRING) RETURNS {out} RETURN {live}")
-    past = scores.format(codes=_CODES.format(q="scores_at.question"), valid="effective_at <= scores_at.t AND (retired_at IS NULL OR retired_at > scores_at.t)")
+    past = scores.format(name="scores_at", valid="effective_at <= scores_at.t AND (retired_at IS NULL OR retired_at > scores_at.t)")
     spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION scores_at(question STRING, t BIGINT) RETURNS {out} RETURN {past}")

@@ -149,6 +149,29 @@ def test_sql_surface(spark):
     assert [tuple(r) for r in lines] == [(0, "a"), (1, "b")]
 
 
+def test_scores_in_sql(spark):
+    """Texts are scored once each, whatever stands above; terms that cancel out are no terms;
+    a function takes a column of questions."""
+    from chronotier.operators import encode
+    from chronotier.plans import surface
+
+    coder, met = encode.Coder(), {}
+    a, b = next((met[-n], w) for w in (f"w{i}" for i in range(5000)) for n in [coder[w]] if -n in met or met.update({n: w}))
+    rows = [(1, 0, "k1", f"{a} {b}", 10, None, 1), (2, 0, "k2", f"{a} old text", 10, 20, 1), (3, 0, "k3", f"New {a} {b} text", 10, None, 1), (4, 0, "k4", "", 10, None, 1), (5, 0, "k5", None, 10, None, 1), (6, 0, "k3", f"New {a} {b} text", 20, None, 1)]
+    spans = spark.createDataFrame(rows, "doc_id long, ordinal long, content_key string, body string, effective_at long, retired_at long, revision long")
+    asked = spark.createDataFrame([(1, f"{a} text"), (2, "text"), (3, f"{a} {b}"), (4, None)], "qid long, text string")
+    for form in (spans, spans.withColumn("codes", encode.codes(F.col("body")))):
+        surface.register(spark, form.withColumn("op", F.lit("added")).withColumn("prior_key", F.lit(None).cast("string")))
+        for name, slots in (("live_scores(text)", form.where("retired_at is null")), ("scores_at(text, 15)", hist.valid_at(form, 15))):
+            found = spark.sql(f"SELECT qid, doc_id, score FROM VALUES (1, '{a} text'), (2, 'text'), (3, '{a} {b}'), (4, NULL) AS q(qid, text), LATERAL {name}")
+            want = {(r["qid"], r["doc_id"], r["score"]) for r in search.best(asked, slots, 9).collect()}
+            assert want and {tuple(r) for r in found.collect()} == want
+        top = spark.sql("SELECT * FROM live_scores('text') WHERE score > 0.1 ORDER BY score DESC, doc_id, ordinal LIMIT 1")
+        assert [r["doc_id"] for r in top.collect()] == [3]
+        plan = top._jdf.queryExecution().optimizedPlan().toString()
+        assert plan.count("ArrowEvalPython") == 1 and "aggregate(" not in plan
+
+
 def test_stored_terms_score_the_same(spark):
     from chronotier.operators import encode
 
